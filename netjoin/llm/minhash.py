@@ -6,8 +6,9 @@
 3. In each band bucket all members are compared with one hub, the member that meets most others over all bands: a group of n near
    copies costs n comparisons. Pairs come from an equi-join whose large partitions Spark can split.
 4. Pairs whose collision-corrected estimate of the packed bits is far too low are dropped; the rest are confirmed on whole sets.
-5. What the hubs leave in several components of one bucket is compared across these components (never within one),
-   so no pair of a bucket that could join two components is skipped. Components come from star contractions.
+5. What the hubs leave in several components of one bucket is compared across these components (never within one): by a join in
+   small buckets, in blocks of bounded size that emit nothing but links in crowded ones. So no pair
+   of a bucket that could join two components is skipped. Components come from star contractions.
 
 A band of ``rows`` minima collides with probability s^rows, so a pair of similarity 0.8 meets in some band with
 probability 1 - (1 - 0.8^rows)^bands: the defaults (64 bands of 8) miss fewer than 8 of a million such pairs.
@@ -32,6 +33,10 @@ _WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 _CHUNK = 1024
 #: Bound of a worker's table of word hashes.
 CACHE_WORDS = 500_000
+#: What hubs leave open in buckets of at most so many members is paired by a join; larger buckets are compared in blocks.
+SMALL_BUCKET = 16
+#: Most rows of either side of a block.
+BLOCK_ROWS = 1024
 
 
 class _Hashes(dict):
@@ -141,6 +146,50 @@ def estimate(left: str, right: str, *, hashes: int, bits: int):
     return F.expr(f"((1 - ({diff}) / {float(hashes)}) - {chance}) / {1 - chance}")
 
 
+def blockwise_links(crowds: DataFrame, sets: DataFrame, *, percent: int, hashes: int, bits: int, slack: float) -> DataFrame:
+    """Links (a, b) between different components of crowded buckets, found without emitting a pair that is not one.
+
+    ``crowds`` has main, rep, component: everything that shares a bucket with the component ``main``. Rows outside main
+    are compared with all others of the crowd, in blocks of at most BLOCK_ROWS rows a side that are tasks of their own.
+    """
+    part = crowds.withColumn("stray", F.col("component") != F.col("main"))
+    sizes = part.groupBy("main").agg(F.ceil(F.count(F.lit(1)) / float(BLOCK_ROWS)).cast("int").alias("n_all"), F.ceil(F.greatest(F.count_if("stray"), F.lit(1)) / float(BLOCK_ROWS)).cast("int").alias("n_stray"))
+    part = part.join(sizes.hint("merge"), "main")
+    every = part.withColumn("i", F.pmod(F.xxhash64("rep"), "n_all").cast("int")).withColumn("j", F.explode(F.expr("sequence(0, n_stray - 1)"))).withColumn("asks", F.lit(False))
+    asking = part.where("stray").withColumn("j", F.pmod(F.xxhash64("rep", F.lit(1)), "n_stray").cast("int")).withColumn("i", F.explode(F.expr("sequence(0, n_all - 1)"))).withColumn("asks", F.lit(True))
+    cols = ["main", "i", "j", "asks", "rep", "component"]
+    dealt = every.select(*cols).unionByName(asking.select(*cols)).join(sets.hint("merge"), "rep")
+    per = (hashes + 63) // 64
+    least = (1 - (percent / 100 - slack)) * (1 - 2.0**-bits) * hashes
+
+    def run(block: pa.Table) -> pa.Table:
+        rep, component, asks = (block.column(c).to_numpy(zero_copy_only=False) for c in ("rep", "component", "asks"))
+        packs = block.column("low_bits").combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
+        held = block.column("shingles").combine_chunks()
+        ends = np.cumsum([0, *held.value_lengths().to_numpy()])
+        flat = held.flatten().to_numpy()
+        other = np.flatnonzero(~asks)
+        out_a, out_b = [], []
+        for x in np.flatnonzero(asks):
+            apart = other[component[other] != component[x]]
+            diff = packs[apart] ^ packs[x]
+            planes = np.bitwise_or.reduce(diff.reshape(len(apart), bits, per), axis=1)
+            apart = apart[np.bitwise_count(planes).sum(axis=1) <= least]
+            mine = np.sort(flat[ends[x] : ends[x + 1]])
+            size = ends[apart + 1] - ends[apart]
+            apart = apart[(100 * np.minimum(size, len(mine)) >= percent * np.maximum(size, len(mine)))]
+            for y in apart:
+                theirs = flat[ends[y] : ends[y + 1]]
+                both = int((mine[np.minimum(np.searchsorted(mine, theirs), len(mine) - 1)] == theirs).sum())
+                if 100 * both >= percent * (len(mine) + len(theirs) - both):
+                    out_a.append(rep[x])
+                    out_b.append(rep[y])
+        return pa.table({"a": pa.array(out_a, block.schema.field("rep").type), "b": pa.array(out_b, block.schema.field("rep").type)})
+
+    kind = crowds.schema["rep"].dataType.simpleString()
+    return dealt.groupBy("main", "i", "j").applyInArrow(run, f"a {kind}, b {kind}").distinct()
+
+
 def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands: int = 64, rows: int = 8, bits: int = 2, slack: float = 0.14, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept, n_class (documents with an equal set).
 
@@ -187,19 +236,27 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     labels = materialise(connected_components(links), "labels")
 
     labelled = members.join(labels.select(F.col("id").alias("rep"), "component").hint("merge"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
-    mixed = labelled.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("bucket")
-    open_rows = materialise(labelled.join(mixed.hint("merge"), "bucket", "left_semi").withColumn("step", F.floor(F.log("n_shingles") / F.lit(float(np.log(100 / percent)))).cast("int")), "open")
-    main = open_rows.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "component")).alias("m")).select("bucket", F.col("m.component").alias("main"))
-    strays = open_rows.join(main.hint("merge"), "bucket").where("component <> main")
-    left = strays.select("bucket", F.col("rep").alias("x"), F.col("n_shingles").alias("size_x"), F.col("component").alias("part_x"), F.explode(F.array(F.col("step") - 1, "step", F.col("step") + 1)).alias("step"), "main")
-    across = (left.join(open_rows.hint("merge"), ["bucket", "step"]).where("part_x <> component AND (component = main OR x < rep) AND " + sized("size_x", "n_shingles"))
-              .select(F.least("x", "rep").alias("a"), F.greatest("x", "rep").alias("b")).distinct())
+    mixed = labelled.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("crowd")).where("low <> high").select("bucket", "crowd")
+    open_rows = materialise(labelled.join(mixed.hint("merge"), "bucket"), "open")
+
+    few = open_rows.where(F.col("crowd") <= SMALL_BUCKET).withColumn("step", F.floor(F.log("n_shingles") / F.lit(float(np.log(100 / percent)))).cast("int"))
+    left = few.select("bucket", F.col("rep").alias("x"), F.col("n_shingles").alias("size_x"), F.col("component").alias("part_x"), F.explode(F.array(F.col("step") - 1, "step", F.col("step") + 1)).alias("step"))
+    across = left.join(few.hint("merge"), ["bucket", "step"]).where("x < rep AND part_x <> component AND " + sized("size_x", "n_shingles")).select(F.col("x").alias("a"), F.col("rep").alias("b")).distinct()
     tested = starred.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     rest = materialise(across.join(tested.hint("merge"), ["a", "b"], "left_anti"), "across")
-    if not rest.isEmpty():
-        more = confirmed(rest, "across")
-        if not more.isEmpty():
-            labels = materialise(connected_components(links.unionByName(more)), "labels")
+    more = None if rest.isEmpty() else confirmed(rest, "across")
+
+    many = open_rows.where(F.col("crowd") > SMALL_BUCKET)
+    if not many.isEmpty():
+        main = many.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "component")).alias("m")).select("bucket", F.col("m.component").alias("main"))
+        crowds = materialise(many.join(main.hint("merge"), "bucket").select("main", "rep", "component").distinct(), "crowds")
+        wanted = materialise(crowds.select(F.col("rep").alias(id_col)).distinct(), "crowd-ids")
+        sets = shingle_sets(join_small(docs.select(id_col, text_col), wanted, [id_col], "left_semi"), words=words, id_col=id_col, text_col=text_col).dropDuplicates(["doc_id"])
+        full = materialise(sets.join(reps.select("doc_id", "low_bits").hint("merge"), "doc_id").withColumnRenamed("doc_id", "rep"), "crowd-sets")
+        found = materialise(blockwise_links(crowds, full, percent=percent, hashes=bands * rows, bits=bits, slack=slack), "crowd-links")
+        more = found if more is None else more.unionByName(found)
+    if more is not None and not more.isEmpty():
+        labels = materialise(connected_components(links.unionByName(more)), "labels")
 
     parts = classes.join(labels.select(F.col("id").alias("rep"), "component").hint("merge"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component"), "n_class")
     linked = sketch.select("doc_id", "n_shingles", "set_key").join(parts.hint("merge"), "set_key", "left")
