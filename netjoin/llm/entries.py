@@ -7,16 +7,44 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from netjoin.llm import bpe, exact_dedup, minhash
+from netjoin.llm import bpe, exact_dedup, langid, minhash, mixing, pii, quality, secrets, urls
 from netjoin.llm.common import table
 
+#: Vocabulary of the encoding queries; its path is a parameter of the operator.
+TOKENIZER = "word_bpe_49k.json"
+
 
 def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"))
 
 
+def op2_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.secret_digests(table(spark, sf_dir, "documents"))
+
+
+def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents"))
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.bpe_digests(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+    return bpe.bpe_digests(table(spark, sf_dir, "documents"), public_tokenizers.path(TOKENIZER))
+
+
+def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pii_digests(table(spark, sf_dir, "documents"))
+
+
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = quality.verdicts(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
+def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identify_table(table(spark, sf_dir, "documents"))
+
+
+def op8_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urls.judge_urls(table(spark, sf_dir, "pages"), urls.rule_table(spark, urls.RULES))
 
 
 def op10_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -24,7 +52,7 @@ def op10_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op4_bpe, op10_minhash)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_secrets, op3_mixing, op4_bpe, op5_pii, op6_quality, op7_language, op8_urls, op10_minhash)}
 
 
 def oracle_sql() -> dict[str, str]:
@@ -34,4 +62,30 @@ def oracle_sql() -> dict[str, str]:
                  r AS (SELECT *, first_value(doc_id) OVER (PARTITION BY norm ORDER BY length(t) DESC, doc_id) AS keep_id,
                               count(*) OVER (PARTITION BY norm) AS group_size FROM n)
             SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(norm) AS text_sha256 FROM r""",
+        "op6_quality": r"""
+            WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+                 w AS (SELECT doc_id, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS words,
+                              list_filter(string_split(text, chr(10)), x -> regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines,
+                              length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS n_symbols,
+                              length(regexp_replace(text, '[\x20\x09-\x0D]', '', 'g')) AS word_chars,
+                              length(regexp_replace(text, '[^\p{L}]', '', 'g')) AS n_letters,
+                              length(regexp_replace(text, '[^\p{Lu}]', '', 'g')) AS n_upper FROM t),
+                 g AS (SELECT doc_id, i, [words[i], words[i + 1], words[i + 2]] AS gram FROM (SELECT doc_id, words, unnest(range(1, len(words) - 1)) AS i FROM w)),
+                 r AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, gram) AS n FROM g) WHERE n > 1),
+                 c AS (SELECT doc_id, count(DISTINCT i + k) AS n_repeat_words FROM r, (VALUES (0), (1), (2)) AS o(k) GROUP BY doc_id),
+                 m AS (SELECT w.doc_id, len(words)::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols,
+                              (len(lines) - len(list_distinct(lines)))::BIGINT AS n_dup_lines, coalesce(n_repeat_words, 0)::BIGINT AS n_repeat_words,
+                              len(lines) AS n_lines, n_letters, n_upper FROM w LEFT JOIN c USING (doc_id)),
+                 b AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m)
+            SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+                   NOT (base_failed OR 100 * n_symbols > 20 * n_words OR (n_lines >= 10 AND 100 * n_dup_lines > 50 * n_lines) OR word_chars < 2 * n_words
+                        OR word_chars > 20 * n_words OR 100 * n_upper > 60 * n_letters OR n_letters < n_words) AS kept FROM b""",
+        "op8_urls": r"""
+            WITH u AS (SELECT row_number() OVER () AS row, page_id, CASE WHEN contains(url, '://') THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
+                 p AS (SELECT row, page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+                              regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+                 r(verdict, rule_host, rule_path) AS (VALUES ('allow', 'com', '/'), ('block', 'example.com', '/en/'), ('allow', 'www.example.com', '/en/'), ('block', 'net', '/es/'), ('block', 'net', '/fr/')),
+                 h AS (SELECT row, rule_host || rule_path AS rule, verdict, row_number() OVER (PARTITION BY row ORDER BY length(rule_host || rule_path) DESC) AS n
+                       FROM p JOIN r ON (host = rule_host OR ends_with(host, '.' || rule_host)) AND starts_with(path, rule_path))
+            SELECT page_id, host, path, rule, coalesce(verdict, 'allow') AS verdict FROM p LEFT JOIN h ON p.row = h.row AND h.n = 1""",
     }
