@@ -7,7 +7,8 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from netjoin.llm import bpe, exact_dedup, langid, minhash, mixing, pii, quality, secrets, urls
+import corpus_pipeline
+from netjoin.llm import bpe, exact_dedup, langid, minhash, mixing, pii, quality, secrets, urls, warc
 from netjoin.llm.common import table
 
 #: Vocabulary of the encoding queries; its path is a parameter of the operator.
@@ -47,12 +48,20 @@ def op8_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge_urls(table(spark, sf_dir, "pages"), urls.rule_table(spark, urls.RULES))
 
 
+def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archive_round_trip(table(spark, sf_dir, "pages"))
+
+
 def op10_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), words=2)
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_secrets, op3_mixing, op4_bpe, op5_pii, op6_quality, op7_language, op8_urls, op10_minhash)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_secrets, op3_mixing, op4_bpe, op5_pii, op6_quality, op7_language, op8_urls, op9_warc, op10_minhash, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
@@ -65,7 +74,7 @@ def oracle_sql() -> dict[str, str]:
         "op6_quality": r"""
             WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
                  w AS (SELECT doc_id, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS words,
-                              list_filter(string_split(text, chr(10)), x -> regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines,
+                              list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines,
                               length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS n_symbols,
                               length(regexp_replace(text, '[\x20\x09-\x0D]', '', 'g')) AS word_chars,
                               length(regexp_replace(text, '[^\p{L}]', '', 'g')) AS n_letters,
@@ -80,6 +89,11 @@ def oracle_sql() -> dict[str, str]:
             SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
                    NOT (base_failed OR 100 * n_symbols > 20 * n_words OR (n_lines >= 10 AND 100 * n_dup_lines > 50 * n_lines) OR word_chars < 2 * n_words
                         OR word_chars > 20 * n_words OR 100 * n_upper > 60 * n_letters OR n_letters < n_words) AS kept FROM b""",
+        "op9_warc": """
+            WITH p AS (SELECT page_id, coalesce(html, '') AS h, octet_length(encode(coalesce(html, '')))::BIGINT AS n FROM pages),
+                 k AS (SELECT *, max(page_id) OVER (PARTITION BY h) AS keep FROM p)
+            SELECT page_id, n AS payload_bytes, sha1(h) AS payload_digest, CASE WHEN n < 1000 OR page_id = keep THEN 'response' ELSE 'revisit' END AS record_type,
+                   CASE WHEN n >= 1000 AND page_id <> keep THEN keep END AS refers_to FROM k""",
         "op8_urls": r"""
             WITH u AS (SELECT row_number() OVER () AS row, page_id, CASE WHEN contains(url, '://') THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
                  p AS (SELECT row, page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,

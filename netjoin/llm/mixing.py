@@ -5,8 +5,8 @@ parent got by water filling, so what a child lacks goes to its siblings, and lea
 when the whole subtree is exhausted. Each leaf then takes its budget as a token prefix of seeded epochs: whole epochs first, then
 the first documents of the next epoch's order.
 
-Only counts are shuffled. Order keys are uniform hashes, so a leaf's prefix ends in one hash bucket of about ``bucket_docs`` documents;
-buckets before it are taken whole, and only that bucket is sorted. A leaf that holds a third of all rows costs no more than others.
+Only counts are shuffled, never texts. Order keys are uniform hashes, so a leaf's prefix ends in one hash bucket of about ``bucket_docs`` documents;
+only that bucket is sorted, to find the document where the prefix ends, and one last pass keeps what lies before it. A leaf that holds a third of all rows costs no more than others.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from collections.abc import Mapping
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from netjoin.llm.common import BROADCAST_ROWS, WORD, materialise, text_or_empty
+from netjoin.llm.common import BROADCAST_ROWS, WORD, materialise
 
 LEVELS = ("domain", "lang", "source")
 #: Production parameters: weights by node name at each level (others count 1), and the domain of a source.
@@ -87,51 +87,46 @@ def mix(docs: DataFrame, *, share: float = 0.5, total: int | None = None, seed:
     Columns: doc_id, domain, lang, source, epoch (from 0), n_tokens, take_tokens (the part of the document inside the leaf's
     token prefix), leaf_budget. With ``keep`` the rows carry all columns of ``docs`` instead, whole documents.
     Tokens are words between white space. The budget is ``total`` tokens, or ``share`` of all; a leaf gives its tokens at most ``max_epochs`` times.
-    Null languages and sources are leaves named ''; null texts have no tokens and are never taken. Rows that repeat are
-    documents of their own. An empty table gives no rows. Order inside an epoch: hash of seed, epoch and id, then id.
+    Null languages and sources are leaves named ''; null texts have no tokens and are never taken. Rows that
+    repeat an id inside a leaf are taken together. An empty table gives no rows. Order inside an epoch: hash of seed, epoch and id, then id.
     """
     names = docs.columns
-    base = docs.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row")) if keep else docs.select(F.struct(F.col(id_col), F.col(lang_col), F.col(source_col), F.col(text_col)).alias("row"))
+    columns = [f"`{n}`" for n in (names if keep else [id_col, lang_col, source_col, text_col])]
+    rows = docs.select(F.struct(*map(F.col, columns)).alias("row"))
     get = lambda c: F.col("row").getField(c)
-    rows = base.select(
-        "row", get(id_col).alias("doc_id"), F.coalesce(get(lang_col).cast("string"), F.lit("")).alias("lang"), F.coalesce(get(source_col).cast("string"), F.lit("")).alias("source"),
-        F.expr(f"regexp_count(coalesce(cast(row.`{text_col}` as string), ''), '{WORD}')".replace("\\", "\\\\")).cast("long").alias("n_tokens"))
+    rows = rows.select("row", get(id_col).alias("doc_id"), F.coalesce(get(lang_col).cast("string"), F.lit("")).alias("lang"), F.coalesce(get(source_col).cast("string"), F.lit("")).alias("source"), get(text_col).cast("string").alias("text"))
     rows = rows.withColumn("domain", domain(F.col("source")))
-    counted = rows.select("doc_id", *LEVELS, "n_tokens").where("n_tokens > 0")
-    if not keep:
-        counted = materialise(counted, "mix-counted")
-        rows = counted
-    else:
-        counted = materialise(counted, "mix-counted")
-        rows = rows.where("n_tokens > 0")
+    counted = rows.select("doc_id", *LEVELS, F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("n_tokens")).where("n_tokens > 0")
+    counted = materialise(counted, "mix-counted")
 
     leaves = materialise(counted.groupBy(*LEVELS).agg(F.sum("n_tokens").alias("tokens"), F.count(F.lit(1)).alias("docs")), "mix-leaves")
     want = F.lit(total) if total is not None else F.floor(F.col("all_tokens") * F.lit(float(share)))
     plan = leaf_budgets(leaves, want, domain_weights=domain_weights, lang_weights=lang_weights, source_weights=source_weights or {}, max_epochs=max_epochs)
-    plan = plan.select(*LEVELS, "tokens", F.col("budget").alias("leaf_budget"), F.expr("budget div tokens").cast("int").alias("whole_epochs"), F.expr("budget % tokens").alias("rest"),
+    plan = plan.select(*LEVELS, F.col("budget").alias("leaf_budget"), F.expr("int(budget div tokens)").alias("whole_epochs"), F.expr("budget % tokens").alias("rest"),
                        F.greatest(F.lit(0), F.ceil(F.log2(F.col("docs") / float(bucket_docs)))).cast("int").alias("depth"))
     plan = materialise(plan, "mix-plan")
-    n_leaves = plan.count()
-    near = F.broadcast if n_leaves <= BROADCAST_ROWS else (lambda x: x)
+    near = F.broadcast if plan.count() <= BROADCAST_ROWS else (lambda x: x)
 
-    def keyed(df: DataFrame) -> DataFrame:
+    def keyed(df: DataFrame, plan: DataFrame) -> DataFrame:
         """Order key of the leaf's last, partial epoch, and its bucket: the key's highest bits."""
         k = df.join(near(plan), list(LEVELS)).withColumn("k", F.xxhash64(F.lit(seed), "whole_epochs", "doc_id"))
         return k.withColumn("bucket", F.expr("CASE WHEN depth = 0 THEN 0L ELSE shiftrightunsigned(k, 64 - depth) END"))
 
-    sums = keyed(counted).where("rest > 0").groupBy(*LEVELS, "bucket", "rest").agg(F.sum("n_tokens").alias("n"))
-    running = Window.partitionBy(*LEVELS).orderBy("bucket")
-    edge = sums.withColumn("upto", F.sum("n").over(running)).where("upto >= rest AND upto - n < rest").select(*LEVELS, F.col("bucket").alias("edge"), (F.col("upto") - F.col("n")).alias("before"))
-    full = materialise(plan.join(edge, list(LEVELS), "left"), "mix-edges")
-    plan = full
-    taken = keyed(rows)
-    epochs = taken.where("whole_epochs > 0").withColumn("epoch", F.explode(F.expr("sequence(0, whole_epochs - 1)"))).withColumn("take_tokens", F.col("n_tokens"))
-    partial = taken.where("rest > 0").withColumn("epoch", F.col("whole_epochs"))
-    inside = partial.where("bucket < edge").withColumn("take_tokens", F.col("n_tokens"))
-    sorted_ = Window.partitionBy(*LEVELS).orderBy("k", "doc_id").rowsBetween(Window.unboundedPreceding, -1)
-    at_edge = partial.where("bucket = edge").withColumn("start", F.col("before") + F.coalesce(F.sum("n_tokens").over(sorted_), F.lit(0))).where("start < rest")
-    at_edge = at_edge.withColumn("take_tokens", F.least("n_tokens", F.col("rest") - F.col("start"))).drop("start")
-    mixed = epochs.unionByName(inside).unionByName(at_edge)
+    # where a leaf's prefix ends: the bucket by running sums of buckets, then the document inside that bucket alone
+    sums = keyed(counted, plan).where("rest > 0").groupBy(*LEVELS, "bucket", "rest").agg(F.sum("n_tokens").alias("n"))
+    over = lambda *order: Window.partitionBy(*LEVELS).orderBy(*order)
+    edge = sums.withColumn("upto", F.sum("n").over(over("bucket"))).where("upto >= rest AND upto - n < rest").select(*LEVELS, F.col("bucket").alias("edge"), (F.col("upto") - F.col("n")).alias("before"))
+    edged = materialise(plan.join(edge, list(LEVELS), "left"), "mix-edges")
+    last = keyed(counted, edged).where("bucket = edge").groupBy(*LEVELS, "rest", "before", "k", "doc_id").agg(F.sum("n_tokens").alias("n"))
+    last = last.withColumn("upto", F.col("before") + F.sum("n").over(over("k", "doc_id").rowsBetween(Window.unboundedPreceding, 0))).where("upto >= rest AND upto - n < rest")
+    cut = last.select(*LEVELS, F.struct("k", "doc_id").alias("cut"), (F.col("rest") - F.col("upto") + F.col("n")).alias("cut_take"))
+    final = materialise(edged.drop("before").join(cut, list(LEVELS), "left"), "mix-cuts")
+
+    spot = F.struct("k", "doc_id")
+    partial = F.expr("rest > 0") & ((F.col("bucket") < F.col("edge")) | ((F.col("bucket") == F.col("edge")) & (spot <= F.col("cut"))))
+    times = F.col("whole_epochs") + F.when(partial, 1).otherwise(0)
+    taken = keyed(rows.where(F.col("text").rlike(WORD)) if keep else counted, final).withColumn("times", times).where("times > 0").withColumn("epoch", F.explode(F.expr("sequence(0, times - 1)")))
     if keep:
-        return mixed.select("row.*")
-    return mixed.select("doc_id", *LEVELS, "epoch", "n_tokens", "take_tokens", "leaf_budget")
+        return taken.select("row.*")
+    ends = (F.col("epoch") == F.col("whole_epochs")) & (F.col("bucket") == F.col("edge")) & (spot == F.col("cut"))
+    return taken.select("doc_id", *LEVELS, "epoch", "n_tokens", F.when(ends, F.least("n_tokens", "cut_take")).otherwise(F.col("n_tokens")).alias("take_tokens"), "leaf_budget")
