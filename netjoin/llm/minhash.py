@@ -154,7 +154,7 @@ def blockwise_links(crowds: DataFrame, sets: DataFrame, *, percent: int, hashes:
     """
     part = crowds.withColumn("stray", F.col("component") != F.col("main"))
     sizes = part.groupBy("main").agg(F.ceil(F.count(F.lit(1)) / float(BLOCK_ROWS)).cast("int").alias("n_all"), F.ceil(F.greatest(F.count_if("stray"), F.lit(1)) / float(BLOCK_ROWS)).cast("int").alias("n_stray"))
-    part = part.join(sizes.hint("merge"), "main")
+    part = join_small(part, materialise(sizes, "crowd-sizes"), ["main"], "inner")
     every = part.withColumn("i", F.pmod(F.xxhash64("rep"), "n_all").cast("int")).withColumn("j", F.explode(F.expr("sequence(0, n_stray - 1)"))).withColumn("asks", F.lit(False))
     asking = part.where("stray").withColumn("j", F.pmod(F.xxhash64("rep", F.lit(1)), "n_stray").cast("int")).withColumn("i", F.explode(F.expr("sequence(0, n_all - 1)"))).withColumn("asks", F.lit(True))
     cols = ["main", "i", "j", "asks", "rep", "component"]
@@ -207,7 +207,8 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     reps = filled.join(shadowed.hint("merge"), "doc_id", "left_anti")
 
     exploded = reps.select(F.col("doc_id").alias("rep"), "n_shingles", F.explode("band_keys").alias("bucket"))
-    crowded = exploded.groupBy("bucket").agg(F.count(F.lit(1)).alias("crowd")).where("crowd > 1")
+    # aggregates are written before they are joined back: then both sides of a join on a hot key are plain exchanges that AQE can split
+    crowded = materialise(exploded.groupBy("bucket").agg(F.count(F.lit(1)).alias("crowd")).where("crowd > 1"), "crowded")
     members = materialise(exploded.join(crowded.hint("merge"), "bucket"), "buckets")
     degree = members.groupBy("rep").agg(F.sum("crowd").alias("meets"))
     members = materialise(members.select("bucket", "rep", "n_shingles").join(degree.hint("merge"), "rep"), "members")
@@ -231,12 +232,14 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
         return f"100L * least({a}, {b}) >= {percent}L * greatest({a}, {b})"
 
     hubs = members.groupBy("bucket").agg(F.max(F.struct("meets", (-F.col("rep")).alias("r"), "n_shingles")).alias("h")).select("bucket", (-F.col("h.r")).alias("a"), F.col("h.n_shingles").alias("size_a"))
+    hubs = materialise(hubs, "hubs")
     starred = members.join(hubs.hint("merge"), "bucket").where("a <> rep AND " + sized("size_a", "n_shingles")).select("a", F.col("rep").alias("b")).distinct()
     links = confirmed(starred, "hub")
     labels = materialise(connected_components(links), "labels")
 
     labelled = members.join(labels.select(F.col("id").alias("rep"), "component").hint("merge"), "rep", "left").select("bucket", "rep", "n_shingles", F.coalesce("component", "rep").alias("component"))
     mixed = labelled.groupBy("bucket").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count(F.lit(1)).alias("crowd")).where("low <> high").select("bucket", "crowd")
+    mixed = materialise(mixed, "mixed")
     open_rows = materialise(labelled.join(mixed.hint("merge"), "bucket"), "open")
 
     few = open_rows.where(F.col("crowd") <= SMALL_BUCKET).withColumn("step", F.floor(F.log("n_shingles") / F.lit(float(np.log(100 / percent)))).cast("int"))
@@ -249,7 +252,7 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     many = open_rows.where(F.col("crowd") > SMALL_BUCKET)
     if not many.isEmpty():
         main = many.groupBy("bucket", "component").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(F.max(F.struct("n", "component")).alias("m")).select("bucket", F.col("m.component").alias("main"))
-        crowds = materialise(many.join(main.hint("merge"), "bucket").select("main", "rep", "component").distinct(), "crowds")
+        crowds = materialise(many.join(materialise(main, "mains").hint("merge"), "bucket").select("main", "rep", "component").distinct(), "crowds")
         wanted = materialise(crowds.select(F.col("rep").alias(id_col)).distinct(), "crowd-ids")
         sets = shingle_sets(join_small(docs.select(id_col, text_col), wanted, [id_col], "left_semi"), words=words, id_col=id_col, text_col=text_col).dropDuplicates(["doc_id"])
         full = materialise(sets.join(reps.select("doc_id", "low_bits").hint("merge"), "doc_id").withColumnRenamed("doc_id", "rep"), "crowd-sets")

@@ -5,8 +5,8 @@ parent got by water filling, so what a child lacks goes to its siblings, and lea
 when the whole subtree is exhausted. Each leaf then takes its budget as a token prefix of seeded epochs: whole epochs first, then
 the first documents of the next epoch's order.
 
-Only counts are shuffled, never texts. Order keys are uniform hashes, so a leaf's prefix ends in one hash bucket of about ``bucket_docs`` documents;
-only that bucket is sorted, to find the document where the prefix ends, and one last pass keeps what lies before it. A leaf that holds a third of all rows costs no more than others.
+Only counts are shuffled, never texts. Order keys are uniform hashes; a leaf of n documents has about sqrt(n) buckets of the keys' highest bits. Running
+sums of the buckets find the one where the leaf's prefix ends, only that bucket is sorted to find the document, and one last pass keeps what lies before it. A leaf that holds a third of all rows costs no more than others.
 """
 
 from __future__ import annotations
@@ -79,7 +79,7 @@ def leaf_budgets(leaves: DataFrame, total: Column, *, domain_weights: Mapping[st
     return leaf.join(budgets.drop("root"), list(LEVELS))
 
 
-def mix(docs: DataFrame, *, share: float = 0.5, total: int | None = None, seed: int = 17, max_epochs: int = 2, bucket_docs: int = 2048, domain=default_domain,
+def mix(docs: DataFrame, *, share: float = 0.5, total: int | None = None, seed: int = 17, max_epochs: int = 2, domain=default_domain,
         domain_weights: Mapping[str, float] = DOMAIN_WEIGHTS, lang_weights: Mapping[str, float] = LANG_WEIGHTS, source_weights: Mapping[str, float] | None = None, keep: bool = False,
         id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """The mixture: one row for each document and epoch that is taken.
@@ -103,7 +103,7 @@ def mix(docs: DataFrame, *, share: float = 0.5, total: int | None = None, seed:
     want = F.lit(total) if total is not None else F.floor(F.col("all_tokens") * F.lit(float(share)))
     plan = leaf_budgets(leaves, want, domain_weights=domain_weights, lang_weights=lang_weights, source_weights=source_weights or {}, max_epochs=max_epochs)
     plan = plan.select(*LEVELS, F.col("budget").alias("leaf_budget"), F.expr("int(budget div tokens)").alias("whole_epochs"), F.expr("budget % tokens").alias("rest"),
-                       F.greatest(F.lit(0), F.ceil(F.log2(F.col("docs") / float(bucket_docs)))).cast("int").alias("depth"))
+                       F.ceil(F.log2("docs") / 2).cast("int").alias("depth"))
     plan = materialise(plan, "mix-plan")
     near = F.broadcast if plan.count() <= BROADCAST_ROWS else (lambda x: x)
 
