@@ -143,7 +143,7 @@ def estimate(left: str, right: str, *, hashes: int, bits: int):
     per = (hashes + 63) // 64
     diff = " + ".join("bit_count(" + " | ".join(f"({left}[{b * per + i}] ^ {right}[{b * per + i}])" for b in range(bits)) + ")" for i in range(per))
     chance = 2.0**-bits
-    return F.expr(f"((1 - ({diff}) / {float(hashes)}) - {chance}) / {1 - chance}")
+    return F.expr(f"((1 - ({diff}) / {float(hashes)}D) - {chance}D) / {1 - chance}D")
 
 
 def blockwise_links(crowds: DataFrame, sets: DataFrame, *, percent: int, hashes: int, bits: int, slack: float) -> DataFrame:
@@ -231,7 +231,7 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     def sized(a: str, b: str) -> str:
         return f"100L * least({a}, {b}) >= {percent}L * greatest({a}, {b})"
 
-    hubs = members.groupBy("bucket").agg(F.max(F.struct("meets", (-F.col("rep")).alias("r"), "n_shingles")).alias("h")).select("bucket", (-F.col("h.r")).alias("a"), F.col("h.n_shingles").alias("size_a"))
+    hubs = members.groupBy("bucket").agg(F.min(F.struct((-F.col("meets")).alias("m"), "rep", "n_shingles")).alias("h")).select("bucket", F.col("h.rep").alias("a"), F.col("h.n_shingles").alias("size_a"))
     hubs = materialise(hubs, "hubs")
     starred = members.join(hubs.hint("merge"), "bucket").where("a <> rep AND " + sized("size_a", "n_shingles")).select("a", F.col("rep").alias("b")).distinct()
     links = confirmed(starred, "hub")
