@@ -17,7 +17,6 @@ probability 1 - (1 - 0.8^rows)^bands: the defaults (64 bands of 8) miss fewer th
 from __future__ import annotations
 
 import hashlib
-import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,8 +27,6 @@ from pyspark.sql import functions as F
 from netjoin.llm.common import BROADCAST_ROWS, join_small, materialise, text_or_empty
 from netjoin.operators.components import connected_components
 
-UPPER = {ord(c): ord(c) + 32 for c in "ABCDEFGHIJKLMNOPQRSTUVWXYZ"}
-_WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 _CHUNK = 1024
 #: Bound of a worker's table of word hashes.
 CACHE_WORDS = 500_000
@@ -42,10 +39,10 @@ BLOCK_ROWS = 1024
 class _Hashes(dict):
     """64-bit hash of a word, remembered in a bounded table."""
 
-    def __missing__(self, word: str) -> int:
+    def __missing__(self, word: bytes) -> int:
         if len(self) >= CACHE_WORDS:
             self.clear()
-        value = self[word] = int.from_bytes(hashlib.blake2b(word.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little")
+        value = self[word] = int.from_bytes(hashlib.blake2b(word, digest_size=8).digest(), "little")
         return value
 
 
@@ -54,7 +51,7 @@ _HASHES = _Hashes()
 
 def shingle_set(text: str | None, words: int) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the text's shingles of so many words; with fewer words, of the whole sequence; without words, empty."""
-    found = _WORDS.findall((text or "").translate(UPPER) if text and not text.isascii() else (text or "").lower())
+    found = (text or "").encode("utf-8", "surrogatepass").lower().split()  # of bytes: A-Z, and the six ASCII white space characters
     if not found:
         return np.empty(0, np.uint64)
     h = np.fromiter(map(_HASHES.__getitem__, found), np.uint64, len(found))
@@ -76,6 +73,7 @@ class Sketcher:
         n = bands * rows
         self.factor = (random.integers(1, 2**31, n, dtype=np.uint32) << np.uint32(1)) | np.uint32(1)
         self.add = random.integers(0, 2**32, n, dtype=np.uint32)
+        self.block = np.empty((64, n), np.uint32)
         self.mix = (random.integers(1, 2**62, (bands, rows), dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
         self.salt = random.integers(1, 2**62, bands, dtype=np.uint64)
 
@@ -83,9 +81,11 @@ class Sketcher:
         low = np.full(len(self.factor), 0xFFFFFFFF, np.uint32)
         x = (shingles >> np.uint64(16)).astype(np.uint32)
         for i in range(0, len(x), 64):
-            h = x[i : i + 64, None] * self.factor
-            h += self.add
-            np.minimum(low, h.min(axis=0), out=low)
+            part = x[i : i + 64]
+            h = self.block[: len(part)]
+            np.multiply(part[:, None], self.factor, out=h)
+            np.add(h, self.add, out=h)
+            np.minimum(low, np.minimum.reduce(h, axis=0), out=low)
         return low
 
     def keys(self, low: np.ndarray) -> np.ndarray:
