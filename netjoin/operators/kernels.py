@@ -77,6 +77,7 @@ class BestPairs:
 def leaf_search(a, b, w, roles: dict[str, np.ndarray], *, k: int | None, theta: int, paths: bool) -> dict[str, list]:
     """Search one part: pairs R-S, and with ``paths`` also R-border, border-border and border-S distances.
 
+    Roles: r and s operands, b border vertices, q the border vertices to search from here (default: all of b).
     Pair distances shrink the bound as soon as k are known; every reported distance is that of a path inside the part.
     """
     extra = np.concatenate([np.asarray(x, np.int64) for x in roles.values()]) if roles else None
@@ -105,7 +106,7 @@ def leaf_search(a, b, w, roles: dict[str, np.ndarray], *, k: int | None, theta:
 
     for x in sorted(r):
         run(x, "pair", "route" if paths else None)
-    for x in sorted(border) if paths else ():
+    for x in sorted(of.get("q", border)) if paths else ():
         run(x, "bs", "bb")
     limit = best.bound()
     out = {name: [row for row in rows if row[2] <= limit] for name, rows in out.items()}

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from netjoin.operators.partition import Hierarchy
@@ -43,3 +43,14 @@ def idle_share(plan: DataFrame, costs: DataFrame, parallelism: int) -> DataFrame
     slots = plan.join(costs, "gp").groupBy("wave", "slot").agg(F.sum("cost").alias("busy"))
     waves = slots.groupBy("wave").agg(F.max("busy").alias("span"), F.sum("busy").alias("work"))
     return waves.agg((1 - F.sum("work") / (F.sum("span") * parallelism)).alias("idle"))
+
+
+def shuffle_totals(spark: SparkSession) -> dict[str, int]:
+    """Bytes shuffled and spilled, and stages run, by this application so far; take differences around an action."""
+    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), None)
+    out = {"shuffle_write": 0, "spilled": 0, "stages": stages.size()}
+    for i in range(stages.size()):
+        stage = stages.apply(i)
+        out["shuffle_write"] += stage.shuffleWriteBytes()
+        out["spilled"] += stage.diskBytesSpilled()
+    return out

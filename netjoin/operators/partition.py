@@ -193,6 +193,14 @@ def spanning_forest(net: Network) -> DataFrame:
     return forest.distinct()
 
 
+def hierarchy_from_forest(net: Network, *, leaves: int = 8, **options) -> Hierarchy:
+    """The unsmoothed hierarchy from one spanning forest: a side's forest is the parent's restricted to it, so every level below the first
+    pass over all edges works on fewer edges than vertices. Seeds by distance are those of the forest."""
+    forest = materialise(spanning_forest(net), "forest")
+    tree = build_hierarchy(Network(net.vertices, forest), leaves=leaves, alpha=0.0, **options)
+    return from_assignment(net, tree.assign.select("id", "gp"), tree.nodes.where("seed_l IS NOT NULL").select("gp", "seed_l", "seed_r"))
+
+
 def bisect_forest(net: Network, left: int, right: int) -> DataFrame:
     """(id, side): the unsmoothed split from two seeds, as the spanning forest with the seeds fused. Unreached components join the smaller side."""
     if left == right:

@@ -22,6 +22,14 @@ def nearest_per_source(pairs: DataFrame, k: int) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(Window.partitionBy("u").orderBy("d", "v"))).where(F.col("rank") <= k)
 
 
+def nearest_lateral(sources: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
+    """The same for every id of ``sources`` by a lateral join, as SQL users write it."""
+    spark = sources.sparkSession
+    sources.select(F.col("id").alias("u")).createOrReplaceTempView("lateral_sources")
+    pairs.createOrReplaceTempView("lateral_pairs")
+    return spark.sql(f"SELECT s.u, p.v, p.d FROM lateral_sources s, LATERAL (SELECT v, d FROM lateral_pairs q WHERE q.u = s.u ORDER BY d, v LIMIT {int(k)}) p")
+
+
 def as_of(queries: DataFrame, facts: DataFrame, key: str, value: str) -> DataFrame:
     """Each query (key, ts, …) with the value of the last fact of its key at or before ts: one union and one window, no range join."""
     q = queries.select(key, "ts", F.lit(1).alias("side"), F.struct(*queries.columns).alias("q"), F.lit(None).cast(facts.schema[value].dataType).alias(value))

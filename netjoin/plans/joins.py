@@ -23,11 +23,13 @@ from pyspark.sql import functions as F
 from netjoin.functions.workspace import materialise
 from netjoin.operators import kernels
 from netjoin.operators.network import Network, assert_disjoint
-from netjoin.operators.partition import Hierarchy
+from netjoin.operators.partition import TASK_EDGES, Hierarchy
 from netjoin.operators.relax import relax
 from netjoin.plans.schedule import SharedBound, run_pool
 
 UNBOUNDED = 1 << 58
+#: Most sources that one task searches from in a leaf; the sources of larger leaves are dealt to several tasks.
+SOURCES_PER_TASK = 20_000
 
 
 @dataclass
@@ -87,7 +89,7 @@ def _leaf_kernel(k: int | None, bound: int, paths: bool):
         gp = key[0].as_py()
         a, b, w = (left.column(c).to_numpy(zero_copy_only=False) for c in ("a", "b", "w"))
         role, ids = np.asarray(right.column("role").to_pylist()), right.column("id").to_numpy(zero_copy_only=False)
-        found = kernels.leaf_search(a, b, w, {name: ids[role == name] for name in ("r", "s", "b")}, k=k, theta=bound, paths=paths)
+        found = kernels.leaf_search(a, b, w, {name: ids[role == name] for name in ("r", "s", "b", "q")}, k=k, theta=bound, paths=paths)
         rows = [(kind, *row) for kind, got in found.items() for row in got]
         cols = list(zip(*rows)) if rows else [[]] * 4
         return pa.table({"gp": pa.array([gp] * len(rows), pa.int64()), "kind": pa.array(cols[0], pa.string()), **{n: pa.array(c, pa.int64()) for n, c in zip(("x", "y", "d"), cols[1:])}})
@@ -101,7 +103,7 @@ def leaf_arcs(net: Network, tree: Hierarchy) -> DataFrame:
     return net.arcs.join(at.select(F.col("id").alias("a"), "gp"), "a").join(at.select(F.col("id").alias("b"), F.col("gp").alias("gp_b")), "b").where("gp = gp_b").select("gp", "a", "b", "w")
 
 
-def operand_roles(tree: Hierarchy, r: DataFrame, s: DataFrame, *, chunks: int = 1) -> DataFrame:
+def operand_roles(tree: Hierarchy, r: DataFrame, s: DataFrame) -> DataFrame:
     """gp, role, id: members of R (r), of S (s), and border vertices (b) of every leaf."""
     at = tree.assign.select("id", "gp")
     border = tree.cross.select(F.col("leaf_a").alias("gp"), F.col("a").alias("id")).unionByName(tree.cross.select(F.col("leaf_b").alias("gp"), F.col("b").alias("id"))).distinct()
@@ -109,7 +111,20 @@ def operand_roles(tree: Hierarchy, r: DataFrame, s: DataFrame, *, chunks: int =
             .unionByName(border.select("gp", F.lit("b").alias("role"), "id")))
 
 
-def leaf_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, *, k: int | None, bound: int, paths: bool = True, engine: str = "task", report: JoinReport | None = None, only: int | None = None) -> DataFrame:
+def _chunked(arcs: DataFrame, roles: DataFrame, per_task: int) -> tuple[DataFrame, DataFrame]:
+    """Deal the sources of large leaves (R, and borders as q) to several tasks, each with a copy of the leaf's arcs and targets: one leaf
+    with most of the network, as unsmoothed splits make, does not wait for one task."""
+    n = roles.where("role IN ('r', 'b')").groupBy("gp").agg(F.ceil(F.count(F.lit(1)) / float(per_task)).cast("int").alias("n"))
+    n = materialise(n, "leaf-chunks")
+    every = F.explode(F.expr("sequence(0, coalesce(n, 1) - 1)"))
+    own = F.pmod(F.xxhash64("id"), F.coalesce("n", F.lit(1))).cast("int")
+    dealt = roles.join(n, "gp", "left")
+    sources = dealt.where("role IN ('r', 'b')").select("gp", own.alias("chunk"), F.when(F.col("role") == "b", "q").otherwise("r").alias("role"), "id")
+    targets = dealt.where("role IN ('s', 'b')").select("gp", every.alias("chunk"), "role", "id")
+    return arcs.join(n, "gp", "left").select("gp", every.alias("chunk"), "a", "b", "w"), sources.unionByName(targets)
+
+
+def leaf_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, *, k: int | None, bound: int, paths: bool = True, engine: str = "task", report: JoinReport | None = None, only: int | None = None, sources_per_task: int = SOURCES_PER_TASK) -> DataFrame:
     """Leaf-local search of all leaves: gp, kind, x, y, d with kinds pair, route (R to border), bb and bs (from a border).
 
     ``task`` searches each leaf in one task; ``frontier`` relaxes all leaves together by joins, for leaves beyond a task.
@@ -118,7 +133,8 @@ def leaf_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, *, k:
     if only is not None:
         arcs, roles = arcs.where(F.col("gp") == only), roles.where(F.col("gp") == only)
     if engine == "task":
-        return arcs.select(F.col("gp").alias("leaf"), "a", "b", "w").groupBy("leaf").cogroup(roles.groupBy("gp")).applyInArrow(_leaf_kernel(k, bound, paths), _LEAF)
+        arcs, roles = _chunked(arcs, roles, sources_per_task)
+        return arcs.select(F.col("gp").alias("leaf"), F.col("chunk").alias("part"), "a", "b", "w").groupBy("leaf", "part").cogroup(roles.groupBy("gp", "chunk")).applyInArrow(_leaf_kernel(k, bound, paths), _LEAF)
     starts = roles.where("role = 'r'" if not paths else "role IN ('r', 'b')").select("id").distinct()
     best = relax(arcs.select("a", "b", "w"), starts.select(F.col("id").alias("src"), F.col("id").alias("node"), F.lit(0).cast("long").alias("d")), bound, report=report.rounds if report else None)
     full = best.join(roles.select(F.col("id").alias("src"), "gp", F.col("role").alias("from")), "src").join(roles.select(F.col("id").alias("node"), F.col("role").alias("to")), "node")
@@ -240,6 +256,8 @@ def _join(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int |
             bound = _deepen(net, r, s, k)
         return top_pairs(unpartitioned_pairs(net, r, s, bound, report), k)
     report.sigma = tree.cross.agg(F.min("w")).first()[0]
+    if engine == "auto":
+        engine = "task" if (tree.nodes.where("leaf").agg(F.max("n_edges")).first()[0] or 0) <= TASK_EDGES else "frontier"
 
     def refresh(pairs: DataFrame) -> int:
         nonlocal bound
@@ -309,14 +327,17 @@ def _checked(k: int | None, theta: int | None, r: DataFrame, s: DataFrame, allow
     assert_disjoint(r, s)
 
 
-def distance_join(net: Network, r: DataFrame, s: DataFrame, theta: int | None, *, hierarchy: Hierarchy | None = None, crossings: str = "closure", engine: str = "task", schedule: str = "waves", parallelism: int = 8,
+def distance_join(net: Network, r: DataFrame, s: DataFrame, theta: int | None, *, hierarchy: Hierarchy | None = None, crossings: str = "closure", engine: str = "auto", schedule: str = "waves", parallelism: int = 8,
                   reuse_routes: bool = True, stop_by_weight: bool = True, allow_unbounded: bool = False, report: JoinReport | None = None) -> DataFrame:
-    """All pairs (u of R, v of S, d) at network distance d <= theta, paths run from u to v."""
+    """All pairs (u of R, v of S, d) at network distance d <= theta, paths run from u to v.
+
+    ``engine``: task (leaves inside tasks), frontier (iterated joins), or auto: tasks unless a leaf is too large for one.
+    """
     _checked(None, theta, r, s, allow_unbounded)
     return _join(net, r, s, None, theta, hierarchy, crossings, "none", engine, schedule, parallelism, reuse_routes, stop_by_weight, report or JoinReport())
 
 
-def closest_pairs(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None = None, *, hierarchy: Hierarchy | None = None, crossings: str = "closure", threshold: str = "pilot+wave", engine: str = "task",
+def closest_pairs(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None = None, *, hierarchy: Hierarchy | None = None, crossings: str = "closure", threshold: str = "pilot+wave", engine: str = "auto",
                   schedule: str = "waves", parallelism: int = 8, reuse_routes: bool = True, stop_by_weight: bool = True, allow_unbounded: bool = False, report: JoinReport | None = None) -> DataFrame:
     """The k pairs (u of R, v of S, d) smallest by (d, u, v), within theta if given; without k, the distance join.
 

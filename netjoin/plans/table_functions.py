@@ -5,8 +5,10 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-from pyspark.sql import Row, SparkSession
-from pyspark.sql.functions import udtf
+import pandas as pd
+from pyspark.sql import Column, Row, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.functions import pandas_udf, udtf
 
 from netjoin.operators import kernels
 
@@ -31,3 +33,18 @@ class LeafPairs:
 
 def register(spark: SparkSession) -> None:
     spark.udtf.register("leaf_pairs", LeafPairs)
+
+
+def kth_distance_udaf(k: int):
+    """A grouped aggregate in Python: the k-th least distinct distance of a group, null if there are fewer. ``kth_distance_native`` is the same in SQL expressions."""
+
+    @pandas_udf("long")
+    def kth(d: pd.Series) -> int:
+        least = sorted(set(d.dropna()))
+        return int(least[k - 1]) if len(least) >= k else None
+
+    return kth
+
+
+def kth_distance_native(column: str, k: int) -> Column:
+    return F.try_element_at(F.array_sort(F.collect_set(column)), F.lit(k))
