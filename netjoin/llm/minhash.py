@@ -204,7 +204,7 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     classes = materialise(filled.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n_class")), "classes")
     several = classes.where("n_class > 1")
     shadowed = sketch.join(several.hint("merge"), "set_key").where("doc_id <> rep").select("doc_id").distinct()
-    reps = filled.join(shadowed.hint("merge"), "doc_id", "left_anti")
+    reps = materialise(filled.join(materialise(shadowed, "shadowed").hint("merge"), "doc_id", "left_anti"), "reps")
 
     exploded = reps.select(F.col("doc_id").alias("rep"), "n_shingles", F.explode("band_keys").alias("bucket"))
     # aggregates are written before they are joined back: then both sides of a join on a hot key are plain exchanges that AQE can split
