@@ -20,10 +20,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from netjoin.llm.common import text_or_empty
+from netjoin.llm.common import slices, text_or_empty
 
 #: Bounds of a worker's table of merged words: entries, and characters of a word that is remembered.
-CACHE_WORDS, CACHE_CHARS = 300_000, 48
+CACHE_WORDS, CACHE_CHARS = 120_000, 48
 
 
 def byte_symbols() -> list[str]:
@@ -181,7 +181,7 @@ def bpe_digests(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = tokenizer(path)
-        for batch in batches:
+        for batch in slices(batches):
             n, a, b = [], [], []
             for text in batch.column(1).to_pylist():
                 ids, decoded = t.encoded(text)
@@ -201,7 +201,7 @@ def bpe_encode(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col:
         import numpy as np
 
         t = tokenizer(path)
-        for batch in batches:
+        for batch in slices(batches):
             lists, ends = [], [0]
             for text in batch.column(1).to_pylist():
                 joined = t.encoded(text)[0]
@@ -219,7 +219,7 @@ def bpe_decode(encoded: DataFrame, path: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = tokenizer(path)
-        for batch in batches:
+        for batch in slices(batches):
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([t.decode(ids or []) for ids in batch.column(1).to_pylist()], pa.string())], names=["doc_id", "text"])
 
     kind = encoded.schema["doc_id"].dataType.simpleString()

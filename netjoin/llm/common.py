@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from netjoin.functions.workspace import materialise, scratch_path
 
-__all__ = ["BROADCAST_ROWS", "SPACE", "WORD", "join_small", "materialise", "scratch_path", "table", "text_or_empty"]
+__all__ = ["BROADCAST_ROWS", "SPACE", "WORD", "join_small", "slices", "materialise", "scratch_path", "table", "text_or_empty"]
 
 # The white space of the contracts, and words as what lies between.
 SPACE = " \t\n\x0b\x0c\r"
@@ -29,3 +32,14 @@ def join_small(big: DataFrame, small: DataFrame, on: list[str], how: str, *, row
     """Join with a written side: broadcast when its counted rows are within BROADCAST_ROWS, else shuffle both."""
     rows = small.count() if rows is None else rows
     return big.join(F.broadcast(small) if rows <= BROADCAST_ROWS else small.hint("merge"), on, how)
+
+
+#: Rows that a Python worker holds as objects at once.
+SLICE_ROWS = 512
+
+
+def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Arrow batches cut into small ones, so that texts and results of few rows are in memory together."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, SLICE_ROWS):
+            yield batch.slice(at, SLICE_ROWS)

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from netjoin.llm.common import slices
+
 _OTHER = re.compile(r"[\W\d_]+")
 #: Characters of a folded text that are compressed at once.
 PIECE = 8192
@@ -86,7 +88,7 @@ def identify(docs: DataFrame, dictionaries: dict[str, bytes], *, margin: float =
     model = tuple(dictionaries.items())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             found = [identify_text(t, model, level) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64())], names=["doc_id", "lang_pred", "score"])
 

@@ -24,12 +24,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from netjoin.llm.common import BROADCAST_ROWS, join_small, materialise, text_or_empty
+from netjoin.llm.common import BROADCAST_ROWS, join_small, materialise, slices, text_or_empty
 from netjoin.operators.components import connected_components
 
-_CHUNK = 1024
 #: Bound of a worker's table of word hashes.
-CACHE_WORDS = 500_000
+CACHE_WORDS = 150_000
 #: What hubs leave open in buckets of at most so many members is paired by a join; larger buckets are compared in blocks.
 SMALL_BUCKET = 16
 #: Most rows of either side of a block.
@@ -104,18 +103,16 @@ def sketches(docs: DataFrame, *, words: int, bands: int, rows: int, bits: int, i
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         s, none = Sketcher(bands, rows, bits), np.empty(0, np.int64)
-        for batch in batches:
-            for at in range(0, batch.num_rows, _CHUNK):
-                part = batch.slice(at, _CHUNK)
-                size, digest, keys, packs = [], [], [], []
-                for text in part.column(1).to_pylist():
-                    found = shingle_set(text, words)
-                    size.append(len(found))
-                    digest.append(hashlib.blake2b(found.tobytes(), digest_size=16).digest())
-                    low = s.minima(found) if len(found) else None
-                    keys.append(s.keys(low) if low is not None else none)
-                    packs.append(s.packed(low) if low is not None else none)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int64()), pa.array(digest, pa.binary()), _lists(keys), _lists(packs)], names=["doc_id", "n_shingles", "set_key", "band_keys", "low_bits"])
+        for part in slices(batches):
+            size, digest, keys, packs = [], [], [], []
+            for text in part.column(1).to_pylist():
+                found = shingle_set(text, words)
+                size.append(len(found))
+                digest.append(hashlib.blake2b(found.tobytes(), digest_size=16).digest())
+                low = s.minima(found) if len(found) else None
+                keys.append(s.keys(low) if low is not None else none)
+                packs.append(s.packed(low) if low is not None else none)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int64()), pa.array(digest, pa.binary()), _lists(keys), _lists(packs)], names=["doc_id", "n_shingles", "set_key", "band_keys", "low_bits"])
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"doc_id {kind}, n_shingles long, set_key binary, band_keys array<long>, low_bits array<long>")
@@ -129,10 +126,8 @@ def shingle_sets(docs: DataFrame, *, words: int, id_col: str, text_col: str) ->
     """doc_id, shingles array<long> (distinct)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, _CHUNK):
-                part = batch.slice(at, _CHUNK)
-                yield pa.RecordBatch.from_arrays([part.column(0), _lists([shingle_set(t, words).view(np.int64) for t in part.column(1).to_pylist()])], names=["doc_id", "shingles"])
+        for part in slices(batches):
+            yield pa.RecordBatch.from_arrays([part.column(0), _lists([shingle_set(t, words).view(np.int64) for t in part.column(1).to_pylist()])], names=["doc_id", "shingles"])
 
     kind = docs.schema[id_col].dataType.simpleString()
     return docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"doc_id {kind}, shingles array<long>")

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from netjoin.llm.common import text_or_empty
+from netjoin.llm.common import slices, text_or_empty
 
 _WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 _SYMBOLS = str.maketrans("", "", "#*$%&|<>")
@@ -77,7 +77,7 @@ def ledger(docs: DataFrame, *, rules: dict[int, tuple[str, str]] | None = None,
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             rows = [measure(t) for t in batch.column(1).to_pylist()]
             columns = list(zip(*rows)) if rows else [()] * len(MEASURES)
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["doc_id", *MEASURES])
@@ -118,7 +118,7 @@ def kept_documents(docs: DataFrame, *, policy: str | int = "v1", id_col: str = "
     at = names.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches):
             rows = [measure(t or "") for t in batch.column(at).to_pylist()]
             sums = [pa.array(c, pa.int64()) for c in zip(*rows)] if rows else [pa.array([], pa.int64())] * len(MEASURES)
             yield pa.RecordBatch.from_arrays([*batch.columns, *sums], names=[*(f"c{i}" for i in range(len(names))), *(f"m_{m}" for m in MEASURES)])
