@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from netjoin.llm.common import slices, text_or_empty
 
 #: Bounds of a worker's table of merged words: entries, and characters of a word that is remembered.
-CACHE_WORDS, CACHE_CHARS = 120_000, 48
+CACHE_WORDS, CACHE_CHARS = 200_000, 48
 
 
 def byte_symbols() -> list[str]:

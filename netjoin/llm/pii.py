@@ -9,7 +9,6 @@ text: no shuffle, no Python. The trees are fitted on the driver from a bounded l
 from __future__ import annotations
 
 import random
-from functools import lru_cache
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -90,9 +89,7 @@ def labelled_candidates(n: int = SAMPLE_ROWS, seed: int = 5) -> list[dict]:
     return out
 
 
-@lru_cache(maxsize=4)
-def _model(session: str, _spark_id: int) -> tuple:
-    spark = SparkSession.getActiveSession()
+def _fit(spark: SparkSession) -> tuple:
     rows = inline_rows(spark, labelled_candidates(), "kind:int,value:string,left:string,right:string,good:int")
     got = rows.select("good", F.expr(_features("kind", "named_struct('value', value, 'left', left, 'right', right)")).alias("f")).collect()
     x, y = np.array([list(r["f"]) for r in got], float), np.array([r["good"] for r in got])
@@ -103,9 +100,14 @@ def _model(session: str, _spark_id: int) -> tuple:
     return fitted, limits
 
 
+_FITTED: list[tuple] = []
+
+
 def fitted_model(spark: SparkSession) -> tuple:
-    """(boosted trees, threshold for each added kind), fitted once for a session."""
-    return _model(spark.sparkContext.applicationId, id(spark._jsparkSession))
+    """(boosted trees, threshold for each added kind), fitted once in a driver: the sample and the fit are the same every time."""
+    if not _FITTED:
+        _FITTED.append(_fit(spark))
+    return _FITTED[0]
 
 
 def pii_spans(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", extra: bool = True) -> DataFrame:
