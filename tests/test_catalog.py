@@ -13,19 +13,26 @@ CHOSEN = ["net_urban_edges", "net_interstate_edges", "net_trade_edges", "net_lin
           "balanced_hash_cut", "objects_latest", "objects_closest", "objects_embedded", "rollup_pairs_by_region", "cube_gp_pairs", "grouping_sets_pairs", "knn_per_u", "asof_position", "interval_meetings", "session_positions", "json_props", "set_ops_pairs", "page_links"]
 
 
+#: The SQL of k-pairs queries searches within a bound that holds k pairs from this size on.
+LARGER = "/root/testdata/sf0.01"
+
+
 @pytest.fixture(scope="module")
 def duck(sf):
-    con = duckdb.connect()
-    for t in TABLES:
-        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
-    return con
+    def over(folder):
+        con = duckdb.connect()
+        for t in TABLES:
+            con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{folder}/{t}.parquet'")
+        return con
+
+    return {folder: over(folder) for folder in (sf, LARGER)}
 
 
 def same(spark, duck, sf, query, oracle):
     df = query(spark, sf)
     names = sorted(df.columns)
     got = sorted((tuple(r[c] for c in names) for r in df.collect()), key=repr)
-    rel = duck.sql(oracle)
+    rel = duck[sf].sql(oracle)
     assert sorted(rel.columns) == names
     want = sorted((tuple(r[rel.columns.index(c)] for c in names) for r in rel.fetchall()), key=repr)
     assert got == want
@@ -33,6 +40,7 @@ def same(spark, duck, sf, query, oracle):
 
 @pytest.mark.parametrize("name", CHOSEN)
 def test_query_equals_sql(spark, duck, sf, name):
+    sf = LARGER if name.startswith("kcp") or name == "naive_pairs" else sf
     same(spark, duck, sf, catalog.queries()[name], catalog.oracle_sql()[name])
 
 
