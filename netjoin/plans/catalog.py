@@ -107,8 +107,8 @@ def kcp_trajectory(spark: SparkSession, d: str) -> DataFrame:
 def _given(spark: SparkSession, d: str):
     """Lines cut in two at half the event ids: an assignment that SQL can repeat."""
     net = prepared_network(spark, d, "lines")
-    half = net.vertices.agg((F.max("id") + 1).alias("n")).select(F.expr("n div 2").alias("half"))
-    assign = net.vertices.crossJoin(F.broadcast(half)).select("id", F.when(F.col("id") < F.col("half"), 2).otherwise(3).cast("long").alias("gp"))
+    half = (net.vertices.agg(F.max("id")).first()[0] + 1) // 2
+    assign = net.vertices.select("id", F.when(F.col("id") < half, 2).otherwise(3).cast("long").alias("gp"))
     tree = partition.from_assignment(net, assign)
     return net, tree, *networks.hash_sets(net, 8, 8)
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -13,10 +15,9 @@ from netjoin.sources.tables import load
 def urban_grid(spark: SparkSession, sf_dir: str) -> Network:
     """Order keys row by row on a square grid: all neighbours in a row, three tenths of those below; weights from price differences."""
     o = load(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("id"), "o_custkey", cents(F.col("o_totalprice")).alias("c"))
-    width = o.agg(F.floor(F.sqrt(F.count(F.lit(1)))).cast("long").alias("width"))
-    at = o.crossJoin(F.broadcast(width))  # one row
-    here = at.select(F.col("id").alias("src"), "c", "width", F.explode(F.array(
-        F.when(F.col("id") % F.col("width") != F.col("width") - 1, F.col("id") + 1), F.when(F.pmod(F.col("id") * 7919 + F.col("o_custkey"), F.lit(100)) < 30, F.col("id") + F.col("width")))).alias("dst")).where("dst IS NOT NULL")
+    width = math.isqrt(o.count())
+    right, below = F.when(F.col("id") % width != width - 1, F.col("id") + 1), F.when(F.pmod(F.col("id") * 7919 + F.col("o_custkey"), F.lit(100)) < 30, F.col("id") + width)
+    here = o.select(F.col("id").alias("src"), "c", F.explode(F.array(right, below)).alias("dst")).where("dst IS NOT NULL")
     there = o.select(F.col("id").alias("dst"), F.col("c").alias("c2"))
     return make_network(here.join(there, "dst").select("src", "dst", (1 + F.abs(F.col("c") - F.col("c2")) % 1000).alias("w")), o.select("id"))
 
