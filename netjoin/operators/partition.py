@@ -84,7 +84,7 @@ def from_assignment(net: Network, assign: DataFrame, info: DataFrame | None = No
 _SPLIT = "kind string, gp long, x long, y long, w long, eid long"
 
 
-def _split_part(alpha: float, how: str, min_share: float, explicit: dict[int, tuple[int, int]], least_vertices: int):
+def _split_part(alpha: float, how: str, min_share: float, explicit: dict[int, tuple[int, int]], least_vertices: int, attach: str):
     def run(key: tuple, rows: pa.Table) -> pa.Table:
         gp = key[0].as_py()
         kind = np.asarray(rows.column("kind").to_pylist())
@@ -100,10 +100,16 @@ def _split_part(alpha: float, how: str, min_share: float, explicit: dict[int, tu
         if len(g.ids) >= least_vertices:
             seeds = tuple(g.local(explicit[gp])) if gp in explicit else kernels.pick_seeds(g, a, b, w, eid, how, alpha, min_share=min_share, eids=eids)
         out: list[tuple] = []
+        apart = None
+        if attach == "separate" and len(g.ids) >= least_vertices:
+            reached = np.ones(len(g.ids), np.int8)
+            g.search({0: 0}, lambda: kernels.INFINITE, lambda x, d: reached.__setitem__(x, 0))
+            if reached.any():
+                apart, seeds = reached, (0, int(np.flatnonzero(reached)[0]))
         if not seeds or len(set(seeds)) < 2:
             out = [("leaf", gp, int(v), None, None, None) for v in g.ids]
         else:
-            side = kernels.grow(g, eids, seeds[0], seeds[1], alpha)
+            side = apart if apart is not None else kernels.grow(g, eids, seeds[0], seeds[1], alpha)
             out.append(("node", gp, int(g.ids[seeds[0]]), int(g.ids[seeds[1]]), None, None))
             out += [("v", 2 * gp + int(s), int(v), None, None, None) for v, s in zip(g.ids, side)]
             i, j = side[np.searchsorted(g.ids, a)], side[np.searchsorted(g.ids, b)]
@@ -114,10 +120,11 @@ def _split_part(alpha: float, how: str, min_share: float, explicit: dict[int, tu
     return run
 
 
-def build_hierarchy(net: Network, *, leaves: int = 8, alpha: float = 0.0, seeds: str = "double_sweep", explicit: dict[int, tuple[int, int]] | None = None, min_share: float = 0.1, max_leaf_edges: int | None = None, engine: str = "auto") -> Hierarchy:
+def build_hierarchy(net: Network, *, leaves: int = 8, alpha: float = 0.0, seeds: str = "double_sweep", explicit: dict[int, tuple[int, int]] | None = None, min_share: float = 0.1, max_leaf_edges: int | None = None, attach: str = "smaller", engine: str = "auto") -> Hierarchy:
     """Recursive bisection to ``leaves`` parts (a power of two is reached; parts of one vertex stay whole).
 
     ``seeds``: double_sweep, random, best_of, longest_tree_edge; ``explicit`` gives seeds for single parts. ``alpha`` smooths by population.
+    ``attach``: where vertices that no seed reaches go: to the smaller side, or (``separate``) a disconnected part is first split into the component of its lowest id and the rest.
     ``max_leaf_edges`` splits on until no leaf has more edges. engine: ``task`` splits every part in a task; ``forest`` makes the cuts
     above TASK_EDGES from spanning forests (alpha 0), as ``auto`` does where a part is too large for a task.
     """
@@ -138,7 +145,7 @@ def build_hierarchy(net: Network, *, leaves: int = 8, alpha: float = 0.0, seeds:
         if engine == "forest" or (engine == "auto" and biggest > TASK_EDGES):
             out = _forest_level(todo)
         else:
-            out = todo.groupBy("gp").applyInArrow(_split_part(alpha, seeds, min_share, explicit or {}, 2), _SPLIT)
+            out = todo.groupBy("gp").applyInArrow(_split_part(alpha, seeds, min_share, explicit or {}, 2, attach), _SPLIT)
         out = materialise(out, f"split-{level + 1}")
         done.append(out.where("kind = 'leaf'").select(F.col("x").alias("id"), "gp"))
         info.append(out.where("kind = 'node'").select("gp", F.col("x").alias("seed_l"), F.col("y").alias("seed_r")))

@@ -216,6 +216,15 @@ def test_leaf_size_guard(spark, world):
     assert tree.nodes.where("leaf").agg(F.max("n_edges")).first()[0] <= 20
 
 
+def test_disconnected_parts(spark):
+    net = net_of(spark, [(1, 2, 4), (2, 3, 1), (11, 12, 4), (12, 13, 2)])
+    for attach, cross in (("smaller", None), ("separate", 0)):
+        tree = partition.build_hierarchy(net, leaves=2, attach=attach, seeds="random")
+        assert tree.assign.count() == 6 and tree.nodes.where("leaf").count() == 2
+        if cross is not None:
+            assert tree.cross.count() == cross and {r["gp"] for r in tree.assign.where("id < 10").collect()} == {2}
+
+
 def test_components_and_relax(spark):
     e = spark.createDataFrame([(i, i + 1) for i in range(1, 40)] + [(100, 101), (101, 102), (7, 7), (None, 3)], "a long, b long")
     got = {r["id"]: r["component"] for r in connected_components(e).collect()}
