@@ -16,8 +16,9 @@ from netjoin.functions.workspace import materialise
 def _star(edges: DataFrame, large: bool) -> DataFrame:
     """edges (a > b): one large-star or small-star contraction."""
     both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))) if large else edges
-    least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-    hung = both.join(least, "a")
+    # written first: then both sides of the join on a hub are plain exchanges, which AQE can split
+    least = materialise(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "cc-least")
+    hung = both.join(least.hint("merge"), "a")
     if large:
         out = hung.where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
     else:
