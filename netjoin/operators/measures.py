@@ -45,12 +45,17 @@ def idle_share(plan: DataFrame, costs: DataFrame, parallelism: int) -> DataFrame
     return waves.agg((1 - F.sum("work") / (F.sum("span") * parallelism)).alias("idle"))
 
 
-def shuffle_totals(spark: SparkSession) -> dict[str, int]:
-    """Bytes shuffled and spilled, and stages run, by this application so far; take differences around an action."""
-    stages = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), None)
-    out = {"shuffle_write": 0, "spilled": 0, "stages": stages.size()}
-    for i in range(stages.size()):
-        stage = stages.apply(i)
-        out["shuffle_write"] += stage.shuffleWriteBytes()
-        out["spilled"] += stage.diskBytesSpilled()
+def shuffle_totals(spark: SparkSession, since: int = 0) -> dict[str, int]:
+    """Stages started by this application so far, and what those numbered ``since`` or later shuffled and spilled, in bytes.
+
+    For one action, pass the ``stages`` of a call before it. Spark's status store keeps only the latest ``spark.ui.retainedStages`` stages.
+    """
+    listed = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), None)
+    out = {"shuffle_write": 0, "spilled": 0, "stages": since}
+    for i in range(listed.size()):
+        stage = listed.apply(i)
+        if stage.stageId() >= since:
+            out["shuffle_write"] += stage.shuffleWriteBytes()
+            out["spilled"] += stage.diskBytesSpilled()
+            out["stages"] = max(out["stages"], stage.stageId() + 1)
     return out
