@@ -14,12 +14,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from netjoin.llm.common import slices, text_or_empty
 
 _WORDS = re.compile(r"[^\x20\x09-\x0D]+")
+_LETTERS, _CAPITALS = regex.compile(r"\p{L}+"), regex.compile(r"\p{Lu}+")
 _SYMBOLS = str.maketrans("", "", "#*$%&|<>")
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_letters")
 
@@ -62,11 +64,8 @@ def measure(text: str) -> tuple[int, ...]:
                 twice[at] = twice[at + 1] = twice[at + 2] = 1
                 repeat = int(twice.sum())
     lines = [x for x in text.split("\n") if _WORDS.search(x)] if "\n" in text else [text] * bool(n)
-    letters = upper = 0
-    if n:
-        swapped = text.lower()
-        letters = sum(map(len, re.findall(r"[^\W\d_]+", text)))
-        upper = sum(a != b for a, b in zip(text, swapped)) if text != swapped and len(swapped) == len(text) else 0
+    letters = sum(map(len, _LETTERS.findall(text)))
+    upper = sum(map(len, _CAPITALS.findall(text)))
     return n, sum(map(len, words)), len(text) - len(text.translate(_SYMBOLS)), len(lines) - len(set(lines)), repeat, len(lines), upper, letters
 
 

@@ -198,6 +198,12 @@ def test_pii_added_and_redacted(spark):
 # 6 quality
 
 
+def test_letters_beyond_ascii():
+    """Letters and capitals are those of Unicode's categories, also where lower-casing changes a text's length; digits of any form are neither."""
+    at = dict(zip(quality.MEASURES, quality.measure("\u0130STANBUL \u00c9t\u00e9 \u00b2\u00bd\u2167 \u01c5 \u6f22")))
+    assert (at["n_letters"], at["n_upper"]) == (13, 9)
+
+
 def test_quality(spark, nasty, empty):
     got = quality.verdicts(nasty).select("doc_id", *quality.MEASURES[:5], "base_failed", "kept").collect()
     want = sorted(((i, *plain.quality(t)) for i, t in texts(nasty)), key=repr)
