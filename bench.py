@@ -1,13 +1,15 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
 Networks, parts and operands are prepared outside the clock, as stored networks would be; a query's time is the join itself.
-``python bench.py --sweeps`` runs the experiment sweeps instead and prints one JSON line for each value.
+``python bench.py --sweeps`` runs the experiment sweeps instead and prints one JSON line for each value; ``--cores`` runs large distance joins
+on 2, 4 and 8 cores, each in a process of its own, and prints the share of the time on two.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import subprocess
 import sys
 import time
 
@@ -58,9 +60,25 @@ def headline(spark: SparkSession, d: str) -> dict[str, float]:
     return out
 
 
+def cores_sweep(counts: tuple[int, ...] = (2, 4, 8)) -> None:
+    first: dict[str, float] = {}
+    for n in counts:
+        got = subprocess.run([sys.executable, __file__, "--heavy"], env=os.environ | {"BENCH_CPUS": str(n)}, stdout=subprocess.PIPE, text=True, check=True)
+        for line in filter(lambda x: x.startswith("{"), got.stdout.splitlines()):
+            row = json.loads(line)
+            base = first.setdefault(row["network"], row["seconds"])
+            print(json.dumps(row | {"share": round(row["seconds"] / base, 3)}), flush=True)
+
+
 def main() -> None:
     d = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
+    if "--cores" in sys.argv:
+        return cores_sweep()
     spark = session()
+    if "--heavy" in sys.argv:
+        for name in workloads.HEAVY:
+            print(json.dumps(workloads.heavy_join(spark, d, name)), flush=True)
+        return
     if "--sweeps" in sys.argv:
         for name in ("urban", "interstate"):
             for parameter in workloads.SWEEPS:

@@ -37,11 +37,17 @@ def drop_path(spark: SparkSession, path: str) -> None:
     at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
-def materialise(df: DataFrame, name: str, *, path: str | None = None) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back: a durable cut of the lineage."""
+def materialise(df: DataFrame, name: str, *, path: str | None = None, by: str | None = None) -> DataFrame:
+    """Write ``df`` as Parquet into the shared folder and read it back: a durable cut of the lineage.
+
+    With ``by``, every value of that column has a folder of its own, so that a filter on it reads nothing else.
+    """
     spark = df.sparkSession
     path = path or scratch_path(spark, name)
-    df.write.mode("overwrite").parquet(path)
+    if by:
+        df.hint("rebalance", by).write.mode("overwrite").partitionBy(by).parquet(path)
+    else:
+        df.write.mode("overwrite").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

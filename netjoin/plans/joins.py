@@ -124,12 +124,14 @@ def _chunked(arcs: DataFrame, roles: DataFrame, per_task: int) -> tuple[DataFram
     return arcs.join(n, "gp", "left").select("gp", every.alias("chunk"), "a", "b", "w"), sources.unionByName(targets)
 
 
-def leaf_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, *, k: int | None, bound: int, paths: bool = True, engine: str = "task", report: JoinReport | None = None, only: int | None = None, sources_per_task: int = SOURCES_PER_TASK) -> DataFrame:
+def leaf_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, *, k: int | None, bound: int, paths: bool = True, engine: str = "task", report: JoinReport | None = None, only: int | None = None, sources_per_task: int = SOURCES_PER_TASK,
+               stored: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
     """Leaf-local search of all leaves: gp, kind, x, y, d with kinds pair, route (R to border), bb and bs (from a border).
 
     ``task`` searches each leaf in one task; ``frontier`` relaxes all leaves together by joins, for leaves beyond a task.
+    ``only`` searches one leaf; ``stored`` holds arcs and roles of all leaves, written by leaf, so that it reads no other.
     """
-    arcs, roles = leaf_arcs(net, tree), operand_roles(tree, r, s)
+    arcs, roles = stored or (leaf_arcs(net, tree), operand_roles(tree, r, s))
     if only is not None:
         arcs, roles = arcs.where(F.col("gp") == only), roles.where(F.col("gp") == only)
     if engine == "task":
@@ -270,9 +272,10 @@ def _join(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int |
     if schedule == "pool":
         shared = SharedBound(bound)
         order = [row["gp"] for row in tree.nodes.where("leaf").orderBy("height", F.desc("gp")).collect()]
+        stored = materialise(leaf_arcs(net, tree), "pool-arcs", by="gp"), materialise(operand_roles(tree, r, s), "pool-roles", by="gp")
 
         def one(gp: int) -> DataFrame:
-            got = materialise(leaf_pairs(net, tree, r, s, k=k, bound=shared.value, paths=paths, engine=engine, only=gp), f"leaf-{gp}")
+            got = materialise(leaf_pairs(net, tree, r, s, k=k, bound=shared.value, paths=paths, engine=engine, only=gp, stored=stored), f"leaf-{gp}")
             if k and threshold != "local":
                 shared.lower(kth_distance(_kind(got, "pair", "u", "v").select("u", "v", "d"), k))
             return got

@@ -10,7 +10,6 @@ from concurrent.futures import ThreadPoolExecutor
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from netjoin.functions.workspace import materialise
 from netjoin.operators.network import Network
 from netjoin.operators.partition import Hierarchy, from_assignment
 
@@ -50,10 +49,10 @@ class SharedBound:
 
 
 def run_pool(spark: SparkSession, parts: list[int], job: Callable[[int], DataFrame], parallelism: int) -> list[DataFrame]:
-    """Run one job for each part, at most ``parallelism`` at once, in the order given; results are written before a slot is free again."""
+    """Run one job for each part, at most ``parallelism`` at once, in the order given. A job writes its result itself, so that its slot is held until then."""
     def one(gp: int) -> DataFrame:
         spark.sparkContext.setLocalProperty("spark.scheduler.pool", f"part-{gp}")
-        return materialise(job(gp), f"pool-{gp}")
+        return job(gp)
 
     with ThreadPoolExecutor(max(1, parallelism)) as pool:
         return list(pool.map(one, parts))

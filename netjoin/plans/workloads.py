@@ -82,3 +82,16 @@ def theta_sweep(spark: SparkSession, sf_dir: str, name: str) -> list[dict]:
         rows = distance_join(p.net, p.r, p.s, theta, hierarchy=p.tree).count()
         out.append({"network": name, "theta": theta, "seconds": round(time.time() - start, 3), "rows": rows})
     return out
+
+
+#: Distance joins with enough work for parallelism to show.
+HEAVY = {"urban": 6000, "interstate": 1200}
+
+
+def heavy_join(spark: SparkSession, sf_dir: str, name: str) -> dict:
+    """A large distance join on the session's cores, after a warm-up on a small one."""
+    p = prepare(spark, sf_dir, name)
+    distance_join(p.net, p.r, p.s, THETAS[name][0], hierarchy=p.tree).count()
+    start = time.time()
+    rows = distance_join(p.net, p.r, p.s, HEAVY[name], hierarchy=p.tree).count()
+    return {"network": name, "theta": HEAVY[name], "cores": spark.sparkContext.defaultParallelism, "seconds": round(time.time() - start, 3), "rows": rows}
