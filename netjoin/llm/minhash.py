@@ -93,7 +93,14 @@ class Sketcher:
         return (k ^ (k >> np.uint64(29))).view(np.int64)
 
     def packed(self, low: np.ndarray) -> np.ndarray:
-        """Low bits of the minima: plane by plane, 64 minima to a long."""
+        """Low bits of the mixed minima: plane by plane, 64 minima to a long.
+
+        Unmixed, the low bits of a minimum would follow from those of its shingle alone (factors are odd), and in small sets
+        unequal minima would not agree in 2^-bits of the cases.
+        """
+        low = (low ^ (low >> np.uint32(16))) * np.uint32(0x85EBCA6B)
+        low = (low ^ (low >> np.uint32(13))) * np.uint32(0xC2B2AE35)
+        low ^= low >> np.uint32(16)
         planes = [np.packbits(((low >> np.uint32(b)) & np.uint32(1)).astype(np.uint8)) for b in range(self.bits)]
         return np.concatenate(planes).view(np.int64)
 
@@ -169,7 +176,7 @@ def blockwise_links(crowds: DataFrame, sets: DataFrame, *, percent: int, hashes:
             apart = other[component[other] != component[x]]
             diff = packs[apart] ^ packs[x]
             planes = np.bitwise_or.reduce(diff.reshape(len(apart), bits, per), axis=1)
-            apart = apart[np.bitwise_count(planes).sum(axis=1) <= least]
+            apart = apart[np.bitwise_count(planes.view(np.uint64)).sum(axis=1) <= least]  # of signed longs it would count the absolute value's bits
             mine = np.sort(flat[ends[x] : ends[x + 1]])
             size = ends[apart + 1] - ends[apart]
             apart = apart[(100 * np.minimum(size, len(mine)) >= percent * np.maximum(size, len(mine)))]
@@ -191,8 +198,8 @@ def near_duplicates(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     Two documents are linked if 100 * |intersection| >= percent * |union| of their distinct shingle sets.
     Null and blank texts have an empty set, no links, and stay. A row with a null id has no links, a null component and stays. Rows that
     repeat an id with one text share a class and its decision. An empty table gives no rows; other columns are not read.
-    ``slack`` is what a bit estimate may fall below the threshold before a pair is dropped unconfirmed: at least
-    six standard deviations of the estimate with the default 512 minima of two bits.
+    ``slack`` is what a bit estimate may fall below the threshold before a pair is dropped unconfirmed: 6.6 standard
+    deviations (0.021) of the estimate at similarity 0.8 with the default 512 minima of two bits, whatever the size of the sets.
     """
     sketch = materialise(sketches(docs, words=words, bands=bands, rows=rows, bits=bits, id_col=id_col, text_col=text_col), "sketches")
     filled = sketch.where("n_shingles > 0 AND doc_id IS NOT NULL")

@@ -326,6 +326,35 @@ def test_estimate(spark):
         assert abs(df.select(minhash.estimate("x", "y", hashes=512, bits=2)).first()[0] - true) < 0.1
 
 
+def test_estimate_holds_for_small_sets():
+    """A set and the same set plus a quarter, from 4 shingles up: the deviation is that of 512 independent minima at every size."""
+    s, r = minhash.Sketcher(64, 8, 2), np.random.default_rng(5)
+    for n in [*range(4, 64, 4), 64, 128]:
+        got = []
+        for _ in range(400):
+            x = r.integers(0, 2**63, n + n // 4, dtype=np.uint64)
+            a, b = s.packed(s.minima(x[:n])), s.packed(s.minima(x))
+            equal = 1 - np.bitwise_count(np.bitwise_or.reduce((a ^ b).view(np.uint64).reshape(2, 8))).sum() / 512
+            got.append((equal - 0.25) / 0.75)
+        assert min(got) >= 0.8 - 0.14 and abs(np.mean(got) - 0.8) < 0.006 and np.std(got) < 0.025, (n, min(got), np.mean(got), np.std(got))
+
+
+@pytest.mark.parametrize("blocks", [False, True])
+def test_small_sets_are_confirmed(spark, blocks):
+    """Five words and the same with a sixth: sets of 4 and 5, similarity 0.8. Unmixed low bits lost these pairs."""
+    rows = [(2 * k + more, " ".join(f"w{i}x{j}" for j in range(5 + more))) for k, i in enumerate([6847, 8919, 10049, 10886, 12415, 13071]) for more in (0, 1)]
+    docs, want = spark.createDataFrame(rows, "doc_id long, text string"), [(i, i + 1) for i in range(0, 12, 2)]
+    if blocks:
+        low = minhash.sketches(docs, words=2, bands=64, rows=8, bits=2, id_col="doc_id", text_col="text").select("doc_id", "low_bits")
+        full = minhash.shingle_sets(docs, words=2, id_col="doc_id", text_col="text").join(low, "doc_id").withColumnRenamed("doc_id", "rep")
+        crowds = docs.selectExpr("0L AS main", "doc_id AS rep", "doc_id AS component")
+        got = minhash.blockwise_links(crowds, full, percent=80, hashes=512, bits=2, slack=0.14)
+        assert sorted({(min(r["a"], r["b"]), max(r["a"], r["b"])) for r in got.collect()} | {(0, 1)}) == want
+    else:
+        got = {r["doc_id"]: r["component_id"] for r in minhash.near_duplicates(docs, words=2).collect()}
+        assert got == {i: i - i % 2 for i in range(12)}
+
+
 # trees and the pipeline
 
 
