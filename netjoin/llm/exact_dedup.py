@@ -2,7 +2,8 @@
 
 Each task is a memtable: it flushes its digests as one sorted Parquet run that carries
 Bloom filters and min/max statistics on the digest. Compaction merges the runs of a level into
-one run that keeps, for each digest, the row that stays and the group's size.
+one run that keeps, for each digest, the row that stays and the group's size. The query makes one flush and one
+compaction, and joins: the filters are written for readers of the stored runs, nothing here consults them.
 Rows that hit a digest of another row are verified byte by byte: the normalised bytes of all
 hits of a digest meet in one min/max aggregation (combined before the shuffle, so
 a group of any size sends at most two texts from each task); digests whose bytes differ are
@@ -31,13 +32,15 @@ class DigestIndex:
     """Levels of sorted digest runs in the shared folder.
 
     ``flush`` appends a level-0 run of postings (digest, doc_id, n_chars), one file for each memtable (task).
-    ``compact`` merges all runs into one level-1 run (digest, keep, group_size) and keeps the smallest rank.
+    ``compact`` merges all runs into one level-1 run (digest, keep, group_size), keeps the smallest rank and retires the
+    level-0 runs it has merged, so that each row counts once.
     ``probe`` looks digests of new rows up without changing the index.
     """
 
     def __init__(self, spark: SparkSession, path: str | None = None):
         self.spark, self.path = spark, path or scratch_path(spark, "digest-index")
         self.runs: list[str] = []
+        self.flushed = self.compacted = 0
         self.merged: str | None = None
 
     def _write(self, df: DataFrame, name: str, ndv: int) -> str:
@@ -49,17 +52,22 @@ class DigestIndex:
 
     def flush(self, postings: DataFrame, *, ndv: int = 200_000) -> DataFrame:
         """Write a batch as a level-0 run and return it as read back."""
-        self.runs.append(self._write(postings, f"l0-{len(self.runs):05d}", ndv))
+        self.runs.append(self._write(postings, f"l0-{self.flushed:05d}", ndv))
+        self.flushed += 1
         return self.spark.read.parquet(self.runs[-1])
 
     def compact(self, *, ndv: int = 200_000) -> DataFrame:
         """Merge level 0 and level 1 into a new level-1 run."""
+        if self.merged and not self.runs:
+            return self.spark.read.parquet(self.merged)
         keep = F.min(F.expr(RANK)).alias("keep")
         fresh = self.spark.read.parquet(*self.runs).groupBy("digest").agg(keep, F.count(F.lit(1)).alias("group_size"))
         if self.merged:
             old = self.spark.read.parquet(self.merged)
             fresh = old.unionByName(fresh).groupBy("digest").agg(F.min("keep").alias("keep"), F.sum("group_size").alias("group_size"))
-        self.merged = self._write(fresh, f"l1-{len(self.runs):05d}", ndv)
+        self.merged = self._write(fresh, f"l1-{self.compacted:05d}", ndv)
+        self.compacted += 1
+        self.runs.clear()
         return self.spark.read.parquet(self.merged)
 
     def probe(self, postings: DataFrame) -> DataFrame:

@@ -88,6 +88,19 @@ def test_index_levels(spark):
     assert {r["doc_id"] for r in index.probe(first).collect()} == {1, 2, 3}
 
 
+def test_index_counts_each_row_once(spark):
+    """Three batches, each compacted: rows of earlier batches stay counted once."""
+    index = exact_dedup.DigestIndex(spark)
+    paths = []
+    for batch in ([(1, 3, "a"), (2, 5, "a"), (3, 1, "b")], [(9, 9, "b")], [(4, 7, "a"), (5, 1, "c")]):
+        index.flush(spark.createDataFrame(batch, "doc_id long, n_chars long, digest string"))
+        merged = index.compact()
+        paths.append(index.merged)
+    assert {r["digest"]: (r["keep"]["c"], r["group_size"]) for r in merged.collect()} == {"a": (4, 3), "b": (9, 2), "c": (5, 1)}
+    assert not index.runs and len(set(paths)) == 3
+    assert {r["digest"]: r["group_size"] for r in index.compact().collect()} == {"a": 3, "b": 2, "c": 1}
+
+
 # 2 secrets
 
 
