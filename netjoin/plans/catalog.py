@@ -86,7 +86,7 @@ def _kcp(name: str, k: int = 80, r: int = 8, s: int = 8, alpha: float = 0.5, the
 def _kcp_parallel(n: int) -> Query:
     def run(spark, d):
         p = prepare(spark, d, "urban")
-        return closest_pairs(p.net, p.r, p.s, 80, hierarchy=cut_hierarchy(p.tree, p.net, n), parallelism=n, schedule="pool" if n <= 4 else "waves")
+        return closest_pairs(p.net, p.r, p.s, 80, hierarchy=cut_hierarchy(p.tree, p.net, n), parallelism=n, schedule="pool")
 
     return run
 

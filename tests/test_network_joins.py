@@ -249,3 +249,18 @@ def test_plans_push_down_and_trim(spark, sf):
     p = spark.createDataFrame([(1, 1, 2, 3)], "gp long, u long, v long, d long")
     assert "TakeOrderedAndProject" in top_pairs(p, 3)._jdf.queryExecution().executedPlan().toString()
     assert "WindowGroupLimit" in trim_pairs(p, 3)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_parallelism_queries_run_in_pools(monkeypatch):
+    """Every registered P is a pool of P: none runs the default schedule."""
+    from types import SimpleNamespace
+
+    from netjoin.plans import catalog
+
+    asked = {}
+    monkeypatch.setattr(catalog, "prepare", lambda *a, **b: SimpleNamespace(net=None, r=None, s=None, tree=None))
+    monkeypatch.setattr(catalog, "cut_hierarchy", lambda tree, net, n: None)
+    monkeypatch.setattr(catalog, "closest_pairs", lambda *a, **b: asked.setdefault(b["parallelism"], b["schedule"]))
+    for n in catalog.SWEEPS["parallelism"]:
+        catalog.queries()[f"kcp_p_{n}"](None, "")
+    assert asked == {n: "pool" for n in catalog.SWEEPS["parallelism"]}
