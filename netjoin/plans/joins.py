@@ -249,7 +249,7 @@ def level_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, found
 
 def _join(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None, tree: Hierarchy | None, crossings: str, threshold: str, engine: str, schedule: str, parallelism: int, reuse_routes: bool, stop_by_weight: bool, report: JoinReport) -> DataFrame:
     bound = UNBOUNDED if theta is None else theta
-    if k is not None and threshold.startswith("pilot") or k is not None and threshold == "wave":
+    if k is not None and threshold == "pilot+wave":
         bound = min(bound, pilot_bound(net, r, s, k) or bound)
     report.trace.append(bound)
     report.crossings = crossings

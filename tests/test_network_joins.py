@@ -264,3 +264,16 @@ def test_parallelism_queries_run_in_pools(monkeypatch):
     for n in catalog.SWEEPS["parallelism"]:
         catalog.queries()[f"kcp_p_{n}"](None, "")
     assert asked == {n: "pool" for n in catalog.SWEEPS["parallelism"]}
+
+
+def test_wave_starts_without_the_pilot(spark, world):
+    """The plain wave has no bound from direct edges; the pilot starts below it. Answers are equal."""
+    edges, net, r, s, rs, ss, tree = world
+    start = {}
+    for threshold in ("wave", "pilot+wave"):
+        report = JoinReport()
+        assert rows(closest_pairs(net, r, s, 3, hierarchy=tree, threshold=threshold, report=report)) == reference.pairs(edges, rs, ss, k=3)
+        start[threshold] = report.trace[0]
+    from netjoin.plans.joins import UNBOUNDED
+
+    assert start["wave"] == UNBOUNDED > start["pilot+wave"]
