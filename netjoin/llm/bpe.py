@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 import unicodedata
 from collections.abc import Iterator
 
@@ -115,6 +116,7 @@ class WordTokenizer:
         self.inner, self.last = [vocab[s] for s in symbols], [vocab[s + self.end] for s in symbols]
         self.words = regex.compile(next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split"))
         self.cut = regex.compile("|".join(regex.escape(s) for s in self.specials)) if self.specials else None
+        self.lead = os.path.commonprefix(list(self.specials))
         self.space = regex.compile(r"\s+")
         self.known: dict[str, tuple[str, str]] = {}
 
@@ -140,7 +142,7 @@ class WordTokenizer:
 
     def _pieces(self, text: str) -> Iterator[tuple[str, str]]:
         at = 0
-        for m in self.cut.finditer(text) if self.cut and "<|" in text else ():
+        for m in self.cut.finditer(text) if self.cut and self.lead in text else ():
             yield text[at : m.start()], m[0]
             at = m.end()
         yield text[at:], ""

@@ -170,6 +170,19 @@ def test_bpe_long_and_special(text):
     assert VOCABULARY.encode(text) == LIBRARY.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("specials", [["[CLS]", "</s>"], ["[CLS]", "[SEP]"], ["<|a|>", "<|b|>"], []])
+def test_special_tokens_of_other_files(tmp_path, specials):
+    """Specials are cut out whatever they begin with."""
+    import json
+
+    with open(public_tokenizers.path("word_bpe_49k.json"), encoding="utf-8") as f:
+        spec = json.load(f)
+    spec["added_tokens"] = [{"content": s, "id": 10**6 + i} for i, s in enumerate(specials)]
+    (tmp_path / "other.json").write_text(json.dumps(spec), encoding="utf-8")
+    pieces = list(bpe.WordTokenizer(str(tmp_path / "other.json"))._pieces("x " + " y ".join(specials)))
+    assert [s for _, s in pieces if s] == specials
+
+
 def test_bpe_frames(nasty, empty):
     path = public_tokenizers.path("word_bpe_49k.json")
     want = {}
