@@ -15,7 +15,7 @@ from netjoin.functions.workspace import drop_path, materialise, scratch_path
 def relax(arcs: DataFrame, seeds: DataFrame, bound: int | None, *, max_rounds: int = 100_000, report: dict | None = None) -> DataFrame:
     """(src, node, d): least cost of each node from each source, d <= bound, starting from seeds (src, node, d).
 
-    ``arcs`` has a, b, w (w >= 1). Without a bound it runs until nothing improves. ``report`` receives the number of rounds and of rows relaxed.
+    ``arcs`` has a, b, w (w >= 1). Without a bound it runs until nothing improves; it raises if that takes more than ``max_rounds``. ``report`` receives the number of rounds and of rows relaxed.
     """
     spark = seeds.sparkSession
     within = (lambda df: df) if bound is None else (lambda df: df.where(F.col("d") <= bound))
@@ -23,10 +23,12 @@ def relax(arcs: DataFrame, seeds: DataFrame, bound: int | None, *, max_rounds: i
     path = scratch_path(spark, "relax")
     state = materialise(within(seeds.select("src", "node", "d")).groupBy("src", "node").agg(F.min("d").alias("d")).withColumn("fresh", F.lit(True)), "relax", path=path)
     rounds = 0
-    while rounds < max_rounds:
+    while True:
         front = state.where("fresh")
         if front.isEmpty():
             break
+        if rounds == max_rounds:
+            raise RuntimeError(f"distances did not settle in {max_rounds} rounds")
         rounds += 1
         reached = within(front.join(steps, "node").select("src", F.col("b").alias("node"), (F.col("d") + F.col("w")).alias("d"))).groupBy("src", "node").agg(F.min("d").alias("new"))
         merged = state.select("src", "node", "d").join(reached, ["src", "node"], "full_outer")

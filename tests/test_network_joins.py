@@ -277,3 +277,11 @@ def test_wave_starts_without_the_pilot(spark, world):
     from netjoin.plans.joins import UNBOUNDED
 
     assert start["wave"] == UNBOUNDED > start["pilot+wave"]
+
+
+def test_relax_does_not_stop_silently(spark):
+    net = net_of(spark, [(i, i + 1, 1) for i in range(6)])
+    seed = spark.createDataFrame([(0, 0, 0)], "src long, node long, d long")
+    with pytest.raises(RuntimeError, match="3 rounds"):
+        relax(net.arcs, seed, None, max_rounds=3)
+    assert {r["node"]: r["d"] for r in relax(net.arcs, seed, None, max_rounds=7).collect()} == {i: i for i in range(7)}
