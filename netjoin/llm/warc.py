@@ -31,8 +31,9 @@ FILE_RECORDS = 20_000
 
 
 def _clean(value: Column) -> Column:
-    """A header value on one line."""
-    return F.regexp_replace(F.replace(F.replace(value, F.lit("\r"), F.lit("%0D")), F.lit("\n"), F.lit("%0A")), "[\\x00]", "%00")
+    """A header value on one line; a space after a value that would make a magic with its line end."""
+    line = F.regexp_replace(F.replace(F.replace(value, F.lit("\r"), F.lit("%0D")), F.lit("\n"), F.lit("%0A")), "[\\x00]", "%00")
+    return F.when(F.endswith(line, F.lit(MAGIC.strip())), F.concat(line, F.lit(" "))).otherwise(line)
 
 
 def repeated_payloads(pages: DataFrame, *, least_bytes: int) -> DataFrame:
@@ -68,7 +69,7 @@ def write_archives(pages: DataFrame, path: str, *, least_bytes: int = LEAST_BYTE
     rows.select(record.alias("value")).write.mode("overwrite").option("maxRecordsPerFile", FILE_RECORDS).text(path)
 
 
-_CANDIDATE = "file string, block long, at long, size long, next long, page_id string, kind string, refers string, n_bytes long, digest string, whole boolean"
+_CANDIDATE = "file string, block long, at long, size long, head long, next long, page_id string, kind string, refers string, n_bytes long, digest string, whole boolean"
 
 
 def _header(piece: bytes) -> tuple[dict[str, str], int]:
@@ -107,7 +108,7 @@ def candidates(spark: SparkSession, path: str) -> DataFrame:
                 stored = kind != "revisit"
                 n_bytes = length if stored else int(given) if given.isdigit() and len(given) < 16 else None
                 digest = hashlib.sha1(payload).hexdigest() if stored and whole else fields.get("warc-payload-digest", "").removeprefix("sha1:")
-                out.append((file, block, at, len(piece), None if length is None else at + magic + head + length + 4, _inside(fields.get("warc-record-id", "")), kind, _inside(fields.get("warc-refers-to", "")), n_bytes, digest, whole))
+                out.append((file, block, at, len(piece), head, None if length is None else at + magic + head + length + 4, _inside(fields.get("warc-record-id", "")), kind, _inside(fields.get("warc-refers-to", "")), n_bytes, digest, whole))
                 at += len(piece) + magic
             yield pa.RecordBatch.from_pylist([dict(zip(names, row)) for row in out], schema=schema)
 
@@ -138,7 +139,8 @@ def reachable(succ: np.ndarray) -> np.ndarray:
 def read_archives(spark: SparkSession, path: str) -> DataFrame:
     """page_id (text), payload_bytes, payload_digest, record_type, refers_to (text) of every record that a chain from its file's start reaches.
 
-    A file is one group of at most its own candidates, some dozens of bytes each. Records whose payload holds the magic are put together again from their pieces.
+    A file is one group of its candidates, some dozens of bytes each. A record whose payload holds the magic lies in several pieces; the chain step
+    says which, and they are put together again. Files without a record give no rows.
     """
     magic = len(MAGIC)
     found = materialise(candidates(spark, path), "warc-candidates")
@@ -158,28 +160,28 @@ def read_archives(spark: SparkSession, path: str) -> DataFrame:
         n = len(real)
         succ = np.fromiter((place.get(int(x), n) for x in following[real]), np.int64, n)
         keep = real[reachable(succ)] if n and start[real[0]] == 0 else real[:0]
-        rows = group.take(pa.array(order[keep]))
-        return rows.append_column("start", pa.array(start[keep], pa.int64())).append_column("stop", pa.array(following[keep], pa.int64())).append_column("base", pa.array(base[keep], pa.int64()))
-
-    kept = materialise(found.groupBy("file").applyInArrow(run, _CANDIDATE + ", start long, stop long, base long"), "warc-chain")
+        # pieces between a kept record and its successor belong to that record
+        owner = keep[np.maximum(np.searchsorted(keep, np.arange(len(start)), side="right") - 1, 0)] if len(keep) else np.zeros(0, np.int64)
+        whole = np.asarray(group.column("whole").to_pylist(), bool)[order]
+        rows = np.flatnonzero((start >= 0) & (start < following[owner]) & ((owner == np.arange(len(start))) | ~whole[owner])) if len(keep) else keep
+        return (group.take(pa.array(order[rows])).append_column("start", pa.array(start[owner[rows]] if len(keep) else [], pa.int64()))
+                .append_column("offset", pa.array(start[rows], pa.int64())))
+
+    chain = materialise(found.groupBy("file").applyInArrow(run, _CANDIDATE + ", start long, offset long"), "warc-chain")
+    kept = chain.where("start = offset")
     records = kept.select("file", "start", "page_id", F.col("n_bytes").alias("payload_bytes"), F.col("digest").alias("payload_digest"), F.col("kind").alias("record_type"), F.col("refers").alias("refers_to"), "whole")
-    spanning = kept.where("NOT whole AND stop > start")
-    if spanning.isEmpty():
+    if kept.where("NOT whole").isEmpty():
         return records.drop("file", "start", "whole")
-    mended = _reassemble(spark, path, found, materialise(spanning, "warc-spanning"))
+    mended = _reassemble(spark, path, chain)
     fixed = records.join(mended, ["file", "start"], "left").withColumn("payload_digest", F.when(~F.col("whole") & (F.col("record_type") != "revisit"), F.col("mended")).otherwise(F.col("payload_digest")))
     return fixed.drop("file", "start", "whole", "mended")
 
 
-def _reassemble(spark: SparkSession, path: str, found: DataFrame, spanning: DataFrame) -> DataFrame:
+def _reassemble(spark: SparkSession, path: str, chain: DataFrame) -> DataFrame:
     """file, start, mended: the digest of payloads that hold the magic, from all pieces between a record's start and its successor."""
     magic = len(MAGIC)
-    from pyspark.sql import Window
-
-    totals = found.groupBy("file", "block").agg(F.max(F.col("at") + F.col("size") + magic).alias("n"))
-    bases = totals.withColumn("base", F.sum("n").over(Window.partitionBy("file").orderBy("block")) - F.col("n")).select("file", "block", "base")
-    places = found.select("file", "block", "at").join(bases, ["file", "block"]).withColumn("offset", F.col("at") + F.col("base") - magic)
-    wanted = places.join(spanning.select("file", "start", "stop"), "file").where("offset >= start AND offset < stop").select("file", "block", "at", "start", "offset")
+    heads = chain.where("start = offset AND NOT whole").select("file", "start", "head")
+    wanted = chain.select("file", "block", "at", "start", "offset").join(heads, ["file", "start"])
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, at = None, 0
@@ -193,16 +195,21 @@ def _reassemble(spark: SparkSession, path: str, found: DataFrame, spanning: Data
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(spots, pa.int64())], names=["piece", "file", "block", "at"])
 
     pieces = _pieces(spark, path).select(F.col("value").cast("binary").alias("value"), "file", "block").mapInArrow(cut, "piece binary, file string, block long, at long")
-    files = spanning.select("file").distinct()
-    parts = pieces.join(files, "file", "left_semi").join(wanted, ["file", "block", "at"]).groupBy("file", "start").agg(F.array_sort(F.collect_list(F.struct("offset", "piece"))).alias("parts"))
-    whole = F.expr(f"substring(aggregate(slice(parts, 2, size(parts)), parts[0].piece, (s, p) -> concat(s, cast('{MAGIC}' AS binary), p.piece)), 1)".replace("\r", "\\r").replace("\n", "\\n"))
-    text = parts.withColumn("whole", whole).withColumn("head", F.expr("locate('0D0A0D0A', hex(whole))"))
-    body = text.withColumn("head", F.expr("int((head + 1) div 2) - 1 + 4")).withColumn("payload", F.expr("substring(whole, head + 1, length(whole) - head - 4)"))
-    return body.select("file", "start", F.sha1("payload").alias("mended"))
+    files = heads.select("file").distinct()
+    parts = pieces.join(files, "file", "left_semi").join(wanted, ["file", "block", "at"]).groupBy("file", "start", "head").agg(F.array_sort(F.collect_list(F.struct("offset", "piece"))).alias("parts"))
+    whole = F.expr(f"aggregate(slice(parts, 2, size(parts)), parts[0].piece, (s, p) -> concat(s, cast('{MAGIC}' AS binary), p.piece))".replace("\r", "\\r").replace("\n", "\\n"))
+    # bytes: the header's length is what the candidate pass has read, and four bytes of trailer follow the payload
+    payload = F.expr("substring(whole, int(head) + 1, length(whole) - int(head) - 4)")
+    return parts.withColumn("whole", whole).select("file", "start", F.sha1(payload).alias("mended"))
 
 
 def archive_round_trip(pages: DataFrame, *, path: str | None = None, id_col: str = "page_id", **options) -> DataFrame:
-    """Write the rows as archives, read them back: page_id, payload_bytes, payload_digest, record_type, refers_to per row."""
+    """Write the rows as archives, read them back: page_id, payload_bytes, payload_digest, record_type, refers_to per row.
+
+    A null payload is empty, a null url an empty header; payloads and urls may hold the magic, line ends and any length. Repeated rows are records each:
+    of equal payloads, all rows with the largest id are responses. A null id comes back null and is never revisited. An empty table gives no rows.
+    Other columns of ``pages`` are not read.
+    """
     spark = pages.sparkSession
     path = path or scratch_path(spark, "archive")
     write_archives(pages, path, id_col=id_col, **options)
