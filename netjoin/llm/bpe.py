@@ -2,7 +2,7 @@
 
 The leaves of the tree hold the merge rank of each adjacent pair of symbols, inner nodes the least of
 their children; from the root one comes down to the leftmost pair of lowest rank. A merge changes three leaves, each
-in logarithmic time, so a word of any length costs O(n log n). Words repeat, so each worker remembers
+in logarithmic time, so a word of any length costs O(n log n); words of all lengths take this way. Words repeat, so each worker remembers
 the merged form of short words in a bounded table.
 
 Texts stay in their partition: one pass in Arrow batches, no shuffle, nothing kept between tasks.
@@ -37,8 +37,6 @@ def byte_symbols() -> list[str]:
     return [table[b] for b in range(256)]
 
 
-#: Children of a tree node; a word with no more pairs than that is a tree of one node.
-FAN = 32
 NONE = 1 << 62
 LOW = (1 << 20) - 1
 
@@ -46,49 +44,45 @@ LOW = (1 << 20) - 1
 def merge_symbols(symbols: list[int], merges: dict[int, int]) -> list[int]:
     """Apply merges (first << 20 | second -> rank << 20 | merged symbol) until none fits; lowest rank first, leftmost of equals.
 
-    A segment tree with FAN children to a node: leaves are the pairs' merges, a node is the least of its children.
+    The tree lies in one list: node i has the children 2i and 2i + 1, the leaves are the pairs' merges, every node is the least of its children.
     """
-    get = merges.get
-    leaves = [get(a << 20 | b, NONE) for a, b in zip(symbols, symbols[1:])]
-    if len(leaves) <= FAN:
-        while leaves and (best := min(leaves)) != NONE:
-            at = leaves.index(best)
-            symbols[at] = best & LOW
-            del symbols[at + 1], leaves[at]
-            if at < len(leaves):
-                leaves[at] = get(symbols[at] << 20 | symbols[at + 1], NONE)
-            if at:
-                leaves[at - 1] = get(symbols[at - 1] << 20 | symbols[at], NONE)
+    n = len(symbols)
+    if n < 2:
         return symbols
-    n, levels = len(symbols), [leaves]
-    while len(levels[-1]) > FAN:
-        below = levels[-1]
-        levels.append([min(below[i : i + FAN]) for i in range(0, len(below), FAN)])
+    get = merges.get
+    width = 1 << (n - 2).bit_length() if n > 2 else 1
+    tree = [NONE] * width + [get(a << 20 | b, NONE) for a, b in zip(symbols, symbols[1:])] + [NONE] * (width - n + 1)
+    for i in range(width - 1, 0, -1):
+        a, b = tree[2 * i], tree[2 * i + 1]
+        tree[i] = a if a < b else b
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-
-    def put(at: int, value: int) -> None:
-        for below, level in zip(levels, levels[1:]):
-            below[at] = value
-            at //= FAN
-            value = min(below[at * FAN : at * FAN + FAN])
-            if level[at] == value:
-                return
-        levels[-1][at] = value
-
-    while (best := min(levels[-1])) != NONE:
-        at = levels[-1].index(best)
-        for below in levels[-2::-1]:
-            at = below.index(best, at * FAN, at * FAN + FAN)
+    while (best := tree[1]) != NONE:
+        i = 1
+        while i < width:
+            i *= 2
+            if tree[i] != best:
+                i += 1
+        at = i - width
         gone = after[at]
         following = after[at] = after[gone]
-        symbols[at], symbols[gone] = best & LOW, -1
+        first, symbols[at], symbols[gone] = before[at], best & LOW, -1
         if following < n:
             before[following] = at
-        if gone < len(leaves):
-            put(gone, NONE)
-        put(at, get(symbols[at] << 20 | symbols[following], NONE) if following < n else NONE)
-        if before[at] >= 0:
-            put(before[at], get(symbols[before[at]] << 20 | symbols[at], NONE))
+            touched = [(gone, NONE), (at, get((best & LOW) << 20 | symbols[following], NONE))]
+        else:
+            touched = [(at, NONE)]
+        if first >= 0:
+            touched.append((first, get(symbols[first] << 20 | best & LOW, NONE)))
+        for i, value in touched:
+            i += width
+            tree[i] = value
+            while i > 1:
+                i >>= 1
+                a, b = tree[2 * i], tree[2 * i + 1]
+                value = a if a < b else b
+                if tree[i] == value:
+                    break
+                tree[i] = value
     return [s for s in symbols if s >= 0]
 
 
@@ -179,7 +173,11 @@ def tokenizer(path: str) -> WordTokenizer:
 
 
 def bpe_digests(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256 for every row; null text counts as empty (no tokens)."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256 for every row.
+
+    Null and empty texts have no tokens and the digests of the empty string. Texts of any length are encoded whole. Equal ranks merge from the left.
+    Rows that repeat are encoded each, a null id is passed on, an empty table gives no rows, and other columns of ``docs`` are not read.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = tokenizer(path)
@@ -197,7 +195,7 @@ def bpe_digests(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col:
 
 
 def bpe_encode(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, token_ids array<int>, n_tokens; null text has an empty list."""
+    """doc_id, token_ids array<int>, n_tokens for every row; the same cases as in ``bpe_digests``, with an empty list where there are no tokens."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
