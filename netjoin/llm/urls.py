@@ -12,7 +12,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from netjoin.llm.common import BROADCAST_ROWS
+from netjoin.llm.common import BROADCAST_ROWS, join_small, materialise
 
 # The rules of the contract, (verdict, host, path).
 RULES = (
@@ -59,22 +59,27 @@ def judge_urls(pages: DataFrame, rules: DataFrame, *, default: str = "allow", id
 
     Null urls and urls without ``://`` have an empty host and path, no rule, and the default verdict. A rule's empty path fits every path,
     its empty host no page. Of the rules that fit, the longest expression wins, then the longer host, then ``allow``.
-    Rows that repeat are judged each; an empty table gives no rows. ``rules`` comes from ``rule_table`` or has its columns;
+    Rows that repeat are judged each, by content alone, whatever their order; urls may have any length, and other columns of ``pages`` are not read. An empty table gives no rows. ``rules`` comes from ``rule_table`` or has its columns;
     up to BROADCAST_ROWS rules are broadcast, more are shuffled.
     """
-    n, lengths = rules.agg(F.count(F.lit(1)), F.array_sort(F.collect_set(F.length("path")))).first()
-    named = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url")).withColumn("row", F.monotonically_increasing_id())
-    parsed = named.select("row", "page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
+    n, lengths, deepest = rules.agg(F.count(F.lit(1)), F.array_sort(F.collect_set(F.length("path"))), F.max(F.size(F.split("host", r"\.", -1)))).first()
+    named = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"))
+    parsed = named.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
     if not n:
         return parsed.select("page_id", "host", "path", F.lit(None).cast("string").alias("rule"), F.lit(default).alias("verdict"))
+    # no rule sees more of a path than its own, or more labels of a host: hosts and path fronts are judged once each
+    front = F.substring("path", 1, max(lengths))
+    seen = parsed.where("host <> ''").select("host", front.alias("front")).distinct()
     labels = F.split("host", r"\.", -1)
-    suffixes = F.transform(F.sequence(F.lit(1), F.size("labels")), lambda i: F.array_join(F.slice("labels", i, F.size("labels")), "."))
-    prefixes = F.transform(F.filter(F.array(*map(F.lit, lengths)), lambda k: k <= F.length("path")), lambda k: F.substring(F.col("path"), F.lit(1), k))
-    wide = parsed.withColumn("labels", labels).withColumn("suffixes", F.when(F.col("host") == "", F.array().cast("array<string>")).otherwise(suffixes))
+    suffixes = F.transform(F.sequence(F.greatest(F.lit(1), F.size("labels") - deepest + 1), F.size("labels")), lambda i: F.array_join(F.slice("labels", i, F.size("labels")), "."))
+    prefixes = F.transform(F.filter(F.array(*map(F.lit, lengths)), lambda k: k <= F.length("front")), lambda k: F.substring(F.col("front"), F.lit(1), k))
+    wide = seen.withColumn("labels", labels).withColumn("suffixes", suffixes)
     pairs = F.flatten(F.transform("suffixes", lambda s: F.transform(prefixes, lambda p: F.struct(s.alias("host"), p.alias("path")))))
-    tried = wide.select("row", F.explode(pairs).alias("e")).select("row", F.col("e.host").alias("host_part"), F.col("e.path").alias("path_part"))
+    tried = wide.select("host", "front", F.explode(pairs).alias("e")).select("host", "front", F.col("e.host").alias("host_part"), F.col("e.path").alias("path_part"))
     tried = tried.withColumn("full", F.sha2(F.concat("host_part", "path_part"), 256)).withColumn("short", F.substring("full", 1, PREFIX_HEX))
     small = rules.select("short", "digest", "expression", "verdict", F.col("host").alias("rule_host"), F.col("path").alias("rule_path"))
     hits = tried.join(F.broadcast(small) if n <= BROADCAST_ROWS else small, "short").where("full = digest AND host_part = rule_host AND path_part = rule_path")
-    best = hits.groupBy("row").agg(F.max(F.struct(F.length("expression").alias("n"), F.length("rule_host").alias("h"), (F.col("verdict") == "allow").alias("mild"), "expression", "verdict")).alias("best"))
-    return parsed.join(best, "row", "left").select("page_id", "host", "path", F.col("best.expression").alias("rule"), F.coalesce("best.verdict", F.lit(default)).alias("verdict"))
+    best = hits.groupBy("host", "front").agg(F.max(F.struct(F.length("expression").alias("n"), F.length("rule_host").alias("h"), (F.col("verdict") == "allow").alias("mild"), "expression", "verdict")).alias("best"))
+    judged = materialise(best.select("host", "front", F.col("best.expression").alias("rule"), F.col("best.verdict").alias("verdict")), "url-verdicts")
+    all_rows = join_small(parsed.withColumn("front", front), judged, ["host", "front"], "left")
+    return all_rows.select("page_id", "host", "path", "rule", F.coalesce("verdict", F.lit(default)).alias("verdict"))
