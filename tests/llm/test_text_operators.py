@@ -170,6 +170,23 @@ def test_bpe_long_and_special(text):
     assert VOCABULARY.encode(text) == LIBRARY.encode(text, add_special_tokens=False).ids
 
 
+@given(st.lists(st.sampled_from("abc"), max_size=40), st.lists(st.tuples(st.sampled_from("abc"), st.sampled_from("abc")), max_size=6, unique=True))
+@settings(max_examples=300, deadline=None)
+def test_tree_equals_rescanning(word, pairs):
+    """The tree against a scan of all pairs after each merge, over made-up merges."""
+    number = {"a": 0, "b": 1, "c": 2}
+    merges = {number[x] << 20 | number[y]: rank << 20 | (rank % 3) for rank, (x, y) in enumerate(pairs)}
+    left = [number[x] for x in word]
+    want = list(left)
+    while True:
+        ranked = [(merges.get(a << 20 | b, bpe.NONE), i) for i, (a, b) in enumerate(zip(want, want[1:]))]
+        if not ranked or min(ranked)[0] == bpe.NONE:
+            break
+        value, i = min(ranked)
+        want[i : i + 2] = [value & bpe.LOW]
+    assert bpe.merge_symbols(left, merges) == want
+
+
 @pytest.mark.parametrize("specials", [["[CLS]", "</s>"], ["[CLS]", "[SEP]"], ["<|a|>", "<|b|>"], []])
 def test_special_tokens_of_other_files(tmp_path, specials):
     """Specials are cut out whatever they begin with."""
@@ -278,6 +295,15 @@ def test_urls(spark):
     assert urls.judge_urls(pages.limit(0), urls.rule_table(spark, many)).count() == 0
 
 
+def test_urls_long_and_clashing(spark):
+    some = ["http://" + "a." * 20_000 + "net/es/" + "x" * 100_000, "http://" + "a" * 100_000 + ".com/" + "/y" * 50_000, "http://b.net/es", "http://b.net/es/", "http://b.net/es/", None]
+    pages = spark.createDataFrame([(i, u) for i, u in enumerate(some)], "page_id long, url string")
+    for name in [*CLASH, "host", "path", "rule", "verdict", "front", "short", "labels"]:
+        pages = pages.withColumn(name, F.lit("x"))
+    got = sorted(tuple(r) for r in urls.judge_urls(pages, urls.rule_table(spark, urls.RULES)).collect())
+    assert got == [(i, *plain.judge(u, urls.RULES)) for i, u in enumerate(some)]
+
+
 # 9 WARC
 
 
@@ -302,6 +328,18 @@ def test_warc(spark, split):
     assert sorted((r["page_id"] or 0, r["record_type"]) for r in warc.archive_round_trip(null_ids).collect()) == [(0, "response"), (0, "response"), (1, "response")]
 
 
+def test_warc_headers_are_cut_by_bytes(spark):
+    """Bytes whose hex has the blank line at odd digits, urls that end in the magic, the largest id twice, and clashing column names."""
+    body = "q" * 1500 + warc.MAGIC + "z"
+    rows = [(1, "http://x/0\u0420\u0421", body), (2, "http://x/WARC/1.1", "a"), (3, "http://y/WARC/1.1", body + "3"), (5, "u", body), (5, "v", body), (6, "http://x/0\u0420\u0421", warc.MAGIC * 3)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1)
+    for name in [*CLASH, "file", "block", "start", "digest2", "head", "whole"]:
+        pages = pages.withColumn(name, F.lit("x"))
+    got = sorted(map(tuple, warc.archive_round_trip(pages).collect()), key=repr)
+    want = [(i, len(h), hashlib.sha1(h.encode()).hexdigest(), "revisit" if i == 1 else "response", 5 if i == 1 else None) for i, _, h in rows]
+    assert got == sorted(want, key=repr)
+
+
 def test_reachable():
     assert warc.reachable(np.array([2, 5, 3, 5, 0])).tolist() == [True, False, True, True, False]
     assert warc.reachable(np.array([], np.int64)).tolist() == []
