@@ -36,8 +36,12 @@ def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = quality.verdicts(table(spark, sf_dir, "documents"))
-    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+    rows = quality.verdicts(quality.ledger(table(spark, sf_dir, "documents")))
+    return rows.select("doc_id", *quality.MEASURES, "bits", "base_failed", "kept")
+
+
+def quality_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.ablation(quality.ledger(table(spark, sf_dir, "documents")))
 
 
 def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -61,18 +65,11 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_exact_dedup, op2_secrets, op3_mixing, op4_bpe, op5_pii, op6_quality, op7_language, op8_urls, op9_warc, op10_minhash, pipeline)}
+    return {f.__name__: f for f in (op1_exact_dedup, op2_secrets, op3_mixing, op4_bpe, op5_pii, op6_quality, op7_language, op8_urls, op9_warc, op10_minhash, quality_ablation, pipeline)}
 
 
-def oracle_sql() -> dict[str, str]:
-    return {
-        "op1_exact_dedup": r"""
-            WITH n AS (SELECT doc_id, coalesce(text, '') AS t, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]', '', 'g') AS norm FROM documents),
-                 r AS (SELECT *, first_value(doc_id) OVER (PARTITION BY norm ORDER BY length(t) DESC, doc_id) AS keep_id,
-                              count(*) OVER (PARTITION BY norm) AS group_size FROM n)
-            SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(norm) AS text_sha256 FROM r""",
-        "op6_quality": r"""
-            WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+_LEDGER = r"""
+                 t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
                  w AS (SELECT doc_id, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS words,
                               list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS lines,
                               length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS n_symbols,
@@ -80,15 +77,26 @@ def oracle_sql() -> dict[str, str]:
                               length(regexp_replace(text, '[^\p{L}]', '', 'g')) AS n_letters,
                               length(regexp_replace(text, '[^\p{Lu}]', '', 'g')) AS n_upper FROM t),
                  g AS (SELECT doc_id, i, [words[i], words[i + 1], words[i + 2]] AS gram FROM (SELECT doc_id, words, unnest(range(1, len(words) - 1)) AS i FROM w)),
-                 r AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, gram) AS n FROM g) WHERE n > 1),
-                 c AS (SELECT doc_id, count(DISTINCT i + k) AS n_repeat_words FROM r, (VALUES (0), (1), (2)) AS o(k) GROUP BY doc_id),
+                 r3 AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, gram) AS n FROM g) WHERE n > 1),
+                 c AS (SELECT doc_id, count(DISTINCT i + k) AS n_repeat_words FROM r3, (VALUES (0), (1), (2)) AS o(k) GROUP BY doc_id),
                  m AS (SELECT w.doc_id, len(words)::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols,
                               (len(lines) - len(list_distinct(lines)))::BIGINT AS n_dup_lines, coalesce(n_repeat_words, 0)::BIGINT AS n_repeat_words,
-                              len(lines) AS n_lines, n_letters, n_upper FROM w LEFT JOIN c USING (doc_id)),
-                 b AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m)
-            SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-                   NOT (base_failed OR 100 * n_symbols > 20 * n_words OR (n_lines >= 10 AND 100 * n_dup_lines > 50 * n_lines) OR word_chars < 2 * n_words
-                        OR word_chars > 20 * n_words OR 100 * n_upper > 60 * n_letters OR n_letters < n_words) AS kept FROM b""",
+                              len(lines)::BIGINT AS n_lines, n_upper::BIGINT AS n_upper, n_letters::BIGINT AS n_letters FROM w LEFT JOIN c USING (doc_id)),
+                 book AS (SELECT *, ((n_words < 50)::BIGINT + 2 * (100 * n_repeat_words > 50 * n_words)::BIGINT + 4 * (100 * n_symbols > 20 * n_words)::BIGINT
+                              + 8 * (n_lines >= 10 AND 100 * n_dup_lines > 50 * n_lines)::BIGINT + 16 * (word_chars < 2 * n_words)::BIGINT + 32 * (word_chars > 20 * n_words)::BIGINT
+                              + 64 * (100 * n_upper > 60 * n_letters)::BIGINT + 128 * (n_letters < n_words)::BIGINT)::BIGINT AS bits FROM m)"""
+
+
+def oracle_sql() -> dict[str, str]:
+    return {
+        "op1_exact_dedup": r"""
+            WITH n AS (SELECT doc_id, coalesce(text, '') AS t, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]', '', 'g') AS norm FROM documents),
+                 r AS (SELECT *, first_value(doc_id) OVER (PARTITION BY norm ORDER BY length(t) DESC, doc_id) AS keep_id,
+                              count(*) OVER (PARTITION BY norm) AS group_size FROM n)
+            SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(norm) AS text_sha256 FROM r""",
+        "op6_quality": f"WITH {_LEDGER} SELECT *, (bits & 3) <> 0 AS base_failed, bits = 0 AS kept FROM book",
+        "quality_ablation": f"WITH {_LEDGER}, r AS (SELECT * FROM (VALUES {', '.join(f"({b}, '{n}')" for b, (n, _) in quality.RULES.items())}) AS t(b, rule))"
+        " SELECT rule, count(*) FILTER ((bits >> b) & 1 = 1) AS n_failed, count(*) FILTER (bits = (1 << b)) AS n_only FROM book, r GROUP BY rule",
         "op9_warc": """
             WITH p AS (SELECT page_id, coalesce(html, '') AS h, octet_length(encode(coalesce(html, '')))::BIGINT AS n FROM pages),
                  k AS (SELECT *, max(page_id) OVER (PARTITION BY h) AS keep FROM p)

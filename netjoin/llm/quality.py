@@ -4,7 +4,7 @@ Every rule is evaluated once for a document; its failure becomes a bit, and what
 a versioned mask: a document passes if none of the policy's bits is set, so policies can be changed or compared without
 reading a text again. Ablations (what each rule alone costs) are bit counts over the ledger.
 
-One pass over the texts in Arrow batches measures them; bits, verdicts and ablations are DataFrame expressions.
+One pass over the texts in Arrow batches measures them; bits, verdicts and ablations are DataFrame expressions over the stored ledger.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from netjoin.llm.common import slices, text_or_empty
+from netjoin.llm.common import materialise, slices, text_or_empty
 
 _WORDS = re.compile(r"[^\x20\x09-\x0D]+")
 _LETTERS, _CAPITALS = regex.compile(r"\p{L}+"), regex.compile(r"\p{Lu}+")
@@ -69,21 +69,27 @@ def measure(text: str) -> tuple[int, ...]:
     return n, sum(map(len, words)), len(text) - len(text.translate(_SYMBOLS)), len(lines) - len(set(lines)), repeat, len(lines), upper, letters
 
 
-def ledger(docs: DataFrame, *, rules: dict[int, tuple[str, str]] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, the measures, and ``bits``: one failure bit for each rule. One row for every row; null text has no words.
-
-    Lines count as equal if identical, and only lines with a word count. Other columns of ``docs`` are not read.
-    """
+def measured(docs: DataFrame, text_col: str) -> DataFrame:
+    """The columns of ``docs`` as one struct ``row``, the measures, and ``bits``: one failure bit for each rule. One pass, no join."""
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), text_or_empty(f"`{text_col}`").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            rows = [measure(t) for t in batch.column(1).to_pylist()]
-            columns = list(zip(*rows)) if rows else [()] * len(MEASURES)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["doc_id", *MEASURES])
+            found = [measure(t) for t in batch.column(1).to_pylist()]
+            columns = list(zip(*found)) if found else [()] * len(MEASURES)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["row", *MEASURES])
+
+    return rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, " + ", ".join(f"{m} long" for m in MEASURES)).withColumn("bits", failure_bits(RULES))
+
+
+def ledger(docs: DataFrame, *, path: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, the measures, and ``bits``: one failure bit for each rule, one row for every row, written to ``path`` (or the shared scratch folder) and read back.
 
-    kind = docs.schema[id_col].dataType.simpleString()
-    measured = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("text")).mapInArrow(run, f"doc_id {kind}, " + ", ".join(f"{m} long" for m in MEASURES))
-    return measured.withColumn("bits", failure_bits(rules or RULES))
+    Null and empty texts have no words. Lines count as equal if identical, and only lines with a word count. Texts of any length are measured whole. Rows that repeat
+    are measured each, a null id is passed on, and an empty table gives an empty ledger. Other columns of ``docs`` are not read.
+    """
+    book = measured(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), "text")
+    return materialise(book.select("row.doc_id", *MEASURES, "bits"), "quality-ledger", path=path)
 
 
 def failure_bits(rules: dict[int, tuple[str, str]]) -> Column:
@@ -95,35 +101,22 @@ def passes(policy: str | int) -> Column:
     return F.expr(f"(bits & {mask}L) = 0")
 
 
-def verdicts(docs: DataFrame, *, policy: str | int = "v1", **columns) -> DataFrame:
-    """The ledger with base_failed and kept: false where a base rule fails, else the policy's verdict."""
+def verdicts(book: DataFrame, *, policy: str | int = "v1") -> DataFrame:
+    """The ledger with base_failed and kept: false where a base rule fails, else the policy's verdict. No text is read."""
     base = passes("base")
-    return ledger(docs, **columns).withColumn("base_failed", ~base).withColumn("kept", base & passes(policy))
+    return book.withColumn("base_failed", ~base).withColumn("kept", base & passes(policy))
 
 
-def ablation(book: DataFrame, policy: str | int = "v1", rules: dict[int, tuple[str, str]] | None = None) -> DataFrame:
-    """For each rule of the policy: documents that fail it, and documents that only this rule rejects. One aggregation."""
+def ablation(book: DataFrame, policy: str | int = "v1") -> DataFrame:
+    """rule, n_failed, n_only for each rule of the policy: documents that fail it, and documents that only this rule rejects. One aggregation over the bits;
+    an empty ledger gives zeros."""
     mask = POLICIES[policy] if isinstance(policy, str) else policy
-    used = [(b, n) for b, (n, _) in sorted((rules or RULES).items()) if mask >> b & 1]
+    used = [(b, n) for b, (n, _) in sorted(RULES.items()) if mask >> b & 1]
     sums = [F.expr(f"count_if(bit_get(bits, {b}) = 1)").alias(f"f{b}") for b, _ in used] + [F.expr(f"count_if((bits & {mask}L) = {1 << b}L)").alias(f"o{b}") for b, _ in used]
     rows = ", ".join(f"'{n}', f{b}, o{b}" for b, n in used)
     return book.agg(*sums).selectExpr(f"stack({len(used)}, {rows}) AS (rule, n_failed, n_only)")
 
 
-def kept_documents(docs: DataFrame, *, policy: str | int = "v1", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that the policy keeps, with all their columns, in one pass and without a join."""
-    names = docs.columns
-    mask = POLICIES[policy] if isinstance(policy, str) else policy
-    at = names.index(text_col)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
-            rows = [measure(t or "") for t in batch.column(at).to_pylist()]
-            sums = [pa.array(c, pa.int64()) for c in zip(*rows)] if rows else [pa.array([], pa.int64())] * len(MEASURES)
-            yield pa.RecordBatch.from_arrays([*batch.columns, *sums], names=[*(f"c{i}" for i in range(len(names))), *(f"m_{m}" for m in MEASURES)])
-
-    schema = ", ".join([*(f"c{i} {f.dataType.simpleString()}" for i, f in enumerate(docs.schema)), *(f"m_{m} long" for m in MEASURES)])
-    measured = docs.toDF(*(f"c{i}" for i in range(len(names)))).mapInArrow(run, schema)
-    rules = {b: (n, re.sub(r"\b(" + "|".join(MEASURES) + r")\b", r"m_\1", c)) for b, (n, c) in RULES.items()}
-    fine = measured.withColumn("m_bits", failure_bits(rules)).where(f"(m_bits & {mask | POLICIES['base']}L) = 0")
-    return fine.select(*(F.col(f"c{i}").alias(n) for i, n in enumerate(names)))
+def kept_documents(docs: DataFrame, *, policy: str | int = "v1", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that the policy keeps, with all their columns; the cases are those of ``ledger``."""
+    return measured(docs, text_col).where(passes("base") & passes(policy)).select("row.*")
