@@ -101,6 +101,27 @@ def test_index_counts_each_row_once(spark):
     assert {r["digest"]: r["group_size"] for r in index.compact().collect()} == {"a": 3, "b": 2, "c": 1}
 
 
+def test_null_ids_are_verified(spark):
+    """Two texts of one digest, one of them without an id: told apart by their bytes."""
+    docs = spark.createDataFrame([(None, "aaa"), (5, "bbb"), (None, "b b b"), (7, "ccc ccc")], "doc_id long, text string")
+    got = exact_dedup.exact_groups(docs, digest=lambda t: F.length(t).cast("string")).select("doc_id", "keep_id", "group_size", "kept", "text_sha256").collect()
+    assert sorted(map(tuple, got), key=repr) == plain.exact(texts(docs))
+
+
+def test_filters_rule_out_and_never_lose(spark):
+    """Every digest of the run passes its filter, most others do not, and a lookup shuffles no more than those that pass."""
+    index = exact_dedup.DigestIndex(spark)
+    index.flush(spark.range(4000).selectExpr("id AS doc_id", "id AS n_chars", "sha2(string(id div 2 * int(id < 2000) + id * int(id >= 2000)), 256) AS digest"))
+    index.compact()
+    asked = spark.range(20_000).selectExpr("id AS doc_id", "id AS n_chars", "sha2(string(id), 256) AS digest")
+    marked = asked.withColumn("asks", index.passes(F.col("digest"), "shared"))
+    held = {r["digest"] for r in index.level("shared").collect()}
+    passed = {r["digest"] for r in marked.where("asks").collect()}
+    assert len(held) == 1000 and held <= passed and len(passed) < 1000 + 19_000 // 20
+    found = {r["doc_id"]: r["group_size"] for r in index.probe(asked).collect()}
+    assert found == {i: 2 for i in range(1000)} | {i: 1 for i in range(2000, 4000)}
+
+
 # 2 secrets
 
 
@@ -248,13 +269,13 @@ def test_letters_beyond_ascii():
 
 
 def test_quality(spark, nasty, empty):
-    got = quality.verdicts(nasty).select("doc_id", *quality.MEASURES[:5], "base_failed", "kept").collect()
+    got = quality.verdicts(quality.ledger(nasty)).select("doc_id", *quality.MEASURES[:5], "base_failed", "kept").collect()
     want = sorted(((i, *plain.quality(t)) for i, t in texts(nasty)), key=repr)
     assert sorted((tuple(r)[:7] for r in got), key=repr) == want
     assert not any(r["kept"] and r["base_failed"] for r in got)
     kept = quality.kept_documents(nasty)
     assert kept.columns == nasty.columns and kept.count() == sum(r["kept"] for r in got)
-    assert quality.verdicts(empty).count() == 0 and quality.kept_documents(empty).count() == 0
+    assert quality.verdicts(quality.ledger(empty)).count() == 0 and quality.kept_documents(empty).count() == 0
 
 
 def test_ledger_policies(nasty):
@@ -437,7 +458,7 @@ def test_pipeline(spark, sf, nasty, empty):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     rows = texts(docs)
     for (_, stage), check in zip(corpus_pipeline.STAGES[:3], (
-        lambda now: {r["doc_id"] for r in quality.verdicts(now).where("kept").collect()},
+        lambda now: {r["doc_id"] for r in quality.verdicts(quality.ledger(now)).where("kept").collect()},
         lambda now: {i for i, _, _, kept, _ in plain.exact(texts(now)) if kept},
         lambda now: {i for i, (_, c) in plain.components(texts(now), 5).items() if i == c},
     )):
