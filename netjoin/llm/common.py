@@ -28,10 +28,10 @@ def text_or_empty(name: str) -> Column:
     return F.coalesce(F.col(name).cast("string"), F.lit(""))
 
 
-def join_small(big: DataFrame, small: DataFrame, on: list[str], how: str, *, rows: int | None = None) -> DataFrame:
-    """Join with a written side: broadcast when its counted rows are within BROADCAST_ROWS, else shuffle both."""
+def join_small(big: DataFrame, small: DataFrame, on: list[str], how: str, *, rows: int | None = None, limit: int = BROADCAST_ROWS) -> DataFrame:
+    """Join with a written side: broadcast when its counted rows are within ``limit`` (less for wide rows), else shuffle both."""
     rows = small.count() if rows is None else rows
-    return big.join(F.broadcast(small) if rows <= BROADCAST_ROWS else small.hint("merge"), on, how)
+    return big.join(F.broadcast(small) if rows <= limit else small.hint("merge"), on, how)
 
 
 #: Rows that a Python worker holds as objects at once.
