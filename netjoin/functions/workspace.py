@@ -10,18 +10,21 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 _LOCAL: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share; a local one only where none is set (tests)."""
+    """Folder that driver and executors share. A local one of its own only on a local master where none is set (tests); a cluster must name one."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if base:
         return base.rstrip("/")
     if spark.sparkContext.getCheckpointDir():
         return spark.sparkContext.getCheckpointDir().rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return _LOCAL.setdefault("dir", "file://" + tempfile.mkdtemp(prefix="netjoin-"))
 
 
@@ -51,6 +54,20 @@ def materialise(df: DataFrame, name: str, *, path: str | None = None, by: str |
     return spark.read.schema(df.schema).parquet(path)
 
 
+def counted(df: DataFrame, name: str, *, path: str | None = None, **sums: Column) -> tuple[DataFrame, dict[str, int]]:
+    """``materialise``, with the number of rows (``n``) and further aggregates taken on the way."""
+    seen = Observation()
+    kept = materialise(df.observe(seen, F.count(F.lit(1)).alias("n"), *(c.alias(k) for k, c in sums.items())), name, path=path)
+    return kept, {k: v or 0 for k, v in seen.get.items()}
+
+
+def drop_tables(*tables: DataFrame) -> None:
+    """Delete written tables that nothing reads any more."""
+    for t in tables:
+        for folder in {f.rsplit("/", 1)[0] for f in t.inputFiles()}:
+            drop_path(t.sparkSession, folder)
+
+
 def release_scratch(spark: SparkSession) -> None:
     """Drop everything this application has written to its scratch space."""
     drop_path(spark, f"{shared_dir(spark)}/netjoin/{spark.sparkContext.applicationId}")

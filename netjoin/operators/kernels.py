@@ -5,7 +5,8 @@ Pure functions over arrays; Spark ships them groups of Arrow columns. Nothing he
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterable
+from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
 from heapq import heappop, heappush
 
 import numpy as np
@@ -14,104 +15,129 @@ INFINITE = 1 << 60
 
 
 class LocalGraph:
-    """Adjacency of a group of arcs over dense local numbers."""
+    """Adjacency of a group of arcs over dense local numbers, in arrays: the arcs of x are start[x] to start[x + 1]."""
 
     def __init__(self, a: np.ndarray, b: np.ndarray, w: np.ndarray, extra: np.ndarray | None = None):
         every = [a, b] + ([extra] if extra is not None else [])
-        self.ids = np.unique(np.concatenate(every)) if every else np.empty(0, np.int64)
+        self.ids = np.unique(np.concatenate(every))
         i, j = np.searchsorted(self.ids, a), np.searchsorted(self.ids, b)
-        order = np.argsort(i, kind="stable")
-        self.ends = np.searchsorted(i[order], np.arange(len(self.ids) + 1)).tolist()
-        self.to, self.w = j[order].tolist(), w[order].tolist()
-
-    def local(self, ids: Iterable[int]) -> list[int]:
-        wanted = np.asarray(list(ids), np.int64)
-        at = np.searchsorted(self.ids, wanted)
-        ok = (at < len(self.ids)) & (self.ids[np.minimum(at, len(self.ids) - 1)] == wanted) if len(self.ids) else np.zeros(len(wanted), bool)
-        return at[ok].tolist()
-
-    def search(self, starts: dict[int, int], bound: Callable[[], int], visit: Callable[[int, int], None]) -> tuple[int, int]:
-        """Best-first from several starts (vertex -> cost) while the cost is within ``bound()``; returns settled vertices and relaxed arcs."""
-        heap = [(d, x) for x, d in starts.items()]
-        heap.sort()
-        known, done = dict(starts), set()
-        relaxed = 0
+        self.order = np.argsort(i, kind="stable")
+        self.start = np.searchsorted(i[self.order], np.arange(len(self.ids) + 1))
+        self.to, self.w = j[self.order], w[self.order]
+
+    def local(self, ids: Iterable[int]) -> np.ndarray:
+        """Local numbers of those ids that are in the group."""
+        wanted = np.asarray(list(ids) if not isinstance(ids, np.ndarray) else ids, np.int64)
+        if not len(self.ids):
+            return np.empty(0, np.int64)
+        at = np.minimum(np.searchsorted(self.ids, wanted), len(self.ids) - 1)
+        return at[self.ids[at] == wanted]
+
+    def mask(self, ids: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(self.ids), bool)
+        out[self.local(ids)] = True
+        return out
+
+    def search(self, start: int) -> Iterator[tuple[int, int]]:
+        """(distance, vertex) of everything reachable, nearest first."""
+        heap, known, done = [(0, start)], {start: 0}, set()
         while heap:
             d, x = heappop(heap)
             if x in done:
                 continue
-            limit = bound()
-            if d > limit:
-                break
             done.add(x)
-            visit(x, d)
-            for e in range(self.ends[x], self.ends[x + 1]):
-                y = self.to[e]
-                nd = d + self.w[e]
-                relaxed += 1
-                if nd <= limit and nd < known.get(y, INFINITE):
-                    known[y] = nd
-                    heappush(heap, (nd, y))
-        return len(done), relaxed
+            yield d, x
+            at, end = self.start[x], self.start[x + 1]
+            for y, w in zip(self.to[at:end].tolist(), self.w[at:end].tolist()):
+                if d + w < known.get(y, INFINITE):
+                    known[y] = d + w
+                    heappush(heap, (d + w, y))
 
 
 class BestPairs:
     """The k smallest distances seen so far, as a shrinking bound; without k the bound stays."""
 
     def __init__(self, k: int | None, bound: int):
-        self.k, self.limit, self.heap = k, bound, []
+        self.k, self.limit, self.kept = k, bound, np.empty(0, np.int64)
+
+    def least(self, more: np.ndarray) -> np.ndarray:
+        every = np.concatenate([self.kept, more])
+        return np.partition(every, self.k - 1)[: self.k] if len(every) > self.k else every
+
+    def within(self, more: np.ndarray) -> int:
+        """The bound if these distances, which may still shrink, were added."""
+        if not self.k or len(self.kept) + len(more) < self.k:
+            return self.limit
+        return min(self.limit, int(self.least(more).max()))
+
+    def add(self, more: np.ndarray) -> None:
+        if self.k:
+            self.limit = self.within(more)
+            self.kept = self.least(more)
+
 
-    def add(self, d: int) -> None:
-        if not self.k:
-            return
-        heappush(self.heap, -d)
-        if len(self.heap) > self.k:
-            heappop(self.heap)
-        if len(self.heap) == self.k:
-            self.limit = min(self.limit, -self.heap[0])
+#: Cells, sources of a batch times vertices, of the distance table of a search (32 MB).
+CELLS = 1 << 22
 
-    def bound(self) -> int:
-        return self.limit
 
+@dataclass
+class Work:
+    settled: int = 0
+    relaxed: int = 0
 
-def leaf_search(a, b, w, roles: dict[str, np.ndarray], *, k: int | None, theta: int, paths: bool) -> dict[str, list]:
-    """Search one part: pairs R-S, and with ``paths`` also R-border, border-border and border-S distances.
 
-    Roles: r and s operands, b border vertices, q the border vertices to search from here (default: all of b).
-    Pair distances shrink the bound as soon as k are known; every reported distance is that of a path inside the part.
+def reach(g: LocalGraph, sources: np.ndarray, costs: np.ndarray, marks: dict[str, np.ndarray], best: BestPairs, counted: str | None = None, work: Work | None = None) -> dict[str, tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Least costs from every source to the marked vertices within the bound: kind -> (source, vertex, cost), local numbers.
+
+    Sources start with ``costs``. A batch of sources is relaxed together over a table of sources times vertices, all improved cells in one step, until
+    nothing improves. Costs of the kind ``counted`` shrink the bound, also before they are final: each is the length of a real path.
     """
-    extra = np.concatenate([np.asarray(x, np.int64) for x in roles.values()]) if roles else None
-    g = LocalGraph(a, b, w, extra)
-    of = {name: set(g.local(ids)) for name, ids in roles.items()}
-    r, s, border = of.get("r", set()), of.get("s", set()), of.get("b", set())
-    best = BestPairs(k, theta)
-    out: dict[str, list] = {"pair": [], "route": [], "bb": [], "bs": [], "work": []}
-    settled = relaxed = 0
-    ids = g.ids.tolist()
-
-    def run(source: int, to_s: str, to_border: str | None) -> None:
-        nonlocal settled, relaxed
-        here = ids[source]
-
-        def visit(x: int, d: int) -> None:
-            if x in s:
-                out[to_s].append((here, ids[x], d))
-                if to_s == "pair":
-                    best.add(d)
-            if to_border and x in border and not (to_border == "bb" and x == source):
-                out[to_border].append((here, ids[x], d))
-
-        n, m = g.search({source: 0}, best.bound, visit)
-        settled, relaxed = settled + n, relaxed + m
-
-    for x in sorted(r):
-        run(x, "pair", "route" if paths else None)
-    for x in sorted(of.get("q", border)) if paths else ():
-        run(x, "bs", "bb")
-    limit = best.bound()
-    out = {name: [row for row in rows if row[2] <= limit] for name, rows in out.items()}
-    out["work"] = [(settled, relaxed, len(border))]
-    return out
+    n, work = len(g.ids), work or Work()
+    parts: dict[str, list] = {kind: [] for kind in marks}
+    batch = max(1, min(len(sources), CELLS // max(1, n)))
+    table = np.full(batch * n, INFINITE, np.int64)
+    for at in range(0, len(sources), batch):
+        here = sources[at : at + batch]
+        front = np.arange(len(here)) * n + here
+        table[front] = costs[at : at + batch]
+        touched, hits, limit = [front], [front[marks[counted][here]]] if counted else [], best.limit
+        while True:
+            if counted and len(hits[-1]):
+                limit = best.within(table[np.concatenate(hits)])
+            front = front[table[front] <= limit]
+            if not len(front):
+                break
+            x = front % n
+            first, count = g.start[x], g.start[x + 1] - g.start[x]
+            total = int(count.sum())
+            work.relaxed += total
+            of = np.repeat(np.arange(len(front)), count)
+            arc = np.arange(total) + np.repeat(first - np.cumsum(count) + count, count)
+            cost, cell = table[front][of] + g.w[arc], (front - x)[of] + g.to[arc]
+            better = (cost <= limit) & (cost < table[cell])
+            cell, cost = cell[better], cost[better]
+            order = np.lexsort((cost, cell))
+            cell, cost = cell[order], cost[order]
+            least = np.append(True, cell[1:] != cell[:-1]) if len(cell) else np.empty(0, bool)
+            front, cost = cell[least], cost[least]
+            new = front[table[front] == INFINITE]
+            table[front] = cost
+            touched.append(new)
+            if counted:
+                hits.append(new[marks[counted][new % n]])
+        cells = np.concatenate(touched)
+        d = table[cells]
+        table[cells] = INFINITE
+        cells, d = cells[d <= limit], d[d <= limit]
+        work.settled += len(cells)
+        row, x = np.divmod(cells, n)
+        for kind, mark in marks.items():
+            on = mark[x]
+            parts[kind].append((here[row[on]], x[on], d[on]))
+        if counted:
+            best.add(parts[counted][-1][2])
+    joined = {kind: tuple(np.concatenate(c) for c in zip(*got)) if got else (np.empty(0, np.int64),) * 3 for kind, got in parts.items()}
+    return {kind: tuple(c[d <= best.limit] for c in (x, y, d)) for kind, (x, y, d) in joined.items()}
 
 
 def smoothed_weight(w: float, own: int, other: int, alpha: float) -> float:
@@ -119,7 +145,7 @@ def smoothed_weight(w: float, own: int, other: int, alpha: float) -> float:
     return w * own / (own + alpha * other)
 
 
-def grow(g: LocalGraph, eids: list[int], left: int, right: int, alpha: float) -> np.ndarray:
+def grow(g: LocalGraph, eids: np.ndarray, left: int, right: int, alpha: float) -> np.ndarray:
     """Side (0 or 1) of every local vertex when two clusters grow from their seeds by the lightest frontier edge.
 
     ``eids`` are the arcs' edge ids in the graph's order: weight, then edge id, make a total order. Vertices that no seed reaches join the smaller
@@ -132,9 +158,10 @@ def grow(g: LocalGraph, eids: list[int], left: int, right: int, alpha: float) ->
     def admit(x: int, c: int) -> None:
         side[x] = c
         size[c] += 1
-        for e in range(g.ends[x], g.ends[x + 1]):
-            if side[g.to[e]] < 0:
-                heappush(heaps[c], (g.w[e], eids[e], g.to[e]))
+        at, end = g.start[x], g.start[x + 1]
+        for y, w, e in zip(g.to[at:end].tolist(), g.w[at:end].tolist(), eids[at:end].tolist()):
+            if side[y] < 0:
+                heappush(heaps[c], (w, e, y))
 
     admit(left, 0)
     admit(right, 1)
@@ -157,14 +184,11 @@ def grow(g: LocalGraph, eids: list[int], left: int, right: int, alpha: float) ->
 
 def farthest(g: LocalGraph, start: int) -> int:
     """The vertex at the largest distance, the smallest id of equals."""
-    last = [0, start]
-
-    def visit(x: int, d: int) -> None:
-        if d > last[0]:
-            last[:] = [d, x]
-
-    g.search({start: 0}, lambda: INFINITE, visit)
-    return last[1]
+    far = (0, start)
+    for d, x in g.search(start):
+        if d > far[0]:
+            far = d, x
+    return far[1]
 
 
 def spanning_edges(i: np.ndarray, j: np.ndarray, w: np.ndarray, eid: np.ndarray, n: int) -> list[int]:
@@ -186,7 +210,7 @@ def spanning_edges(i: np.ndarray, j: np.ndarray, w: np.ndarray, eid: np.ndarray,
     return kept
 
 
-def pick_seeds(g: LocalGraph, a: np.ndarray, b: np.ndarray, w: np.ndarray, eid: np.ndarray, how: str, alpha: float, *, tries: int = 4, min_share: float = 0.1, eids: list[int] | None = None) -> tuple[int, int] | None:
+def pick_seeds(g: LocalGraph, a: np.ndarray, b: np.ndarray, w: np.ndarray, eid: np.ndarray, how: str, alpha: float, *, tries: int = 4, min_share: float = 0.1, eids: np.ndarray | None = None) -> tuple[int, int] | None:
     """Two different local vertices to grow from, or None if the part has fewer than two vertices.
 
     double_sweep: farthest from the lowest id, then farthest from that. random: by a hash of the id. best_of: of several random pairs the one

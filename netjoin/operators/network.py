@@ -54,7 +54,7 @@ def scale_weight(links: DataFrame, factor: float) -> DataFrame:
 
 def assert_disjoint(r: DataFrame, s: DataFrame) -> None:
     """Refuse operand sets that share a vertex."""
-    if not r.select("id").intersect(s.select("id")).isEmpty():
+    if not r.select("id").join(s.select("id"), "id", "left_semi").isEmpty():
         raise ValueError("the operand sets share vertices")
 
 

@@ -33,7 +33,7 @@ def closest_objects(net: Network, r: DataFrame, s: DataFrame, k: int | None, the
 
 
 def embed_objects(net: Network, objects: DataFrame, *, offset: int = -(10**12)) -> tuple[Network, DataFrame]:
-    """The network with edges split at objects, and (oid, id) of each object's vertex. Objects at one place share a vertex; at an end they are the end."""
+    """The network with edges split at objects, and (oid, id, src) of each object: its vertex, and the first end of its edge. Objects at one place share a vertex; at an end they are the end."""
     on = objects.join(net.edges, "eid")
     place = on.groupBy("eid", "off").agg(F.min("oid").alias("first"))
     at = on.join(place, ["eid", "off"]).withColumn("id", F.when(F.col("off") == 0, F.col("src")).when(F.col("off") == F.col("w"), F.col("dst")).otherwise(F.lit(offset) - F.col("first")))
@@ -45,7 +45,7 @@ def embed_objects(net: Network, objects: DataFrame, *, offset: int = -(10**12))
     order = Window.partitionBy("eid").orderBy("off")
     pieces = points.withColumn("next", F.lead("id").over(order)).withColumn("w", F.lead("off").over(order) - F.col("off")).where("next IS NOT NULL")
     edges = net.edges.join(split, "eid", "left_anti").unionByName(pieces.select(F.xxhash64("eid", "id", "next").alias("eid"), F.col("id").alias("src"), F.col("next").alias("dst"), "w"))
-    return Network(net.vertices.unionByName(inner.select("id").distinct()), materialise(edges, "embedded-edges"), net.directed), where.select("oid", "id")
+    return Network(net.vertices.unionByName(inner.select("id").distinct()), materialise(edges, "embedded-edges"), net.directed), where.select("oid", "id", "src")
 
 
 def closest_embedded(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int) -> DataFrame:

@@ -1,40 +1,59 @@
 """Separation-first bisection, the hierarchy it builds, and the spanning-forest form of the unsmoothed case.
 
-Parts that fit a task are split by growth inside it (all parts of a level in one job). Networks beyond a task use the minimum spanning
-forest: with alpha 0, growth from two seeds equals the spanning tree with both seeds fused, un-fused again.
+Parts that fit a task are split by growth inside it (all parts of a level in one job). A part beyond a task is split by joins: with alpha 0, growth from two
+seeds equals the minimum spanning forest with both seeds fused, un-fused again; with smoothing, the part is contracted until it fits. A hierarchy is
+stored as an index: arcs by leaf, cross-edges by lowest common part, and what every part's row says of it.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, Row
 from pyspark.sql import functions as F
 
-from netjoin.functions.workspace import materialise
+from netjoin.functions.expressions import BUCKETS, bucket
+from netjoin.functions.workspace import drop_tables, materialise
 from netjoin.operators import kernels
 from netjoin.operators.components import connected_components
 from netjoin.operators.network import Network
 from netjoin.operators.relax import double_sweep
 
-#: Most edges of a part that one task splits.
-TASK_EDGES = 10_000_000
+#: Most edges of a part that one task splits or searches. Splitting 2 million edges takes a worker 1.1 GB and 40 s (measured on a grid).
+TASK_EDGES = 2_000_000
 
 
 @dataclass(frozen=True)
 class Hierarchy:
     """A binary tree of parts: root 1, children 2g and 2g + 1.
 
-    nodes(gp, parent, side, level, height, n_vertices, n_edges, seed_l, seed_r, sep, leaf), assign(id, gp, path from root to leaf),
-    cross(gp = lowest common part, eid, a, b, w, a_side, leaf_a, leaf_b) in both directions, border(gp, id).
+    nodes(gp, parent, side, level, height, n_vertices, n_edges, seed_l, seed_r, sep, leaf, method), assign(id, gp, path from root to leaf),
+    cross(gp = lowest common part, eid, a, b, w, a_side, leaf_a, leaf_b) in both directions, border(gp, id), arcs(gp, a, b, w) inside leaves.
     """
 
     nodes: DataFrame
     assign: DataFrame
     cross: DataFrame
     border: DataFrame
+    arcs: DataFrame
+
+    @cached_property
+    def parts(self) -> dict[int, Row]:
+        """The rows of ``nodes`` by part: a row for each part of the tree, read once."""
+        return {r["gp"]: r for r in self.nodes.collect()}
+
+    @property
+    def leaves(self) -> list[Row]:
+        return [r for r in self.parts.values() if r["leaf"]]
+
+    @property
+    def sigma(self) -> int | None:
+        """Weight of the lightest cross-edge; None without any."""
+        return min((r["sep"] for r in self.parts.values() if r["sep"] is not None), default=None)
 
 
 def path_of(gp: Column) -> Column:
@@ -42,13 +61,17 @@ def path_of(gp: Column) -> Column:
     return F.reverse(F.transform(F.sequence(F.lit(0), F.floor(F.log2(gp)).cast("int")), lambda k: F.floor(gp / F.pow(F.lit(2.0), k)).cast("long")))
 
 
+def placed_arcs(net: Network, assign: DataFrame) -> DataFrame:
+    """Arcs with the leaves and paths of both ends."""
+    at = assign.select("id", "gp", "path")
+    return net.arcs.join(at.select(F.col("id").alias("a"), F.col("gp").alias("leaf_a"), F.col("path").alias("path_a")), "a").join(at.select(F.col("id").alias("b"), F.col("gp").alias("leaf_b"), F.col("path").alias("path_b")), "b")
+
+
 def cross_edges(net: Network, assign: DataFrame) -> DataFrame:
     """Arcs between different leaves, with their lowest common part and the side of the tail."""
-    at = assign.select("id", "gp", "path")
-    both = net.arcs.join(at.select(F.col("id").alias("a"), F.col("gp").alias("leaf_a"), F.col("path").alias("path_a")), "a").join(at.select(F.col("id").alias("b"), F.col("gp").alias("leaf_b"), F.col("path").alias("path_b")), "b").where("leaf_a <> leaf_b")
     common = F.array_max(F.array_intersect("path_a", "path_b"))
     side = F.element_at("path_a", F.floor(F.log2(common)).cast("int") + 2) % 2
-    return both.select(common.alias("gp"), "eid", "a", "b", "w", side.cast("int").alias("a_side"), "leaf_a", "leaf_b")
+    return placed_arcs(net, assign).where("leaf_a <> leaf_b").select(common.alias("gp"), "eid", "a", "b", "w", side.cast("int").alias("a_side"), "leaf_a", "leaf_b")
 
 
 def border_of(cross: DataFrame) -> DataFrame:
@@ -68,87 +91,105 @@ def from_assignment(net: Network, assign: DataFrame, info: DataFrame | None = No
         mapping = F.create_map(*(F.lit(x) for i, g in enumerate(labels) for x in (int(g), first + i)))
         assign = assign.select("id", mapping[F.col("gp")].cast("long").alias("gp"))
     assign = materialise(assign.select("id", F.col("gp").cast("long")).withColumn("path", path_of(F.col("gp"))), "assign")
+    arcs = materialise(placed_arcs(net, assign).where("leaf_a = leaf_b").select(F.col("leaf_a").alias("gp"), "eid", "a", "b", "w"), "leaf-arcs")
     cross = materialise(cross_edges(net, assign), "cross")
     seps = cross.groupBy("gp").agg(F.min("w").alias("sep"))
-    members = assign.select("gp", F.explode("path").alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_vertices"), F.max(F.floor(F.log2("gp"))).alias("deep"), F.min(F.floor(F.log2("gp"))).alias("shallow"), F.max(F.col("gp") == F.col("node")).alias("leaf"))
-    at = assign.select("id", "path")
-    inside = net.edges.join(at.select(F.col("id").alias("src"), F.col("path").alias("p")), "src").join(at.select(F.col("id").alias("dst"), F.col("path").alias("q")), "dst").select(F.explode(F.array_intersect("p", "q")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_edges"))
-    seeds = info if info is not None else spark.createDataFrame([], "gp long, seed_l long, seed_r long")
+    depth = F.floor(F.log2("gp"))
+    members = assign.select("gp", F.explode("path").alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_vertices"), F.min(depth).alias("shallow"), F.max(F.col("gp") == F.col("node")).alias("leaf"))
+    # every edge counts for the parts that hold both its ends: the ancestors of its leaf, or of its lowest common part
+    held = arcs.groupBy("gp").agg(F.count_distinct("eid").alias("n")).unionByName(cross.groupBy("gp").agg(F.count_distinct("eid").alias("n")))
+    inside = held.select(F.explode(path_of(F.col("gp"))).alias("node"), "n").groupBy("node").agg(F.sum("n").alias("n_edges"))
+    seeds = info if info is not None else spark.createDataFrame([], _INFO)
     level = F.floor(F.log2("node")).cast("int")
     nodes = members.join(inside, "node", "left").join(seps.withColumnRenamed("gp", "node"), "node", "left").join(seeds.withColumnRenamed("gp", "node"), "node", "left")
     nodes = nodes.select(F.col("node").alias("gp"), F.expr("node div 2").alias("parent"), (F.col("node") % 2).cast("int").alias("side"), level.alias("level"), (F.col("shallow") - level).cast("int").alias("height"),
-                         "n_vertices", F.coalesce("n_edges", F.lit(0)).cast("long").alias("n_edges"), "seed_l", "seed_r", "sep", "leaf")
-    return Hierarchy(materialise(nodes, "nodes"), assign, cross, border_of(cross))
+                         "n_vertices", F.coalesce("n_edges", F.lit(0)).cast("long").alias("n_edges"), "seed_l", "seed_r", "sep", "leaf", "method")
+    return Hierarchy(materialise(nodes, "nodes"), assign, cross, border_of(cross), arcs.drop("eid"))
 
 
+_INFO = "gp long, seed_l long, seed_r long, method string"
 _SPLIT = "kind string, gp long, x long, y long, w long, eid long"
 
 
-def _split_part(alpha: float, how: str, min_share: float, explicit: dict[int, tuple[int, int]], least_vertices: int, attach: str):
+def _split_part(alpha: float, how: str, min_share: float, explicit: dict[int, tuple[int, int]], attach: str):
+    def table(kind: str, gp, x, y=None, w=None, eid=None) -> pa.Table:
+        n = len(x)
+        columns = [pa.array(c, pa.int64()) if c is not None else pa.nulls(n, pa.int64()) for c in (gp, x, y, w, eid)]
+        return pa.table([pa.array([kind] * n, pa.string()), *columns], names=["kind", "gp", "x", "y", "w", "eid"])
+
     def run(key: tuple, rows: pa.Table) -> pa.Table:
         gp = key[0].as_py()
-        kind = np.asarray(rows.column("kind").to_pylist())
-        col = {c: rows.column(c).to_numpy(zero_copy_only=False) for c in ("x", "y", "w", "eid")}
-        is_edge = kind == "e"
-        vertices = col["x"][~is_edge].astype(np.int64)
-        a, b, w, eid = (col[c][is_edge].astype(np.int64) for c in ("x", "y", "w", "eid"))
-        tail, head = np.concatenate([a, b]), np.concatenate([b, a])
-        g = kernels.LocalGraph(tail, head, np.concatenate([w, w]), vertices)
-        order = np.argsort(np.searchsorted(g.ids, tail), kind="stable")
-        eids = np.concatenate([eid, eid])[order].tolist()
-        seeds = None
-        if len(g.ids) >= least_vertices:
-            seeds = tuple(g.local(explicit[gp])) if gp in explicit else kernels.pick_seeds(g, a, b, w, eid, how, alpha, min_share=min_share, eids=eids)
-        out: list[tuple] = []
-        apart = None
-        if attach == "separate" and len(g.ids) >= least_vertices:
-            reached = np.ones(len(g.ids), np.int8)
-            g.search({0: 0}, lambda: kernels.INFINITE, lambda x, d: reached.__setitem__(x, 0))
-            if reached.any():
-                apart, seeds = reached, (0, int(np.flatnonzero(reached)[0]))
+        is_edge = pc.equal(rows.column("kind"), "e").to_numpy(zero_copy_only=False)
+        of_edges = rows.filter(pa.array(is_edge))
+        vertices = rows.filter(pa.array(~is_edge)).column("x").to_numpy().astype(np.int64)
+        a, b, w, eid = (of_edges.column(c).to_numpy().astype(np.int64) for c in ("x", "y", "w", "eid"))
+        g = kernels.LocalGraph(np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([w, w]), vertices)
+        eids = np.concatenate([eid, eid])[g.order]
+        n, seeds, side = len(g.ids), None, None
+        if n >= 2:
+            seeds = tuple(g.local(explicit[gp]).tolist()) if gp in explicit else kernels.pick_seeds(g, a, b, w, eid, how, alpha, min_share=min_share, eids=eids)
+        if attach == "separate" and n >= 2:
+            apart = np.ones(n, np.int8)
+            apart[[x for _, x in g.search(0)]] = 0
+            if apart.any():
+                side, seeds = apart, (0, int(np.flatnonzero(apart)[0]))
         if not seeds or len(set(seeds)) < 2:
-            out = [("leaf", gp, int(v), None, None, None) for v in g.ids]
-        else:
-            side = apart if apart is not None else kernels.grow(g, eids, seeds[0], seeds[1], alpha)
-            out.append(("node", gp, int(g.ids[seeds[0]]), int(g.ids[seeds[1]]), None, None))
-            out += [("v", 2 * gp + int(s), int(v), None, None, None) for v, s in zip(g.ids, side)]
-            i, j = side[np.searchsorted(g.ids, a)], side[np.searchsorted(g.ids, b)]
-            out += [("e", 2 * gp + int(p), int(x), int(y), int(z), int(e)) for p, q, x, y, z, e in zip(i, j, a, b, w, eid) if p == q]
-        columns = list(zip(*out)) if out else [[]] * 6
-        return pa.table({c: pa.array(v, t) for c, v, t in zip(("kind", "gp", "x", "y", "w", "eid"), columns, (pa.string(), *[pa.int64()] * 5))})
+            return table("leaf", np.full(n, gp), g.ids)
+        if side is None:
+            side = kernels.grow(g, eids, seeds[0], seeds[1], alpha)
+        i, j = side[np.searchsorted(g.ids, a)], side[np.searchsorted(g.ids, b)]
+        same = i == j
+        return pa.concat_tables([
+            table("node", [gp], g.ids[[seeds[0]]], g.ids[[seeds[1]]]), table("v", 2 * gp + side.astype(np.int64), g.ids),
+            table("e", 2 * gp + i[same].astype(np.int64), a[same], b[same], w[same], eid[same]),
+        ])
 
     return run
 
 
-def build_hierarchy(net: Network, *, leaves: int = 8, alpha: float = 0.0, seeds: str = "double_sweep", explicit: dict[int, tuple[int, int]] | None = None, min_share: float = 0.1, max_leaf_edges: int | None = None, attach: str = "smaller", engine: str = "auto") -> Hierarchy:
-    """Recursive bisection to ``leaves`` parts (a power of two is reached; parts of one vertex stay whole).
+def build_hierarchy(net: Network, *, leaves: int = 8, alpha: float = 0.0, seeds: str = "double_sweep", explicit: dict[int, tuple[int, int]] | None = None, min_share: float = 0.1, max_leaf_edges: int | None = None, attach: str = "smaller", engine: str = "auto", task_edges: int = TASK_EDGES) -> Hierarchy:
+    """Recursive bisection to ``leaves`` parts (parts of one vertex stay whole). Between two powers of two, the last level splits the parts with the most edges.
 
     ``seeds``: double_sweep, random, best_of, longest_tree_edge; ``explicit`` gives seeds for single parts. ``alpha`` smooths by population.
     ``attach``: where vertices that no seed reaches go: to the smaller side, or (``separate``) a disconnected part is first split into the component of its lowest id and the rest.
-    ``max_leaf_edges`` splits on until no leaf has more edges. engine: ``task`` splits every part in a task; ``forest`` makes the cuts
-    above TASK_EDGES from spanning forests (alpha 0), as ``auto`` does where a part is too large for a task.
+    ``max_leaf_edges`` splits on until no leaf has more edges. engine: ``task`` splits every part in a task; ``joins`` none; ``auto`` splits by joins
+    those parts alone that have more than ``task_edges`` edges. By joins means spanning forests at alpha 0 (the same split), contraction before growth otherwise (approximate); column
+    ``method`` of the nodes says which. Seeds other than double_sweep and explicit ones are found inside tasks only: a larger part raises.
     """
-    depth = max(0, (leaves - 1).bit_length())
+    if engine not in ("auto", "task", "joins"):
+        raise ValueError(f"unknown engine {engine!r}")
+    depth, explicit = max(0, (leaves - 1).bit_length()), explicit or {}
     edges = net.edges.select(F.lit("e").alias("kind"), F.lit(1).cast("long").alias("gp"), F.col("src").alias("x"), F.col("dst").alias("y"), "w", "eid")
     none = F.lit(None).cast("long")
-    todo = materialise(net.vertices.select(F.lit("v").alias("kind"), F.lit(1).cast("long").alias("gp"), F.col("id").alias("x"), none.alias("y"), none.alias("w"), none.alias("eid")).unionByName(edges), "split-0")
-    done, info, level = [], [], 0
+    start = net.vertices.select(F.lit("v").alias("kind"), F.lit(1).cast("long").alias("gp"), F.col("id").alias("x"), none.alias("y"), none.alias("w"), none.alias("eid")).unionByName(edges)
+    todo = materialise(start, "split-0")
+    done, info, tables, level = [], [], [todo], 0
     while level < depth or max_leaf_edges:
-        sizes = todo.where("kind = 'e'").groupBy("gp").count()
+        sizes = {r["gp"]: r["n"] for r in todo.groupBy("gp").agg(F.count_if(F.col("kind") == "e").alias("n")).collect()}  # a row for each part
+        last = level >= depth - 1
+        splits = sorted(sizes, key=lambda g: (-sizes[g], g))
         if level >= depth:
-            large = sizes.where(F.col("count") > max_leaf_edges).select("gp")
-            if large.isEmpty() or level > 40:
-                break
-            done.append(todo.join(large, "gp", "left_anti").where("kind = 'v'").select(F.col("x").alias("id"), "gp"))
-            todo = todo.join(large, "gp", "left_semi")
-        biggest = sizes.agg(F.max("count")).first()[0] or 0
-        if engine == "forest" or (engine == "auto" and biggest > TASK_EDGES):
-            out = _forest_level(todo)
-        else:
-            out = todo.groupBy("gp").applyInArrow(_split_part(alpha, seeds, min_share, explicit or {}, 2, attach), _SPLIT)
+            splits = [g for g in splits if sizes[g] > max_leaf_edges] if level <= 40 else []
+        elif last:
+            splits = splits[: max(0, leaves - (1 << level))]
+        if not splits:
+            break
+        large = [g for g in splits if engine == "joins" or (engine == "auto" and sizes[g] > task_edges)]
+        small = [g for g in splits if g not in set(large)]
+        if large and seeds != "double_sweep" and not set(large) <= set(explicit):
+            raise ValueError(f"seeds {seeds!r} are found inside tasks; parts {large} have more than {task_edges} edges")
+        if len(splits) < len(sizes):
+            done.append(todo.where(~F.col("gp").isin(splits) & (F.col("kind") == "v")).select(F.col("x").alias("id"), "gp"))
+        out = None
+        if small:
+            out = todo.where(F.col("gp").isin(small)).groupBy("gp").applyInArrow(_split_part(alpha, seeds, min_share, explicit, attach), _SPLIT).withColumn("method", F.lit("task"))
+        for g in large:
+            one = _split_by_joins(todo.where(F.col("gp") == g), g, alpha, explicit.get(g), attach, task_edges)
+            out = one if out is None else out.unionByName(one)
         out = materialise(out, f"split-{level + 1}")
+        tables.append(out)
         done.append(out.where("kind = 'leaf'").select(F.col("x").alias("id"), "gp"))
-        info.append(out.where("kind = 'node'").select("gp", F.col("x").alias("seed_l"), F.col("y").alias("seed_r")))
+        info.append(out.where("kind = 'node'").select("gp", F.col("x").alias("seed_l"), F.col("y").alias("seed_r"), "method"))
         todo = out.where("kind IN ('v', 'e')")
         level += 1
     assign = todo.where("kind = 'v'").select(F.col("x").alias("id"), "gp")
@@ -157,28 +198,36 @@ def build_hierarchy(net: Network, *, leaves: int = 8, alpha: float = 0.0, seeds:
     seeds_df = None
     for d in info:
         seeds_df = d if seeds_df is None else seeds_df.unionByName(d)
-    return from_assignment(net, assign, seeds_df)
+    tree = from_assignment(net, assign, seeds_df)
+    drop_tables(*tables)
+    return tree
 
 
-def _forest_level(todo: DataFrame) -> DataFrame:
-    """Split every part of a level by spanning forests; seeds by double sweep in each part (a driver trip for each part, only above task size)."""
-    out = None
-    for (gp,) in todo.select("gp").distinct().collect():  # parts of the top levels: as many as 2^level
-        part = todo.where(F.col("gp") == gp)
-        net = Network(part.where("kind = 'v'").select(F.col("x").alias("id")), part.where("kind = 'e'").select("eid", F.col("x").alias("src"), F.col("y").alias("dst"), "w"))
-        left, right = double_sweep(net.arcs, net.vertices)
-        none = F.lit(None).cast("long")
+def _split_by_joins(part: DataFrame, gp: int, alpha: float, explicit: tuple[int, int] | None, attach: str, task_edges: int) -> DataFrame:
+    """One part's split without a task that holds it, in the rows of ``_split_part`` and the method."""
+    net = Network(part.where("kind = 'v'").select(F.col("x").alias("id")), part.where("kind = 'e'").select("eid", F.col("x").alias("src"), F.col("y").alias("dst"), "w"))
+    none = F.lit(None).cast("long")
+    side, method = None, "forest"
+    if attach == "separate":
+        parts = connected_components(net.edges.select(F.col("src").alias("a"), F.col("dst").alias("b")))
+        label = materialise(net.vertices.join(parts, "id", "left").select("id", F.coalesce("component", "id").alias("c")), "split-components")
+        low, high = label.agg(F.min("c"), F.max("c")).first()
+        if low != high:
+            side, method, left, right = label.select("id", F.when(F.col("c") == low, 0).otherwise(1).alias("side")), "components", low, high
+    if side is None:
+        left, right = explicit or double_sweep(net.arcs, net.vertices)
         if left == right:
-            made = net.vertices.select(F.lit("leaf").alias("kind"), F.lit(gp).alias("gp"), F.col("id").alias("x"), none.alias("y"), none.alias("w"), none.alias("eid"))
+            return net.vertices.select(F.lit("leaf").alias("kind"), F.lit(gp).cast("long").alias("gp"), F.col("id").alias("x"), none.alias("y"), none.alias("w"), none.alias("eid"), F.lit(method).alias("method"))
+        if alpha:
+            side, method = coarsen_then_bisect(net, alpha=alpha, max_task_edges=task_edges, ends=(left, right)), "coarse"
         else:
-            side = materialise(bisect_forest(net, left, right), "forest-side")
-            vertices = side.select(F.lit("v").alias("kind"), (2 * gp + F.col("side")).cast("long").alias("gp"), F.col("id").alias("x"), none.alias("y"), none.alias("w"), none.alias("eid"))
-            kept = net.edges.join(side.select(F.col("id").alias("src"), F.col("side").alias("s1")), "src").join(side.select(F.col("id").alias("dst"), F.col("side").alias("s2")), "dst").where("s1 = s2")
-            edges = kept.select(F.lit("e").alias("kind"), (2 * gp + F.col("s1")).cast("long").alias("gp"), F.col("src").alias("x"), F.col("dst").alias("y"), "w", "eid")
-            node = todo.sparkSession.range(1).select(F.lit("node").alias("kind"), F.lit(gp).cast("long").alias("gp"), F.lit(left).cast("long").alias("x"), F.lit(right).cast("long").alias("y"), none.alias("w"), none.alias("eid"))
-            made = vertices.unionByName(edges).unionByName(node)
-        out = made if out is None else out.unionByName(made)
-    return out
+            side = bisect_forest(net, left, right)
+    side = materialise(side, "split-side")
+    vertices = side.select(F.lit("v").alias("kind"), (2 * gp + F.col("side")).cast("long").alias("gp"), F.col("id").alias("x"), none.alias("y"), none.alias("w"), none.alias("eid"))
+    kept = net.edges.join(side.select(F.col("id").alias("src"), F.col("side").alias("s1")), "src").join(side.select(F.col("id").alias("dst"), F.col("side").alias("s2")), "dst").where("s1 = s2")
+    edges = kept.select(F.lit("e").alias("kind"), (2 * gp + F.col("s1")).cast("long").alias("gp"), F.col("src").alias("x"), F.col("dst").alias("y"), "w", "eid")
+    node = part.sparkSession.range(1).select(F.lit("node").alias("kind"), F.lit(gp).cast("long").alias("gp"), F.lit(left).cast("long").alias("x"), F.lit(right).cast("long").alias("y"), none.alias("w"), none.alias("eid"))
+    return vertices.unionByName(edges).unionByName(node).withColumn("method", F.lit(method))
 
 
 def spanning_forest(net: Network) -> DataFrame:
@@ -205,7 +254,7 @@ def hierarchy_from_forest(net: Network, *, leaves: int = 8, **options) -> Hierar
     pass over all edges works on fewer edges than vertices. Seeds by distance are those of the forest."""
     forest = materialise(spanning_forest(net), "forest")
     tree = build_hierarchy(Network(net.vertices, forest), leaves=leaves, alpha=0.0, **options)
-    return from_assignment(net, tree.assign.select("id", "gp"), tree.nodes.where("seed_l IS NOT NULL").select("gp", "seed_l", "seed_r"))
+    return from_assignment(net, tree.assign.select("id", "gp"), tree.nodes.where("seed_l IS NOT NULL").select("gp", "seed_l", "seed_r", "method"))
 
 
 def bisect_forest(net: Network, left: int, right: int) -> DataFrame:
@@ -237,27 +286,32 @@ def bisect(net: Network, left: int, right: int, *, alpha: float = 0.0, engine: s
     return tree.assign.select("id", (F.col("gp") % 2).cast("int").alias("side"))
 
 
-def coarsen_then_bisect(net: Network, *, alpha: float, max_task_edges: int = TASK_EDGES, seeds: str = "double_sweep") -> DataFrame:
-    """(id, side) of a smoothed split of a network beyond a task: contract along cheapest edges until it fits, then grow. Approximate."""
+def coarsen_then_bisect(net: Network, *, alpha: float, max_task_edges: int = TASK_EDGES, seeds: str = "double_sweep", ends: tuple[int, int] | None = None) -> DataFrame:
+    """(id, side) of a smoothed split of a network beyond a task: contract along cheapest edges until it fits, then grow from the contracted
+    seeds (``ends``, or found by ``seeds``). Approximate. The two ends are never contracted into one."""
     label = net.vertices.select("id", F.col("id").alias("c"))
     edges = net.edges
     while edges.count() > max_task_edges:
         both = edges.select(F.col("src").alias("c"), F.col("dst").alias("o"), "w", "eid").unionByName(edges.select(F.col("dst").alias("c"), F.col("src").alias("o"), "w", "eid"))
         picks = both.groupBy("c").agg(F.min(F.struct("w", "eid", "o")).alias("m")).select(F.col("c").alias("a"), F.col("m.o").alias("b"))
+        if ends:
+            picks = picks.where(~F.col("a").isin(*ends) & ~F.col("b").isin(*ends))
+            if picks.isEmpty():
+                break
         merged = materialise(connected_components(picks), "coarse")
         label = materialise(label.join(merged.select(F.col("id").alias("c"), "component"), "c", "left").select("id", F.coalesce("component", "c").alias("c")), "coarse-labels")
         to = lambda n: merged.select(F.col("id").alias(n), F.col("component").alias(f"{n}_c"))
         edges = edges.join(to("src"), "src", "left").join(to("dst"), "dst", "left").select("eid", F.coalesce("src_c", "src").alias("src"), F.coalesce("dst_c", "dst").alias("dst"), "w").where("src <> dst")
         edges = materialise(edges.groupBy(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).agg(F.min(F.struct("w", "eid")).alias("m")).select("m.eid", "src", "dst", "m.w"), "coarse-edges")
     small = Network(label.select(F.col("c").alias("id")).distinct(), edges)
-    sides = build_hierarchy(small, leaves=2, alpha=alpha, seeds=seeds, engine="task").assign.select(F.col("id").alias("c"), (F.col("gp") % 2).cast("int").alias("side"))
+    sides = build_hierarchy(small, leaves=2, alpha=alpha, seeds=seeds, explicit={1: ends} if ends else None, engine="task").assign.select(F.col("id").alias("c"), (F.col("gp") % 2).cast("int").alias("side"))
     return label.join(sides, "c").select("id", "side")
 
 
 def balanced_assign(net: Network, leaves: int, *, objective: str = "size", rounds: int = 8) -> DataFrame:
-    """(id, gp 0..leaves-1): parts of equal size by hash of the id (``size``), or by label propagation over light edges from such parts,
+    """(id, gp 0..leaves-1): parts of equal size by bands of the operand hash (``size``), or by label propagation over light edges from such parts,
     under a capacity of 1.1 times the mean (``cut``): the edge-cut partitioning that separation is contrasted with."""
-    at = net.vertices.select("id", F.pmod(F.xxhash64("id"), F.lit(leaves)).alias("gp"))
+    at = net.vertices.select("id", F.floor(bucket(F.col("id")) * leaves / BUCKETS).cast("long").alias("gp"))
     if objective == "size":
         return at
     room = net.vertices.count() * 1.1 / leaves

@@ -53,3 +53,30 @@ def sessions(events: DataFrame, minutes: int) -> DataFrame:
     micros = F.unix_micros(F.col("ts").cast("timestamp"))
     fresh = F.when(micros - F.lag(micros).over(order) > minutes * 60_000_000, 1).otherwise(0)
     return events.withColumn("fresh", fresh).withColumn("session", F.sum("fresh").over(order.rowsBetween(Window.unboundedPreceding, 0))).groupBy("user_id", "session").agg(F.count(F.lit(1)).alias("n_events"))
+
+
+def ranked_pairs(pairs: DataFrame) -> DataFrame:
+    """u, v, d with the rank, dense rank and quartile of d among the pairs of u."""
+    order = Window.partitionBy("u").orderBy("d")
+    quartile = F.ntile(4).over(Window.partitionBy("u").orderBy("d", "v"))
+    return pairs.select("u", "v", "d", F.rank().over(order).cast("long").alias("rank"), F.dense_rank().over(order).cast("long").alias("dense_rank"), quartile.cast("long").alias("quartile"))
+
+
+def pairs_nearby(pairs: DataFrame, width: int) -> DataFrame:
+    """u, v, d, n: pairs of u whose distance is within ``width`` of this one's, by a range frame."""
+    return pairs.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("u").orderBy("d").rangeBetween(-width, width)))
+
+
+def chain_lengths(steps: DataFrame) -> DataFrame:
+    """chain, pos, upto: running length of steps (chain, pos, w)."""
+    return steps.select("chain", "pos", F.sum("w").over(Window.partitionBy("chain").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)).alias("upto"))
+
+
+def pivot_counts(rows: DataFrame, down: str, across: str, values: list[str]) -> DataFrame:
+    """A row for each value of ``down`` and a column for each value of ``across``, with counts."""
+    return rows.groupBy(down).pivot(across, values).agg(F.count(F.lit(1))).select(down, *(F.coalesce(F.col(v), F.lit(0)).alias(v) for v in values))
+
+
+def page_of(pairs: DataFrame, number: int, size: int) -> DataFrame:
+    """A page of the pairs in their total order, from number 0."""
+    return pairs.orderBy("d", "u", "v").offset(number * size).limit(size)

@@ -1,7 +1,8 @@
 """The frontier engine: shortest distances by iterated joins, for networks of any size.
 
-Each round joins the states improved last round with the arcs, drops what exceeds the bound before the shuffle, and merges the rest into the best
-states by one outer join. State is written to the shared folder each round, so lineage stays short and lost executors cost one round.
+Each round joins the states improved last round with the arcs, drops what exceeds the bound before the shuffle, and appends the states that
+improve. Known states are not rewritten: a round reads them to compare, and while the front is small beside them they are not shuffled
+either. Every few rounds what has been superseded is merged away. Rounds are written to the shared folder, so lineage stays short and lost executors cost one round.
 """
 
 from __future__ import annotations
@@ -9,37 +10,60 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from netjoin.functions.workspace import drop_path, materialise, scratch_path
+from netjoin.functions.workspace import counted, drop_path, scratch_path
 
+#: Rounds between merges of the written states.
+MERGE_ROUNDS = 8
+#: Up to so many known states a round is one job that shuffles them; beyond, a front of at most FRONT_ROWS rows is broadcast to them instead.
+FEW_STATES, FRONT_ROWS = 2_000_000, 500_000
 
-def relax(arcs: DataFrame, seeds: DataFrame, bound: int | None, *, max_rounds: int = 100_000, report: dict | None = None) -> DataFrame:
+
+def relax(arcs: DataFrame, seeds: DataFrame, bound: int | None, *, max_rounds: int = 100_000, report: dict | None = None, early_stop: bool = True) -> DataFrame:
     """(src, node, d): least cost of each node from each source, d <= bound, starting from seeds (src, node, d).
 
-    ``arcs`` has a, b, w (w >= 1). Without a bound it runs until nothing improves; it raises if that takes more than ``max_rounds``. ``report`` receives the number of rounds and of rows relaxed.
+    ``arcs`` has a, b, w (w >= 1). Without a bound it runs until nothing improves; it raises if that takes more than ``max_rounds``. ``report`` receives the
+    rounds and the states written (``settled``: each as often as it improved). ``early_stop=False`` keeps arcs heavier than the bound in the joins.
     """
     spark = seeds.sparkSession
     within = (lambda df: df) if bound is None else (lambda df: df.where(F.col("d") <= bound))
     steps = arcs.select(F.col("a").alias("node"), "b", "w")
-    path = scratch_path(spark, "relax")
-    state = materialise(within(seeds.select("src", "node", "d")).groupBy("src", "node").agg(F.min("d").alias("d")).withColumn("fresh", F.lit(True)), "relax", path=path)
-    rounds = 0
-    while True:
-        front = state.where("fresh")
-        if front.isEmpty():
-            break
+    if bound is not None and early_stop:
+        steps = steps.where(F.col("w") <= bound)
+    keys, root = ["src", "node"], scratch_path(spark, "relax")
+    shortest = lambda df: df.groupBy(*keys).agg(F.min("d").alias("d"))
+    front, n = _write(shortest(within(seeds.select(*keys, "d"))), f"{root}/0")
+    files, total, rounds, written = [f"{root}/0"], n, 0, n
+    while n:
         if rounds == max_rounds:
             raise RuntimeError(f"distances did not settle in {max_rounds} rounds")
         rounds += 1
-        reached = within(front.join(steps, "node").select("src", F.col("b").alias("node"), (F.col("d") + F.col("w")).alias("d"))).groupBy("src", "node").agg(F.min("d").alias("new"))
-        merged = state.select("src", "node", "d").join(reached, ["src", "node"], "full_outer")
-        better = F.col("new").isNotNull() & (F.col("d").isNull() | (F.col("new") < F.col("d")))
-        fresh_path = scratch_path(spark, "relax")
-        state = materialise(merged.select("src", "node", F.least("d", "new").alias("d"), better.alias("fresh")), "relax", path=fresh_path)
-        drop_path(spark, path)
-        path = fresh_path
+        state = spark.read.schema(front.schema).parquet(*files)
+        reached = shortest(within(front.join(steps, "node").select("src", F.col("b").alias("node"), (F.col("d") + F.col("w")).alias("d"))))
+        known = state
+        if total > FEW_STATES:
+            reached, m = _write(reached, f"{root}/reached-{rounds}")
+            if m <= FRONT_ROWS:
+                known = state.join(F.broadcast(reached.select(*keys)), keys, "left_semi")
+        known = known.groupBy(*keys).agg(F.min("d").alias("old"))
+        better = reached.join(known, keys, "left").where("old IS NULL OR d < old").select(*keys, "d")
+        front, n = _write(better, f"{root}/{rounds}")
+        if total > FEW_STATES:
+            drop_path(spark, f"{root}/reached-{rounds}")
+        files, total, improved_rows = files + [f"{root}/{rounds}"], total + n, written + n
+        if rounds % MERGE_ROUNDS == 0 and n:
+            _, total = _write(shortest(spark.read.schema(front.schema).parquet(*files)), f"{root}/merged-{rounds}")
+            for old in files[:-1]:  # the last one is the front
+                drop_path(spark, old)
+            files = [f"{root}/merged-{rounds}", files[-1]]
     if report is not None:
         report["rounds"] = report.get("rounds", 0) + rounds
-    return state.select("src", "node", "d")
+        report["settled"] = report.get("settled", 0) + written
+    return shortest(spark.read.schema(front.schema).parquet(*files))
+
+
+def _write(df: DataFrame, path: str) -> tuple[DataFrame, int]:
+    out, seen = counted(df, "relax", path=path)
+    return out, seen["n"]
 
 
 def distances_from(arcs: DataFrame, sources: DataFrame, bound: int | None = None) -> DataFrame:

@@ -10,9 +10,10 @@ from pyspark.sql import functions as F
 from netjoin.operators import baselines, measures, objects, partition, relational
 from netjoin.operators.network import swap_operands
 from netjoin.plans import catalog_sql as sql
-from netjoin.plans.joins import JoinReport, closest_pairs, distance_join, leaf_pairs
+from netjoin.plans.joins import JoinReport, closest_pairs, distance_join, leaf_tables
+from netjoin.plans.object_joins import closest_objects_by_parts
 from netjoin.plans.schedule import cut_hierarchy, schedule_plan
-from netjoin.plans.workloads import SWEEPS, prepare, prepared_network, prepared_tree
+from netjoin.plans.workloads import BOUND_LEAVES, SWEEPS, THETAS, prepare, prepared_network, prepared_tree
 from netjoin.sources import networks
 from netjoin.sources.tables import load
 from netjoin.streaming.positions import positions_of
@@ -83,9 +84,9 @@ def _kcp(name: str, k: int = 80, r: int = 8, s: int = 8, alpha: float = 0.5, the
     return run
 
 
-def _kcp_parallel(n: int) -> Query:
+def _kcp_parallel(n: int, name: str = "urban") -> Query:
     def run(spark, d):
-        p = prepare(spark, d, "urban")
+        p = prepare(spark, d, name)
         return closest_pairs(p.net, p.r, p.s, 80, hierarchy=cut_hierarchy(p.tree, p.net, n), parallelism=n, schedule="pool")
 
     return run
@@ -104,12 +105,11 @@ def kcp_trajectory(spark: SparkSession, d: str) -> DataFrame:
     return closest_pairs(net, e.where(F.col("user_id") == users[0]).select("id"), e.where(F.col("user_id") == users[1]).select("id"), 10, 20000, hierarchy=prepared_tree(spark, d, "lines"))
 
 
-def _given(spark: SparkSession, d: str):
-    """Lines cut in two at half the event ids: an assignment that SQL can repeat."""
+def _given(spark: SparkSession, d: str, leaves: int = 2):
+    """Lines cut at equal spans of the event ids: an assignment that SQL can repeat."""
     net = prepared_network(spark, d, "lines")
-    half = (net.vertices.agg(F.max("id")).first()[0] + 1) // 2
-    assign = net.vertices.select("id", F.when(F.col("id") < half, 2).otherwise(3).cast("long").alias("gp"))
-    tree = partition.from_assignment(net, assign)
+    n = net.vertices.agg(F.max("id")).first()[0] + 1
+    tree = partition.from_assignment(net, net.vertices.select("id", (leaves + F.floor(F.col("id") * leaves / n)).cast("long").alias("gp")))
     return net, tree, *networks.hash_sets(net, 8, 8)
 
 
@@ -123,7 +123,7 @@ def given_border(spark, d):
 
 def given_routes(spark, d):
     net, tree, r, s = _given(spark, d)
-    return leaf_pairs(net, tree, r, s, k=None, bound=1000).where("kind = 'route'").select("gp", F.col("x").alias("u"), F.col("y").alias("border"), "d")
+    return leaf_tables(net, tree, r, s, 1000).where("kind = 'route'").select("gp", F.col("x").alias("u"), F.col("y").alias("border"), "d")
 
 
 def _given_pairs(mode: str) -> Query:
@@ -175,47 +175,68 @@ def euclid(spark, d):
     return baselines.euclid_pairs(points, *networks.hash_sets(net, 8, 8), 80, 100_000)
 
 
+def _cut_of(net, at) -> DataFrame:
+    """n_cut, cut_weight, largest: edges between parts, their weight, and the largest part over the mean."""
+    ends = net.edges.join(at.toDF("src", "g1"), "src").join(at.toDF("dst", "g2"), "dst").where("g1 <> g2")
+    size = at.groupBy("gp").agg(F.count(F.lit(1)).alias("n")).agg((F.max("n") / F.avg("n")).alias("largest"))
+    return ends.agg(F.count(F.lit(1)).alias("n_cut"), F.sum("w").alias("cut_weight"), F.min("w").alias("sep")).join(size)
+
+
 def balanced_cut(spark, d):
+    """Parts by label propagation under a capacity: their edge cut."""
     net = prepared_network(spark, d, "mesh")
-    return partition.balanced_assign(net, 4, objective="cut").groupBy("gp").agg(F.count(F.lit(1)).alias("n"))
+    return _cut_of(net, partition.balanced_assign(net, 4, objective="cut"))
 
 
 def balanced_hash(spark, d):
-    """Parts of equal size by bands of the operand hash, and the edges they cut."""
-    from netjoin.functions.expressions import bucket
-
+    """Parts of equal size by bands of the operand hash: their edge cut."""
     net = prepared_network(spark, d, "urban")
-    at = net.vertices.select("id", F.expr("0L").alias("z")).withColumn("gp", F.floor(bucket(F.col("id")) * 4 / 10007).cast("long")).drop("z")
-    cut = net.edges.join(at.toDF("src", "g1"), "src").join(at.toDF("dst", "g2"), "dst")
-    return cut.agg(F.count_if(F.col("g1") != F.col("g2")).alias("n_cut"), F.sum(F.when(F.col("g1") != F.col("g2"), F.col("w"))).alias("cut_weight"))
+    return _cut_of(net, partition.balanced_assign(net, 4, objective="size"))
 
 
 def recall_modes(spark, d):
-    """Recall, exact-distance share and stretch of every crossing mode on the lines, theta 2000."""
-    p = prepare(spark, d, "lines", leaves=8)
-    exact, out = distance_join(p.net, p.r, p.s, 2000, hierarchy=p.tree), None
+    """Recall, exact-distance share and stretch of every crossing mode on the lines cut in two, theta 1000."""
+    net, tree, r, s = _given(spark, d)
+    exact, out = distance_join(net, r, s, 1000), None
     for mode in ("none", "one", "per_level", "closure"):
         report = JoinReport()
-        answer = distance_join(p.net, p.r, p.s, 2000, hierarchy=p.tree, crossings=mode, report=report)
+        answer = distance_join(net, r, s, 1000, hierarchy=tree, crossings=mode, report=report)
         one = measures.recall_report(answer, exact).withColumn("crossings", F.lit(mode)).withColumn("certified", F.lit(report.certified))
         out = one if out is None else out.unionByName(one)
-    return out
+    return out.withColumn("mean_stretch", F.round("mean_stretch", 9))
 
 
-def _report(field: str) -> Query:
-    def run(spark, d):
-        p, report = prepare(spark, d, "urban"), JoinReport()
-        closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree, report=report, crossings="per_level").count()
-        if field == "trace":
-            return spark.createDataFrame(list(enumerate(report.trace)), "wave long, bound long")
-        return spark.createDataFrame([(report.settled, report.relaxed, report.bridges_live, report.bridges_pruned, report.refreshes)], "settled long, relaxed long, bridges_live long, bridges_pruned long, refreshes long")
+def work_counters(spark, d):
+    """Work of every crossing mode, and without route reuse and the early stop, for theta 1500 over 16 leaves."""
+    p, rows = prepare(spark, d, "urban"), []
+    for mode in ("none", "one", "per_level", "closure"):
+        for name, options in (("full", {}), ("no_reuse", {"reuse_routes": False}), ("no_stop", {"stop_by_weight": False})):
+            if mode == "none" and options:
+                continue
+            report = JoinReport()
+            n = distance_join(p.net, p.r, p.s, 1500, hierarchy=p.tree, crossings=mode, report=report, **options).count()
+            rows.append((mode, name, n, report.settled, report.relaxed, report.bridges_live, report.bridges_pruned))
+    return spark.createDataFrame(rows, "crossings string, options string, n_pairs long, settled long, relaxed long, bridges_live long, bridges_pruned long")
+
+
+def bound_trace(spark, d):
+    """The bound after every wave, for each policy."""
+    p, rows = prepare(spark, d, "urban"), []
+    for threshold in ("pilot+wave", "wave", "local"):
+        report = JoinReport()
+        closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree, crossings="per_level", threshold=threshold, report=report).count()
+        rows += [(threshold, i, bound, report.refreshes, report.pruned) for i, bound in enumerate(report.trace)]
+    return spark.createDataFrame(rows, "threshold string, wave long, bound long, refreshes long, pruned long")
 
-    return run
+
+def hierarchy_nodes(spark, d):
+    return _given(spark, d, 8)[1].nodes.select("gp", "parent", "side", "level", "height", "n_vertices", "n_edges", "sep", "leaf")
 
 
 def idle_slots(spark, d):
-    tree = prepared_tree(spark, d, "urban")
-    return measures.idle_share(schedule_plan(tree, 8), tree.nodes.select("gp", F.col("n_vertices").alias("cost")), 8)
+    """Idle slot share of the schedule if a part costs its vertices."""
+    tree = _given(spark, d, 8)[1]
+    return measures.idle_share(schedule_plan(tree, 3), tree.nodes.select("gp", F.col("n_vertices").alias("cost")), 3)
 
 
 def _objects(spark, d):
@@ -240,6 +261,12 @@ def objects_embedded(spark, d):
     return objects.closest_embedded(net, r, s, 40, 1000)
 
 
+def objects_by_parts(spark, d):
+    """Objects through the partitioned join."""
+    net, _, r, s = _objects(spark, d)
+    return closest_objects_by_parts(net, r, s, 40, 1000, prepared_tree(spark, d, "urban"))
+
+
 def _pairs(spark, d):
     p = prepare(spark, d, "interstate")
     return distance_join(p.net, p.r, p.s, 100, hierarchy=p.tree)
@@ -299,13 +326,27 @@ def sql_table_function(spark, d):
 
     register(spark)
     net, tree, r, s = _given(spark, d)
-    from netjoin.plans.joins import leaf_arcs, operand_roles
-
     null = F.lit(None).cast("long")
-    leaf_arcs(net, tree).select("gp", F.lit("arc").alias("role"), "a", "b", "w").unionByName(operand_roles(tree, r, s).where("role <> 'b'").select("gp", "role", F.col("id").alias("a"), null.alias("b"), null.alias("w"))).createOrReplaceTempView("leaf_rows")
+    rows = tree.arcs.select("gp", F.lit("arc").alias("role"), "a", "b", "w")
+    for role, ids in (("r", r), ("s", s)):
+        rows = rows.unionByName(tree.assign.join(ids, "id", "left_semi").select("gp", F.lit(role).alias("role"), F.col("id").alias("a"), null.alias("b"), null.alias("w")))
+    rows.createOrReplaceTempView("leaf_rows")
     return spark.sql("SELECT u, v, d FROM leaf_pairs(TABLE(leaf_rows) PARTITION BY (gp), 1000)")
 
 
+def ranked(spark, d):
+    return relational.ranked_pairs(_pairs(spark, d))
+
+
+def chains(spark, d):
+    """Running value of every user's events."""
+    return relational.chain_lengths(load(spark, d, "events").select(F.col("user_id").alias("chain"), F.col("event_id").alias("pos"), F.floor(F.abs("value")).cast("long").alias("w")))
+
+
+def pivot_events(spark, d):
+    return relational.pivot_counts(load(spark, d, "events"), "user_id", "event_type", ["view", "purchase"])
+
+
 def queries() -> dict[str, Query]:
     q: dict[str, Query] = {f"net_{n}_edges": _edges(n) for n in networks.NETWORKS}
     q |= {"net_degree_profile": degree_profile, "net_weight_quantiles": weight_quantiles, "ops_hash_sets": _hash_sets, "ops_attr_sets": _attr_sets, "ops_disjoint_check": _disjoint}
@@ -313,23 +354,30 @@ def queries() -> dict[str, Query]:
     q |= {"dj_directed_lines": dj_directed_lines, "dj_trade": dj_trade, "dj_swapped": dj_swapped, "dj_frontier": _dj("interstate", 200, engine="frontier"), "dj_urban_800": _dj("urban", 800)}
     q |= {f"kcp_{n}": _kcp(n) for n in NAMES}
     q |= {"kcp_theta": _kcp("urban", theta=100), "kcp_attr": kcp_attr, "kcp_trajectory": kcp_trajectory}
-    q |= {f"kcp_alpha_{int(a * 100)}": _kcp("urban", alpha=a) for a in SWEEPS["alpha"]}
-    q |= {f"kcp_p_{n}": _kcp_parallel(n) for n in SWEEPS["parallelism"]}
-    q |= {f"kcp_k_{k}": _kcp("urban", k=k) for k in SWEEPS["k"]}
-    q |= {f"kcp_r_{p}": _kcp("urban", r=p) for p in SWEEPS["r"]} | {f"kcp_s_{p}": _kcp("urban", s=p) for p in SWEEPS["s"]}
-    q |= {"kcp_local_bound": _kcp("urban", threshold="local"), "kcp_auto_bound": _kcp("urban", threshold="auto"), "kcp_pool": _kcp("urban", schedule="pool"), "kcp_frontier": _kcp("urban", engine="frontier"), "kcp_task": _kcp("urban", engine="task"),
-          "kcp_no_reuse": _kcp("urban", reuse_routes=False), "kcp_no_stop": _kcp("urban", stop_by_weight=False), "kcp_per_level": _kcp("urban", crossings="per_level"), "kcp_unbounded_k": _kcp("urban", k=None, theta=200), "kcp_many": _kcp("mesh", k=2000, theta=6000)}
+    q |= {f"dj_{n}_theta_{t}": _dj(n, t) for n, ts in THETAS.items() for t in ts}
+    for prefix, n in (("kcp", "urban"), ("kcp_interstate", "interstate")):
+        q |= {f"{prefix}_alpha_{int(a * 100)}": _kcp(n, alpha=a) for a in SWEEPS["alpha"]}
+        q |= {f"{prefix}_p_{p}": _kcp_parallel(p, n) for p in SWEEPS["parallelism"]}
+        q |= {f"{prefix}_k_{k}": _kcp(n, k=k) for k in SWEEPS["k"]}
+        q |= {f"{prefix}_r_{p}": _kcp(n, r=p) for p in SWEEPS["r"]} | {f"{prefix}_s_{p}": _kcp(n, s=p) for p in SWEEPS["s"]}
+    q |= {f"kcp_bound_{name}_{n}": _kcp("urban", leaves=n, threshold=t) for n in BOUND_LEAVES for name, t in (("local", "local"), ("shared", "wave"))}
+    q |= {"kcp_p_1": _kcp_parallel(1), "kcp_local_bound": _kcp("urban", threshold="local"), "kcp_auto_bound": _kcp("urban", threshold="auto"), "kcp_auto_bound_2": _kcp("urban", threshold="auto", leaves=2), "kcp_pool": _kcp("urban", schedule="pool"), "kcp_frontier": _kcp("urban", engine="frontier"),
+          "kcp_task": _kcp("urban", engine="task"), "kcp_per_level": _kcp("urban", crossings="per_level"), "kcp_interstate_per_level": _kcp("interstate", crossings="per_level"), "kcp_per_level_pool": _kcp("urban", crossings="per_level", schedule="pool", parallelism=3),
+          "kcp_unbounded_k": _kcp("urban", k=None, theta=200), "kcp_many": _kcp("mesh", k=2000, theta=6000), "kcp_mesh_frontier": _kcp("mesh", engine="frontier")}
+    for option, name in (("reuse_routes", "no_reuse"), ("stop_by_weight", "no_stop")):
+        q |= {f"kcp_{name}": _kcp("mesh", **{option: False}), f"dj_{name}_one": _dj("urban", 1000, crossings="one", **{option: False}), f"dj_{name}_per_level": _dj("urban", 1000, crossings="per_level", **{option: False})}
     q |= {"mst_mesh": mst_mesh, "bisect_sep_urban": bisect_sep_urban, "bisect_sep_forest": bisect_sep_forest, "given_cross": given_cross, "given_border": given_border, "given_routes": given_routes, "given_local_pairs": _given_pairs("none"),
           "given_one_cross": _given_pairs("one"), "given_per_level": _given_pairs("per_level"), "given_closure": _given_pairs("closure"), "given_table_function": sql_table_function, "bisect_alpha": bisect_alpha,
-          "hierarchy_nodes": lambda s, d: prepared_tree(s, d, "urban").nodes, "hierarchy_schedule": lambda s, d: schedule_plan(prepared_tree(s, d, "urban"), 8),
-          "hierarchy_borders": lambda s, d: measures.border_profile(prepared_tree(s, d, "urban"))}
+          "hierarchy_nodes": hierarchy_nodes, "hierarchy_schedule": lambda s, d: schedule_plan(_given(s, d, 8)[1], 3), "hierarchy_borders": lambda s, d: measures.border_profile(_given(s, d, 8)[1]),
+          "hierarchy_balance": lambda s, d: measures.split_balance(_given(s, d, 8)[1])}
     q |= {f"seeds_{h}": _seeds(h) for h in ("double_sweep", "random", "best_of", "longest_tree_edge")}
     q |= {"naive_pairs": _kcp("interstate", leaves=None), "euclid_pairs": euclid, "all_pairs_mesh": lambda s, d: baselines.all_pairs(prepared_network(s, d, "mesh"), 3500),
           "all_pairs_recursive": lambda s, d: baselines.all_pairs_recursive(prepared_network(s, d, "mesh"), 3500), "balanced_assign_cut": balanced_cut, "balanced_hash_cut": balanced_hash}
-    q |= {"recall_modes": recall_modes, "imbalance": lambda s, d: measures.imbalance(prepared_tree(s, d, "urban")), "work_counters": _report("work"), "bound_trace": _report("trace"), "idle_slots": idle_slots}
-    q |= {f.__name__: f for f in (objects_latest, objects_closest, objects_embedded, rollup_pairs_by_region, cube_gp_pairs, grouping_sets_pairs, knn_per_u, asof_position, interval_meetings, session_positions, json_props, set_ops_pairs)}
+    q |= {"recall_modes": recall_modes, "imbalance": lambda s, d: measures.imbalance(_given(s, d, 8)[1]), "work_counters": work_counters, "bound_trace": bound_trace, "idle_slots": idle_slots}
+    q |= {f.__name__: f for f in (objects_latest, objects_closest, objects_embedded, objects_by_parts, rollup_pairs_by_region, cube_gp_pairs, grouping_sets_pairs, knn_per_u, asof_position, interval_meetings, session_positions, json_props, set_ops_pairs)}
+    q |= {"ranked_pairs": ranked, "pairs_nearby": lambda s, d: relational.pairs_nearby(_pairs(s, d), 10), "chain_lengths": chains, "pivot_events": pivot_events, "paged_pairs": lambda s, d: relational.page_of(_pairs(s, d), 1, 10)}
     return q | {"page_links": networks.page_links}
 
 
 def oracle_sql() -> dict[str, str]:
-    return sql.oracles(NAMES, SWEEPS)
+    return sql.oracles(NAMES, SWEEPS, THETAS, BOUND_LEAVES)

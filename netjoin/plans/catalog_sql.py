@@ -55,7 +55,7 @@ def _pairs(net: str, theta: int, *, r: float = 8, s: float = 8, k: int | None =
     return f"WITH RECURSIVE {NETS.get(net, net)}, {arcs}, {sets or _sets(r, s)}, {_search(theta)} SELECT u, x AS v, CAST(d AS BIGINT) AS d FROM q JOIN s ON s.id = q.x{tail}"
 
 
-_CUT = "h AS (SELECT (max(id) + 1) // 2 AS half FROM v), p AS (SELECT id, CASE WHEN id < half THEN 2 ELSE 3 END AS gp FROM v, h)"
+_CUT = "h AS (SELECT max(id) + 1 AS n FROM v), p AS (SELECT id, 2 + id * 2 // n AS gp FROM v, h)"
 
 
 def _given(crossings: int, theta: int = 1000) -> str:
@@ -81,7 +81,29 @@ _CLOSEST = f"""WITH RECURSIVE {_OBJECTS}, {ARCS}, {_search(1000, "SELECT oid, no
  SELECT u, v, CAST(min(d) AS BIGINT) AS d FROM al WHERE d <= 1000 GROUP BY u, v ORDER BY d, u, v LIMIT 40"""
 
 
-def oracles(names: dict[str, int], sweeps: dict[str, tuple]) -> dict[str, str]:
+#: The lines cut in eight: leaves 8 to 15 by spans of the event ids, their ancestors, edges by the leaves of both ends, and cross-edges by lowest common part.
+_EIGHT = f"""{LINES}, pt AS (SELECT id, CAST(8 + id * 8 // n AS BIGINT) AS gp FROM v, (SELECT max(id) + 1 AS n FROM v)), lev(k) AS (VALUES (0), (1), (2), (3)),
+ pe AS (SELECT e.*, a.gp AS ga, b.gp AS gb FROM e JOIN pt a ON a.id = e.src JOIN pt b ON b.id = e.dst),
+ cr AS (SELECT *, CASE WHEN ga >> 1 = gb >> 1 THEN ga >> 1 WHEN ga >> 2 = gb >> 2 THEN ga >> 2 ELSE 1 END AS node FROM pe WHERE ga <> gb),
+ nv AS (SELECT gp >> k AS node, count(*) AS n_vertices FROM pt, lev GROUP BY 1),
+ ne AS (SELECT ga >> k AS node, count(*) AS n_edges FROM pe, lev WHERE ga >> k = gb >> k GROUP BY 1),
+ sp AS (SELECT node, min(w) AS sep FROM cr GROUP BY 1),
+ nodes AS (SELECT node AS gp, node // 2 AS parent, CAST(node % 2 AS INTEGER) AS side, CAST(floor(log2(node)) AS INTEGER) AS level, CAST(3 - floor(log2(node)) AS INTEGER) AS height, n_vertices,
+                  coalesce(n_edges, 0) AS n_edges, sep, node >= 8 AS leaf FROM nv LEFT JOIN ne USING (node) LEFT JOIN sp USING (node)),
+ plan AS (SELECT height AS wave, gp, height, row_number() OVER (PARTITION BY height ORDER BY n_edges DESC, gp) - 1 AS i FROM nodes)"""
+
+
+def _recall() -> str:
+    """Recall of the crossing modes on the lines cut in two, at theta 1000; per_level is one crossing at depth 1."""
+    answers = {"none": _given(0), "one": _given(1), "per_level": _given(1), "closure": _pairs("lines", 1000)}
+    sigma = f"(WITH {LINES}, {_CUT} SELECT min(w) AS sigma FROM e JOIN p pa ON pa.id = src JOIN p pb ON pb.id = dst WHERE pa.gp <> pb.gp)"
+    rows = " UNION ALL ".join(
+        f"""SELECT '{m}' AS crossings, count(*) AS n_exact, count(a.d) AS n_found, count(*) FILTER (a.d = x.d) AS n_equal, count(a.d) / count(*) AS recall, count(*) FILTER (a.d = x.d) / count(*) AS equal_share,
+            round(avg(a.d / x.d), 9) AS mean_stretch, {'true' if m == 'closure' else f"1000 < {1 if m == 'none' else 2} * max(sigma)"} AS certified FROM exact x LEFT JOIN ans_{m} a USING (u, v), {sigma} sg""" for m in answers)
+    return f"WITH exact AS ({_pairs('lines', 1000)}), {', '.join(f'ans_{m} AS ({q})' for m, q in answers.items())} {rows}"
+
+
+def oracles(names: dict[str, int], sweeps: dict[str, tuple], thetas: dict[str, tuple], bound_leaves: tuple[int, ...]) -> dict[str, str]:
     near = _pairs("interstate", 100)
     out = {f"net_{n}_edges": f"WITH {c} SELECT src, dst, w FROM e" for n, c in NETS.items()}
     out |= {
@@ -99,10 +121,16 @@ def oracles(names: dict[str, int], sweeps: dict[str, tuple]) -> dict[str, str]:
     attr = "r AS (SELECT event_id AS id FROM events WHERE event_type = 'view'), s AS (SELECT event_id AS id FROM events WHERE event_type = 'purchase')"
     two = "us AS (SELECT user_id, row_number() OVER (ORDER BY count(*) DESC, user_id) AS i FROM events GROUP BY user_id), r AS (SELECT event_id AS id FROM events JOIN us USING (user_id) WHERE i = 1), s AS (SELECT event_id AS id FROM events JOIN us USING (user_id) WHERE i = 2)"
     out |= {"kcp_theta": _pairs("urban", 100, k=80), "kcp_attr": _pairs("lines", 60, sets=attr, k=80), "kcp_trajectory": _pairs("lines", 20000, sets=two, k=10)}
-    out |= {f"kcp_alpha_{int(a * 100)}": urban for a in sweeps["alpha"]} | {f"kcp_p_{n}": urban for n in sweeps["parallelism"]}
-    out |= {f"kcp_k_{k}": _pairs("urban", 400, k=k) for k in sweeps["k"]}
-    out |= {f"kcp_r_{p}": _pairs("urban", 1200, r=p, k=80) for p in sweeps["r"]} | {f"kcp_s_{p}": _pairs("urban", 1200, s=p, k=80) for p in sweeps["s"]}
-    out |= {f"kcp_{n}": urban for n in ("local_bound", "auto_bound", "pool", "frontier", "task", "no_reuse", "no_stop", "per_level")}
+    out |= {f"dj_{n}_theta_{t}": _pairs(n, t) for n, ts in thetas.items() for t in ts}
+    for prefix, n, near, far in (("kcp", "urban", 400, 1200), ("kcp_interstate", "interstate", 400, 1200)):
+        out |= dict.fromkeys([f"{prefix}_alpha_{int(a * 100)}" for a in sweeps["alpha"]] + [f"{prefix}_p_{p}" for p in sweeps["parallelism"]], _pairs(n, near, k=80))
+        out |= {f"{prefix}_k_{k}": _pairs(n, near, k=k) for k in sweeps["k"]}
+        out |= {f"{prefix}_r_{p}": _pairs(n, far, r=p, k=80) for p in sweeps["r"]} | {f"{prefix}_s_{p}": _pairs(n, far, s=p, k=80) for p in sweeps["s"]}
+    out |= {f"kcp_bound_{name}_{n}": urban for n in bound_leaves for name in ("local", "shared")}
+    out |= {f"kcp_{n}": urban for n in ("p_1", "local_bound", "auto_bound", "auto_bound_2", "pool", "frontier", "task", "per_level", "per_level_pool")}
+    mesh = _pairs("mesh", 6000, k=80)
+    out |= {"kcp_interstate_per_level": _pairs("interstate", 400, k=80), "kcp_no_reuse": mesh, "kcp_no_stop": mesh, "kcp_mesh_frontier": mesh}
+    out |= {f"dj_{n}_{m}": _pairs("urban", 1000) for n in ("no_reuse", "no_stop") for m in ("one", "per_level")}
     out |= {"kcp_unbounded_k": _pairs("urban", 200), "kcp_many": _pairs("mesh", 6000, k=2000), "naive_pairs": _pairs("interstate", 400, k=80)}
     out["mst_mesh"] = f"""WITH RECURSIVE {MESH}, {ARCS}, ma AS (SELECT src AS a, dst AS b, w AS o FROM e UNION ALL SELECT dst, src, w FROM e),
         q(u, x, d) USING KEY (u, x) AS (SELECT id, id, 0::BIGINT FROM v UNION SELECT q.u, t.b, min(greatest(q.d, t.o)) FROM q JOIN ma t ON t.a = q.x LEFT JOIN recurring.q z ON z.u = q.u AND z.x = t.b
@@ -124,8 +152,20 @@ def oracles(names: dict[str, int], sweeps: dict[str, tuple]) -> dict[str, str]:
     every = f"WITH RECURSIVE {MESH}, {ARCS}, {_search(3500, 'SELECT id, id, 0::BIGINT FROM v')} SELECT u, x AS v, CAST(d AS BIGINT) AS d FROM q WHERE u <> x"
     out |= {"all_pairs_mesh": every, "all_pairs_recursive": every}
     band = lambda c: f"CAST(floor({_hash(c)} * 4 / 10007) AS BIGINT)"
-    out["balanced_hash_cut"] = f"WITH {URBAN} SELECT count(*) FILTER ({band('src')} <> {band('dst')}) AS n_cut, CAST(sum(w) FILTER ({band('src')} <> {band('dst')}) AS BIGINT) AS cut_weight FROM e"
-    out |= {"objects_latest": f"WITH {_OBJECTS} SELECT oid, src, dst, off, kind FROM ob", "objects_closest": _CLOSEST, "objects_embedded": _CLOSEST}
+    differ = f"{band('src')} <> {band('dst')}"
+    out["balanced_hash_cut"] = f"""WITH {URBAN}, z AS (SELECT {band('id')} AS g, count(*) AS n FROM v GROUP BY 1)
+        SELECT count(*) FILTER ({differ}) AS n_cut, CAST(sum(w) FILTER ({differ}) AS BIGINT) AS cut_weight, min(w) FILTER ({differ}) AS sep, (SELECT max(n) / avg(n) FROM z) AS largest FROM e"""
+    out |= {
+        "hierarchy_nodes": f"WITH {_EIGHT} SELECT * FROM nodes", "hierarchy_schedule": f"WITH {_EIGHT} SELECT wave, gp, height, CAST(i % 3 AS INTEGER) AS slot, CAST(i // 3 AS INTEGER) AS turn FROM plan",
+        "hierarchy_borders": f"""WITH {_EIGHT}, bo AS (SELECT DISTINCT node, x AS id FROM (SELECT node, src AS x FROM cr UNION ALL SELECT node, dst FROM cr)), nb AS (SELECT node, count(*) AS n_border FROM bo GROUP BY 1)
+            SELECT node AS gp, count(*) AS n_cross, CAST(sum(w) AS BIGINT) AS cut_weight, n_border FROM cr JOIN nb USING (node) GROUP BY node, n_border""",
+        "hierarchy_balance": f"WITH {_EIGHT} SELECT parent AS gp, CAST(sum(n_vertices) FILTER (side = 0) AS BIGINT) AS n_left, CAST(sum(n_vertices) FILTER (side = 1) AS BIGINT) AS n_right FROM nodes WHERE gp > 1 GROUP BY 1",
+        "imbalance": f"WITH {_EIGHT} SELECT count(*) AS leaves, max(n_vertices) AS largest, min(n_vertices) AS smallest, max(n_vertices) / avg(n_vertices) AS ratio FROM nodes WHERE leaf",
+        "idle_slots": f"""WITH {_EIGHT}, sl AS (SELECT wave, i % 3 AS slot, sum(n_vertices) AS busy FROM plan JOIN nodes USING (gp) GROUP BY 1, 2), wv AS (SELECT max(busy) AS span, sum(busy) AS work FROM sl GROUP BY wave)
+            SELECT 1 - CAST(sum(work) AS DOUBLE) / (sum(span) * 3) AS idle FROM wv""",
+        "recall_modes": _recall(),
+    }
+    out |= {"objects_latest": f"WITH {_OBJECTS} SELECT oid, src, dst, off, kind FROM ob", "objects_closest": _CLOSEST, "objects_embedded": _CLOSEST, "objects_by_parts": _CLOSEST}
     geo = "geo AS (SELECT o_orderkey AS id, r_name, n_name FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey)"
     wrap = lambda body, q=near: f"WITH pr AS ({q}) {body}"
     out |= {
@@ -134,6 +174,11 @@ def oracles(names: dict[str, int], sweeps: dict[str, tuple]) -> dict[str, str]:
         "grouping_sets_pairs": wrap("SELECT ub, vb, CAST(grouping(ub, vb) AS BIGINT) AS g, count(*) AS n FROM (SELECT u % 3 AS ub, v % 3 AS vb FROM pr) GROUP BY GROUPING SETS ((ub), (vb), ())"),
         "knn_per_u": wrap("SELECT u, v, d, rank FROM (SELECT *, row_number() OVER (PARTITION BY u ORDER BY d, v) AS rank FROM pr) WHERE rank <= 2"),
         "set_ops_pairs": f"WITH wide AS ({_pairs('interstate', 150)}), pr AS ({near}) (SELECT * FROM wide EXCEPT ALL SELECT * FROM pr) UNION ALL (SELECT * FROM wide INTERSECT SELECT * FROM pr WHERE d <= 10)",
+        "ranked_pairs": wrap("SELECT u, v, d, rank() OVER (PARTITION BY u ORDER BY d) AS rank, dense_rank() OVER (PARTITION BY u ORDER BY d) AS dense_rank, ntile(4) OVER (PARTITION BY u ORDER BY d, v) AS quartile FROM pr"),
+        "pairs_nearby": wrap("SELECT u, v, d, count(*) OVER (PARTITION BY u ORDER BY d RANGE BETWEEN 10 PRECEDING AND 10 FOLLOWING) AS n FROM pr"),
+        "paged_pairs": wrap("SELECT u, v, d FROM pr ORDER BY d, u, v LIMIT 10 OFFSET 10"),
+        "chain_lengths": "SELECT user_id AS chain, event_id AS pos, CAST(sum(CAST(floor(abs(value)) AS BIGINT)) OVER (PARTITION BY user_id ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS upto FROM events",
+        "pivot_events": "SELECT user_id, count(*) FILTER (event_type = 'view') AS view, count(*) FILTER (event_type = 'purchase') AS purchase FROM events GROUP BY user_id",
         "asof_position": "SELECT q.event_id, (SELECT max_by(f.event_id, (f.ts, f.event_id)) FROM events f WHERE f.user_id = q.user_id AND f.event_type = 'view' AND f.ts <= q.ts) AS seen FROM events q WHERE q.event_type = 'purchase'",
         "interval_meetings": "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id <> b.user_id AND abs(epoch_us(a.ts) - epoch_us(b.ts)) <= 120000000 WHERE a.event_type = 'view' AND b.event_type = 'purchase'",
         "session_positions": "WITH t AS (SELECT user_id, ts, event_id, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER k) > 86400000000 THEN 1 ELSE 0 END AS f FROM events WINDOW k AS (PARTITION BY user_id ORDER BY ts, event_id)), u AS (SELECT user_id, CAST(sum(f) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS session FROM t) SELECT user_id, session, count(*) AS n_events FROM u GROUP BY ALL",

@@ -1,6 +1,7 @@
 """The two joins: all pairs within a distance, and the k closest pairs, alone or combined.
 
-A join runs as waves: leaf searches first, then what crosses between parts, under a bound that is refreshed between waves.
+A join runs as waves: leaf searches first, then what crosses between parts, under a bound that is refreshed between waves. Where the refreshed bound is
+below the lightest cross-edge, nothing can cross and the join ends with the leaves.
 ``crossings`` says which paths count:
 
 none       paths inside one leaf
@@ -13,30 +14,40 @@ The first three are exact where the bound is below the certificate (sigma for no
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+import time
+from collections.abc import Iterator
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from netjoin.functions.workspace import materialise
+from netjoin.functions.workspace import counted, materialise
 from netjoin.operators import kernels
 from netjoin.operators.network import Network, assert_disjoint
 from netjoin.operators.partition import TASK_EDGES, Hierarchy
 from netjoin.operators.relax import relax
-from netjoin.plans.schedule import SharedBound, run_pool
+from netjoin.plans.schedule import default_slots, plan_steps
 
 UNBOUNDED = 1 << 58
-#: Most sources that one task searches from in a leaf; the sources of larger leaves are dealt to several tasks.
+#: Most sources that one task searches from in a part; the sources of larger parts are dealt to several tasks.
 SOURCES_PER_TASK = 20_000
+#: Most parts whose places in a schedule are broadcast; more are shuffled.
+BROADCAST_PARTS = 500_000
 
 
 @dataclass
 class JoinReport:
-    """What a join did: bounds after each wave, rounds, certificate, and machine-independent work."""
+    """What a join did: bounds after each wave, radii tried while no bound was known, certificate, and machine-independent work.
+
+    ``settled`` and ``relaxed`` count vertices reached within the bound and arcs looked at, summed over sources; ``searches`` has
+    (wave, slot, start, end) of every task in microseconds; ``pruned`` counts rows that a refreshed bound dropped.
+    """
 
     trace: list[int] = field(default_factory=list)
+    limits: list[int] = field(default_factory=list)
     rounds: dict = field(default_factory=dict)
     sigma: int | None = None
     certified: bool = True
@@ -46,6 +57,38 @@ class JoinReport:
     bridges_pruned: int = 0
     settled: int = 0
     relaxed: int = 0
+    pruned: int = 0
+    searches: list[tuple[int, int, int, int]] = field(default_factory=list)
+
+    def idle_share(self, parallelism: int) -> float:
+        """Share of slot time that waits for the slowest task of its wave, from the tasks' own clocks."""
+        busy = span = 0
+        for wave in {s[0] for s in self.searches}:
+            times = [end - start for w, _, start, end in self.searches if w == wave]
+            busy, span = busy + sum(times), span + max(times) * parallelism
+        return 1 - busy / span if span else 0.0
+
+
+@dataclass(frozen=True)
+class Spec:
+    """A join's operands and options."""
+
+    net: Network
+    r: DataFrame
+    s: DataFrame
+    k: int | None
+    tree: Hierarchy | None
+    crossings: str
+    threshold: str
+    engine: str
+    schedule: str
+    parallelism: int
+    reuse_routes: bool
+    stop_by_weight: bool
+    report: JoinReport
+    detailed: bool
+    task_edges: int
+    sources_per_task: int
 
 
 def top_pairs(pairs: DataFrame, k: int | None) -> DataFrame:
@@ -60,11 +103,12 @@ def trim_pairs(pairs: DataFrame, k: int, by: str = "gp") -> DataFrame:
     return best.withColumn("n", F.row_number().over(Window.partitionBy(by).orderBy("d", "u", "v"))).where(F.col("n") <= k).drop("n")
 
 
-def kth_distance(pairs: DataFrame, k: int | None) -> int | None:
+def kth_distance(pairs: DataFrame, k: int | None, *, distinct: bool = False) -> int | None:
     """The k-th least distance of distinct pairs, None if there are fewer: an upper bound of the answer's."""
     if not k:
         return None
-    row = top_pairs(pairs, k).agg(F.count(F.lit(1)).alias("n"), F.max("d").alias("d")).first()
+    first = pairs.select("d").orderBy("d").limit(k) if distinct else top_pairs(pairs, k)
+    row = first.agg(F.count(F.lit(1)).alias("n"), F.max("d").alias("d")).first()
     return row["d"] if row["n"] == k else None
 
 
@@ -81,245 +125,320 @@ def unpartitioned_pairs(net: Network, r: DataFrame, s: DataFrame, bound: int, re
     return best.join(s.select(F.col("id").alias("node")), "node", "left_semi").select(F.col("src").alias("u"), F.col("node").alias("v"), "d")
 
 
-_LEAF = "gp long, kind string, x long, y long, d long"
-
-
-def _leaf_kernel(k: int | None, bound: int, paths: bool):
-    def run(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        gp = key[0].as_py()
-        a, b, w = (left.column(c).to_numpy(zero_copy_only=False) for c in ("a", "b", "w"))
-        role, ids = np.asarray(right.column("role").to_pylist()), right.column("id").to_numpy(zero_copy_only=False)
-        found = kernels.leaf_search(a, b, w, {name: ids[role == name] for name in ("r", "s", "b", "q")}, k=k, theta=bound, paths=paths)
-        rows = [(kind, *row) for kind, got in found.items() for row in got]
-        cols = list(zip(*rows)) if rows else [[]] * 4
-        return pa.table({"gp": pa.array([gp] * len(rows), pa.int64()), "kind": pa.array(cols[0], pa.string()), **{n: pa.array(c, pa.int64()) for n, c in zip(("x", "y", "d"), cols[1:])}})
+# Searches inside parts
+
+#: Roles of a row: an arc (a, b, w), a target in S, a border vertex to report, a source (its start cost in w).
+ARC, IN_S, BORDER, SOURCE = range(4)
+_FOUND = "gp long, kind string, x long, y long, d long"
+
+
+def _by_turn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """The rows of one part and chunk after another; they come sorted by turn."""
+    held, now = [], None
+    for batch in batches:
+        turns = batch.column("turn").to_numpy()
+        cuts = np.concatenate([[0], np.flatnonzero(turns[1:] != turns[:-1]) + 1, [len(turns)]]) if len(turns) else []
+        for at, end in zip(cuts[:-1], cuts[1:]):
+            if now is not None and turns[at] != now:
+                yield pa.Table.from_batches(held)
+                held = []
+            now = turns[at]
+            held.append(batch.slice(int(at), int(end - at)))
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def _kernel(kinds: tuple[str, str], k: int | None, bound: int, shared: bool):
+    """Search part after part of a slot. ``kinds`` name hits in S and at the border; with k the hits in S shrink the bound, over all parts of the slot if ``shared``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best, started, slot = kernels.BestPairs(k, bound), time.time_ns() // 1000, 0
+        for rows in _by_turn(batches):
+            gp, slot = rows.column("gp")[0].as_py(), rows.column("slot")[0].as_py()
+            of = {role: rows.filter(pc.equal(rows.column("role"), role)) for role in (ARC, IN_S, BORDER, SOURCE)}
+            get = lambda role, c: of[role].column(c).to_numpy().astype(np.int64)  # noqa: E731, B023
+            if not of[SOURCE].num_rows:
+                continue
+            if not shared:
+                best = kernels.BestPairs(k, bound)
+            g, work = kernels.LocalGraph(get(ARC, "a"), get(ARC, "b"), get(ARC, "w"), get(SOURCE, "a")), kernels.Work()
+            order = np.argsort(get(SOURCE, "a"), kind="stable")
+            marks = {kinds[0]: g.mask(get(IN_S, "a")), kinds[1]: g.mask(get(BORDER, "a"))}
+            got = kernels.reach(g, g.local(get(SOURCE, "a")[order]), get(SOURCE, "w")[order], marks, best, counted=kinds[0] if k else None, work=work)
+            for kind, (x, y, d) in got.items():
+                n = len(d)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, gp)), pa.array([kind] * n, pa.string()), pa.array(g.ids[x]), pa.array(g.ids[y]), pa.array(d)], names=["gp", "kind", "x", "y", "d"])
+            yield pa.RecordBatch.from_pylist([{"gp": gp, "kind": "work", "x": work.settled, "y": work.relaxed, "d": 0}], schema=_SCHEMA)
+        yield pa.RecordBatch.from_pylist([{"gp": slot, "kind": "slot", "x": started, "y": time.time_ns() // 1000, "d": slot}], schema=_SCHEMA)
 
     return run
 
 
-def leaf_arcs(net: Network, tree: Hierarchy) -> DataFrame:
-    """Arcs inside a leaf: gp, a, b, w."""
-    at = tree.assign
-    return net.arcs.join(at.select(F.col("id").alias("a"), "gp"), "a").join(at.select(F.col("id").alias("b"), F.col("gp").alias("gp_b")), "b").where("gp = gp_b").select("gp", "a", "b", "w")
-
+_SCHEMA = pa.schema([("gp", pa.int64()), ("kind", pa.string()), ("x", pa.int64()), ("y", pa.int64()), ("d", pa.int64())])
 
-def operand_roles(tree: Hierarchy, r: DataFrame, s: DataFrame) -> DataFrame:
-    """gp, role, id: members of R (r), of S (s), and border vertices (b) of every leaf."""
-    at = tree.assign.select("id", "gp")
-    border = tree.cross.select(F.col("leaf_a").alias("gp"), F.col("a").alias("id")).unionByName(tree.cross.select(F.col("leaf_b").alias("gp"), F.col("b").alias("id"))).distinct()
-    return (at.join(r.select("id"), "id", "left_semi").select("gp", F.lit("r").alias("role"), "id").unionByName(at.join(s.select("id"), "id", "left_semi").select("gp", F.lit("s").alias("role"), "id"))
-            .unionByName(border.select("gp", F.lit("b").alias("role"), "id")))
 
+def _places(spec: Spec, parts: list[int], sources: DataFrame, of_slot: dict[int, tuple[int, int]] | None) -> tuple[DataFrame, int]:
+    """(gp, chunk, chunks, slot, turn) of every part to search, and the number of slots. Parts with many sources are dealt in chunks, each with a copy of the part.
 
-def _chunked(arcs: DataFrame, roles: DataFrame, per_task: int) -> tuple[DataFrame, DataFrame]:
-    """Deal the sources of large leaves (R, and borders as q) to several tasks, each with a copy of the leaf's arcs and targets: one leaf
-    with most of the network, as unsmoothed splits make, does not wait for one task."""
-    n = roles.where("role IN ('r', 'b')").groupBy("gp").agg(F.ceil(F.count(F.lit(1)) / float(per_task)).cast("int").alias("n"))
-    n = materialise(n, "leaf-chunks")
-    every = F.explode(F.expr("sequence(0, coalesce(n, 1) - 1)"))
-    own = F.pmod(F.xxhash64("id"), F.coalesce("n", F.lit(1))).cast("int")
-    dealt = roles.join(n, "gp", "left")
-    sources = dealt.where("role IN ('r', 'b')").select("gp", own.alias("chunk"), F.when(F.col("role") == "b", "q").otherwise("r").alias("role"), "id")
-    targets = dealt.where("role IN ('s', 'b')").select("gp", every.alias("chunk"), "role", "id")
-    return arcs.join(n, "gp", "left").select("gp", every.alias("chunk"), "a", "b", "w"), sources.unionByName(targets)
+    In the pool, a part has the slot of its step in the schedule; else parts go round all slots, the largest first.
+    """
+    nodes, limit = spec.tree.parts, spec.sources_per_task
+    chunks = dict.fromkeys(parts, 1)
+    if max((nodes[g]["n_vertices"] for g in parts), default=0) > limit:
+        for row in sources.groupBy("gp").agg(F.count(F.lit(1)).alias("n")).collect():  # a row for each part
+            chunks[row["gp"]] = -(-row["n"] // limit)
+    units = [(g, c) for g in sorted(parts, key=lambda g: (-nodes[g]["n_edges"], g)) for c in range(chunks.get(g, 1))]
+    if of_slot is not None:
+        slots = spec.parallelism
+        units.sort(key=lambda u: (of_slot[u[0]][1], u))
+        where = [(of_slot[g][0] + c) % slots for g, c in units]
+    else:
+        slots = max(1, min(len(units), default_slots(spec.net.vertices.sparkSession)))
+        where = [i % slots for i in range(len(units))]
+    rows = [(g, c, chunks.get(g, 1), slot, turn) for turn, ((g, c), slot) in enumerate(zip(units, where))]
+    return spec.net.vertices.sparkSession.createDataFrame(rows, "gp long, chunk int, chunks int, slot int, turn int"), slots
 
 
-def leaf_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, *, k: int | None, bound: int, paths: bool = True, engine: str = "task", report: JoinReport | None = None, only: int | None = None, sources_per_task: int = SOURCES_PER_TASK,
-               stored: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
-    """Leaf-local search of all leaves: gp, kind, x, y, d with kinds pair, route (R to border), bb and bs (from a border).
+def search_parts(spec: Spec, parts: list[int], arcs: DataFrame, targets: DataFrame, sources: DataFrame, kinds: tuple[str, str], bound: int, *, k: int | None = None, wave: int = 0, of_slot: dict[int, tuple[int, int]] | None = None) -> DataFrame:
+    """(gp, kind, x, y, d): least costs within the bound inside parts, from sources to vertices of S and border vertices; written.
 
-    ``task`` searches each leaf in one task; ``frontier`` relaxes all leaves together by joins, for leaves beyond a task.
-    ``only`` searches one leaf; ``stored`` holds arcs and roles of all leaves, written by leaf, so that it reads no other.
+    ``arcs`` (gp, a, b, w), ``targets`` (gp, role, id), ``sources`` (gp, id, cost). One shuffle brings the parts of a slot together; its task holds one part at a time.
+    Beyond ``task_edges`` edges in a part the frontier engine relaxes all parts by joins instead.
     """
-    arcs, roles = stored or (leaf_arcs(net, tree), operand_roles(tree, r, s))
-    if only is not None:
-        arcs, roles = arcs.where(F.col("gp") == only), roles.where(F.col("gp") == only)
-    if engine == "task":
-        arcs, roles = _chunked(arcs, roles, sources_per_task)
-        return arcs.select(F.col("gp").alias("leaf"), F.col("chunk").alias("part"), "a", "b", "w").groupBy("leaf", "part").cogroup(roles.groupBy("gp", "chunk")).applyInArrow(_leaf_kernel(k, bound, paths), _LEAF)
-    starts = roles.where("role = 'r'" if not paths else "role IN ('r', 'b')").select("id").distinct()
-    best = relax(arcs.select("a", "b", "w"), starts.select(F.col("id").alias("src"), F.col("id").alias("node"), F.lit(0).cast("long").alias("d")), bound, report=report.rounds if report else None)
-    full = best.join(roles.select(F.col("id").alias("src"), "gp", F.col("role").alias("from")), "src").join(roles.select(F.col("id").alias("node"), F.col("role").alias("to")), "node")
-    kind = F.when((F.col("from") == "r") & (F.col("to") == "s"), "pair").when((F.col("from") == "r") & (F.col("to") == "b"), "route").when((F.col("from") == "b") & (F.col("to") == "b") & (F.col("src") != F.col("node")), "bb").when((F.col("from") == "b") & (F.col("to") == "s"), "bs")
-    return full.select("gp", kind.alias("kind"), F.col("src").alias("x"), F.col("node").alias("y"), "d").where("kind IS NOT NULL")
+    report = spec.report
+    if spec.stop_by_weight:
+        arcs = arcs.where(F.col("w") <= bound)
+    largest = max((spec.tree.parts[g]["n_edges"] for g in parts), default=0)
+    if spec.engine == "frontier" or (spec.engine == "auto" and largest > spec.task_edges):
+        best = relax(arcs.select("a", "b", "w"), sources.select(F.col("id").alias("src"), F.col("id").alias("node"), F.col("cost").alias("d")), bound, report=report.rounds, early_stop=spec.stop_by_weight)
+        hit = best.join(sources.select(F.col("id").alias("src"), "gp"), "src").join(targets.select(F.col("id").alias("node"), "role"), "node")
+        kind = F.when(F.col("role") == IN_S, kinds[0]).otherwise(kinds[1])
+        report.settled += report.rounds.pop("settled", 0)
+        return materialise(hit.select("gp", kind.alias("kind"), F.col("src").alias("x"), F.col("node").alias("y"), "d"), f"found-{kinds[0]}")
+    plan, slots = _places(spec, parts, sources, of_slot)
+    near = F.broadcast(plan) if len(parts) <= BROADCAST_PARTS else plan
+    null = F.lit(None).cast("long")
+    own = F.pmod(F.xxhash64("id"), F.col("chunks")) == F.col("chunk")
+    columns = lambda role, a, b, w: ["slot", "turn", "gp", F.lit(role).cast("tinyint").alias("role"), a.alias("a"), b.alias("b"), w.alias("w")]
+    rows = arcs.join(near, "gp").select(*columns(ARC, F.col("a"), F.col("b"), F.col("w")))
+    rows = rows.unionByName(targets.join(near, "gp").select("slot", "turn", "gp", F.col("role").cast("tinyint").alias("role"), F.col("id").alias("a"), null.alias("b"), null.alias("w")))
+    rows = rows.unionByName(sources.join(near, "gp").where(own).select(*columns(SOURCE, F.col("id"), null, F.col("cost"))))
+    dealt = rows.repartitionById(slots, F.col("slot")).sortWithinPartitions("turn")
+    found = dealt.mapInArrow(_kernel(kinds, k, bound, spec.threshold != "local"), _FOUND)
+    on = lambda c, kind: F.sum(F.when(F.col("kind") == kind, F.col(c)))
+    kept, seen = counted(found, f"found-{kinds[0]}", settled=on("x", "work"), relaxed=on("y", "work"))
+    report.settled, report.relaxed = report.settled + seen.get("settled", 0), report.relaxed + seen.get("relaxed", 0)
+    if spec.detailed:
+        report.searches += [(wave, r["gp"], r["x"], r["y"]) for r in kept.where("kind = 'slot'").collect()]  # a row for each task
+    return kept
 
 
 def _kind(found: DataFrame, kind: str, x: str, y: str) -> DataFrame:
     return found.where(F.col("kind") == kind).select("gp", F.col("x").alias(x), F.col("y").alias(y), "d")
 
 
-def _live(cross: DataFrame, bound: int, stop_by_weight: bool, report: JoinReport) -> DataFrame:
-    """Cross-edges that the bound leaves alive; all of them in the ablation without the early stop."""
-    live = cross.where(F.col("w") <= bound) if stop_by_weight else cross
-    n, m = cross.count(), live.count()
-    report.bridges_live, report.bridges_pruned = report.bridges_live + m, report.bridges_pruned + n - m
-    return live
+def leaf_members(tree: Hierarchy, ids: DataFrame) -> DataFrame:
+    """(gp, id) of those vertices in their leaves."""
+    return tree.assign.select("gp", "id").join(ids.select("id"), "id", "left_semi")
 
 
-def closed_pairs(tree: Hierarchy, found: DataFrame, bound: int, *, stop_by_weight: bool, reuse_routes: bool, net: Network, r: DataFrame, report: JoinReport) -> DataFrame:
-    """Pairs over any number of cross-edges: routes relax over the overlay of border distances and cross-edges, then meet the border-S table."""
-    live = _live(tree.cross, bound, stop_by_weight, report).select("a", "b", "w")
-    overlay = materialise(_kind(found, "bb", "a", "b").select("a", "b", F.col("d").alias("w")).unionByName(live).where(F.col("w") <= bound).groupBy("a", "b").agg(F.min("w").alias("w")), "overlay")
-    routes = _kind(found, "route", "u", "border")
-    if not reuse_routes:  # ablation: search the near side once more instead of keeping its routes
-        again = leaf_pairs(net, tree, r, r.limit(0), k=None, bound=bound, report=report)
-        routes = _kind(materialise(again, "routes-again"), "route", "u", "border")
-    reached = relax(overlay, routes.select(F.col("u").alias("src"), F.col("border").alias("node"), "d"), bound, report=report.rounds)
-    ends = _kind(found, "bs", "node", "v").select("node", "v", F.col("d").alias("d2"))
-    return reached.join(ends, "node").where(F.col("d") + F.col("d2") <= bound).groupBy(F.col("src").alias("u"), "v").agg(F.min(F.col("d") + F.col("d2")).alias("d"))
-
-
-def one_cross_pairs(tree: Hierarchy, found: DataFrame, bound: int, *, stop_by_weight: bool, report: JoinReport) -> DataFrame:
-    """Pairs over exactly one cross-edge, far side inside the leaf of its head."""
-    live = _live(tree.cross, bound, stop_by_weight, report).select("a", "b", "w")
-    seeds = _kind(found, "route", "u", "a").select("u", "a", "d").join(live, "a").select("u", F.col("b").alias("node"), (F.col("d") + F.col("w")).alias("d")).where(F.col("d") <= bound).groupBy("u", "node").agg(F.min("d").alias("d"))
-    ends = _kind(found, "bs", "node", "v").select("node", "v", F.col("d").alias("d2"))
-    return seeds.join(ends, "node").where(F.col("d") + F.col("d2") <= bound).groupBy("u", "v").agg(F.min(F.col("d") + F.col("d2")).alias("d"))
+def rim(tree: Hierarchy) -> DataFrame:
+    """(gp, id): border vertices of every leaf."""
+    return tree.cross.select(F.col("leaf_a").alias("gp"), F.col("a").alias("id")).distinct()
 
 
-_FAR = "gp long, kind string, x long, y long, d long"
+def _steps(spec: Spec) -> dict[int, tuple[int, int]] | None:
+    """Slot and turn of every part in the pool."""
+    return {s.gp: (s.slot, s.turn) for s in plan_steps(spec.tree, spec.parallelism)} if spec.schedule == "pool" else None
 
 
-def _far_kernel(bound: int):
-    def run(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        gp = key[0].as_py()
-        a, b, w = (left.column(c).to_numpy(zero_copy_only=False) for c in ("a", "b", "w"))
-        role, ids, cost = np.asarray(right.column("role").to_pylist()), right.column("id").to_numpy(zero_copy_only=False), right.column("cost").to_numpy(zero_copy_only=False)
-        g = kernels.LocalGraph(a, b, w, ids)
-        name = g.ids.tolist()
-        s, border = set(g.local(ids[role == "s"])), set(g.local(ids[role == "b"]))
-        out = []
-        for x, c in sorted(zip(ids[role == "h"].tolist(), cost[role == "h"].tolist())):
-            start = g.local([x])[0]
+def leaf_search(spec: Spec, bound: int, *, sources: str, k: int | None, paths: bool, wave: int = 0) -> DataFrame:
+    """All leaves: from R, pairs and (with ``paths``) routes to the border; from the border, distances to S (bs) and to each other (bb)."""
+    tree = spec.tree
+    targets = leaf_members(tree, spec.s).withColumn("role", F.lit(IN_S))
+    if paths:
+        targets = targets.unionByName(rim(tree).withColumn("role", F.lit(BORDER)))
+    start = (leaf_members(tree, spec.r) if sources == "r" else rim(tree)).withColumn("cost", F.lit(0).cast("long"))
+    kinds = ("pair", "route") if sources == "r" else ("bs", "bb")
+    found = search_parts(spec, [r["gp"] for r in tree.leaves], tree.arcs, targets, start, kinds, bound, k=k, wave=wave, of_slot=_steps(spec))
+    return found if sources == "r" else found.where("kind <> 'bb' OR x <> y")
 
-            def visit(y: int, d: int) -> None:
-                if y in s:
-                    out.append(("hs", x, name[y], d - c))
-                if y in border:
-                    out.append(("hb", x, name[y], d - c))
 
-            g.search({start: c}, lambda: bound, visit)
-        cols = list(zip(*out)) if out else [[]] * 4
-        return pa.table({"gp": pa.array([gp] * len(out), pa.int64()), "kind": pa.array(cols[0], pa.string()), **{n: pa.array(v, pa.int64()) for n, v in zip(("x", "y", "d"), cols[1:])}})
+def leaf_tables(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, bound: int) -> DataFrame:
+    """gp, kind (pair, route, bs, bb), x, y, d: everything the leaves know within a bound."""
+    spec = _spec(net, r, s, None, tree)
+    rows = leaf_search(spec, bound, sources="r", k=None, paths=True).unionByName(leaf_search(spec, bound, sources="border", k=None, paths=True))
+    return rows.where("kind IN ('pair', 'route', 'bs', 'bb')")
 
-    return run
+
+# What crosses between parts
+
+
+def _live(spec: Spec, cross: DataFrame, bound: int) -> DataFrame:
+    """Cross-edges that the bound leaves alive; all of them in the ablation without the early stop."""
+    if spec.detailed:
+        n, m = cross.agg(F.count(F.lit(1)), F.count_if(F.col("w") <= bound)).first()
+        m = m if spec.stop_by_weight else n
+        spec.report.bridges_live, spec.report.bridges_pruned = spec.report.bridges_live + m, spec.report.bridges_pruned + n - m
+    return cross.where(F.col("w") <= bound) if spec.stop_by_weight else cross
+
+
+def closed_pairs(spec: Spec, routes: DataFrame, border: DataFrame, bound: int) -> DataFrame:
+    """Pairs over any number of cross-edges: routes relax over the overlay of border distances and cross-edges, then meet the border-S table."""
+    live = _live(spec, spec.tree.cross, bound).select("a", "b", "w")
+    overlay = materialise(_kind(border, "bb", "a", "b").select("a", "b", F.col("d").alias("w")).unionByName(live).groupBy("a", "b").agg(F.min("w").alias("w")), "overlay")
+    reached = relax(overlay, routes.select(F.col("u").alias("src"), F.col("border").alias("node"), "d"), bound, report=spec.report.rounds, early_stop=spec.stop_by_weight)
+    spec.report.settled += spec.report.rounds.pop("settled", 0)
+    return _meet(reached.select(F.col("src").alias("u"), "node", "d"), _kind(border, "bs", "node", "v"), bound)
+
+
+def one_cross_pairs(spec: Spec, routes: DataFrame, border: DataFrame, bound: int) -> DataFrame:
+    """Pairs over exactly one cross-edge, far side inside the leaf of its head."""
+    live = _live(spec, spec.tree.cross, bound).select("a", "b", "w")
+    seeds = routes.select("u", F.col("border").alias("a"), "d").join(live, "a").select("u", F.col("b").alias("node"), (F.col("d") + F.col("w")).alias("d")).where(F.col("d") <= bound).groupBy("u", "node").agg(F.min("d").alias("d"))
+    return _meet(seeds, _kind(border, "bs", "node", "v"), bound)
 
 
-def level_pairs(net: Network, tree: Hierarchy, r: DataFrame, s: DataFrame, found: DataFrame, pairs: DataFrame, k: int | None, bound: int, *, stop_by_weight: bool, refresh, report: JoinReport, engine: str) -> DataFrame:
-    """The faithful merge: parts of a level at once, from the deepest up.
+def _meet(near: DataFrame, far: DataFrame, bound: int) -> DataFrame:
+    both = near.join(far.select("node", "v", F.col("d").alias("d2")), "node").where(F.col("d") + F.col("d2") <= bound)
+    return both.groupBy("u", "v").agg(F.min(F.col("d") + F.col("d2")).alias("d"))
+
+
+def level_pairs(spec: Spec, routes: DataFrame, pairs: DataFrame, bound: int, refresh) -> DataFrame:
+    """The faithful merge: the parts of a wave at once, children before parents.
 
     At a part, near-side routes reach its cross-edges' tails; from the heads the sibling is searched with the least cost so far as a start; hits in S
-    combine with every route at the tail. Routes are lifted to borders that parents need.
+    combine with every route at the tail. Routes are lifted to borders that parents need. A wave whose parts are all separated by more than the bound is skipped.
     """
-    at = tree.assign.select("id", "gp", "path")
-    ext = tree.cross.select("gp", "a", "b", "w", "leaf_a", "leaf_b")
-    # routes(part, border, u, d): part = the child of the cross-edge's part that holds the border
-    routes = materialise(_kind(found, "route", "u", "border").select("border", "u", "d").groupBy("border", "u").agg(F.min("d").alias("d")), "level-routes")
-    for level in sorted({row[0] for row in tree.nodes.where("NOT leaf").select("level").distinct().collect()}, reverse=True):
-        here = ext.where(F.floor(F.log2("gp")).cast("int") == level)
-        live = materialise(_live(here, bound, stop_by_weight, report), "level-live")
-        near = live.join(routes.withColumnRenamed("border", "a").groupBy("a").agg(F.min("d").alias("least")), "a").where(F.col("least") + F.col("w") <= bound)
-        child = lambda path: F.element_at(path, level + 2)
-        owner = at.select(F.col("id").alias("b"), child(F.col("path")).alias("part"))
-        heads = near.join(owner, "b").groupBy("part", F.col("b").alias("id")).agg(F.min(F.col("least") + F.col("w")).alias("cost"))
-        heads = materialise(heads, "level-heads")
-        inside = at.where(F.size("path") >= level + 2).select("id", child(F.col("path")).alias("part"))
-        parts = heads.select("part").distinct()
-        arcs = net.arcs.join(inside.select(F.col("id").alias("a"), "part"), "a").join(inside.select(F.col("id").alias("b"), F.col("part").alias("q")), "b").where("part = q").select("part", "a", "b", "w").join(parts, "part", "left_semi")
-        upper = tree.cross.where(F.floor(F.log2("gp")).cast("int") < level).select(F.explode(F.array("a", "b")).alias("id")).distinct()
-        null = F.lit(None).cast("long")
-        roles = (heads.select("part", F.lit("h").alias("role"), "id", "cost").unionByName(inside.join(s.select("id"), "id", "left_semi").join(parts, "part", "left_semi").select("part", F.lit("s").alias("role"), "id", null.alias("cost")))
-                 .unionByName(inside.join(upper, "id", "left_semi").join(parts, "part", "left_semi").select("part", F.lit("b").alias("role"), "id", null.alias("cost"))))
-        if engine == "task":
-            far = arcs.select(F.col("part").alias("whole"), "a", "b", "w").groupBy("whole").cogroup(roles.groupBy("part")).applyInArrow(_far_kernel(bound), _FAR)
-        else:
-            best = relax(arcs.select("a", "b", "w"), heads.select(F.col("id").alias("src"), F.col("id").alias("node"), F.col("cost").alias("d")), bound, report=report.rounds)
-            hit = best.join(heads.select(F.col("id").alias("src"), F.col("part").alias("gp"), "cost"), "src").join(roles.where("role <> 'h'").select(F.col("id").alias("node"), "role"), "node")
-            far = hit.select("gp", F.concat(F.lit("h"), "role").alias("kind"), F.col("src").alias("x"), F.col("node").alias("y"), (F.col("d") - F.col("cost")).alias("d"))
-        far = materialise(far, "level-far")
-        over = routes.withColumnRenamed("border", "a").join(live.select("a", "b", "w"), "a").select("u", "b", (F.col("d") + F.col("w")).alias("d")).where(F.col("d") <= bound).groupBy("u", "b").agg(F.min("d").alias("d"))
+    tree, at = spec.tree, spec.tree.assign.select("id", "gp")
+    spark = spec.net.vertices.sparkSession
+    steps = plan_steps(tree, spec.parallelism)
+    known = routes.select("border", "u", "d").groupBy("border", "u").agg(F.min("d").alias("d"))
+    for wave in sorted({s.wave for s in steps} - {0}):
+        mine = [s for s in steps if s.wave == wave and (not spec.stop_by_weight or (tree.parts[s.gp]["sep"] or UNBOUNDED) <= bound) and tree.parts[s.gp]["sep"] is not None]
+        if not mine:
+            continue
+        kids = [c for s in mine for c in (2 * s.gp, 2 * s.gp + 1) if c in tree.parts]
+        # which child of this wave holds a leaf or a lowest common part: rows of the tree, not of the network
+        child = set(kids)
+        held = []
+        for g in tree.parts:
+            up = g
+            while up and up not in child:
+                up //= 2
+            if up:
+                held.append((g, up))
+        members = spark.createDataFrame(held, "gp long, part long")
+        members = F.broadcast(members) if len(held) <= BROADCAST_PARTS else members
+        here = tree.cross.where(F.col("gp").isin([s.gp for s in mine])) if len(mine) <= 1000 else tree.cross.join(spark.createDataFrame([(s.gp,) for s in mine], "gp long"), "gp", "left_semi")
+        live = materialise(_live(spec, here, bound).select("a", "b", "w", F.col("leaf_b").alias("gp")).join(members, "gp").select("part", "a", "b", "w"), "level-live")
+        over = known.withColumnRenamed("border", "a").join(live, "a").select("part", "u", "b", (F.col("d") + F.col("w")).alias("d")).where(F.col("d") <= bound).groupBy("part", "u", "b").agg(F.min("d").alias("d"))
         over = materialise(over, "level-over")
-        hits = over.join(far.where("kind = 'hs'").select(F.col("x").alias("b"), F.col("y").alias("v"), F.col("d").alias("d2")), "b").select("u", "v", (F.col("d") + F.col("d2")).alias("d")).where(F.col("d") <= bound)
-        pairs = materialise(top_pairs(pairs.unionByName(hits), k), "level-pairs")
+        heads = over.groupBy("part", "b").agg(F.min("d").alias("cost")).select(F.col("part").alias("gp"), F.col("b").alias("id"), "cost")
+        inside = lambda df: df.join(members, "gp").drop("gp").withColumnRenamed("part", "gp")  # noqa: E731, B023
+        arcs = inside(tree.arcs).unionByName(inside(tree.cross.select("gp", "a", "b", "w")))
+        upper = tree.border.where(~F.col("gp").isin([s.gp for s in steps if s.wave <= wave])) if len(steps) <= 1000 else tree.border
+        targets = inside(at.join(spec.s.select("id"), "id", "left_semi")).withColumn("role", F.lit(IN_S)).unionByName(inside(at.join(upper.select("id").distinct(), "id", "left_semi")).withColumn("role", F.lit(BORDER)))
+        of_slot = {c: (s.slot, s.turn) for s in mine for c in (2 * s.gp, 2 * s.gp + 1)} if spec.schedule == "pool" else None
+        far = search_parts(spec, kids, arcs, targets, heads, ("hs", "hb"), bound, wave=wave, of_slot=of_slot)
+        far = far.where("kind IN ('hs', 'hb')").join(heads.select(F.col("id").alias("x"), "cost"), "x").select("kind", F.col("x").alias("b"), "y", (F.col("d") - F.col("cost")).alias("d2"))
+        hits = over.join(far.where("kind = 'hs'").select("b", F.col("y").alias("v"), "d2"), "b").select("u", "v", (F.col("d") + F.col("d2")).alias("d")).where(F.col("d") <= bound)
+        pairs = materialise(top_pairs(pairs.unionByName(hits), spec.k), "level-pairs")
         bound = refresh(pairs)
-        lifted = over.join(far.where("kind = 'hb'").select(F.col("x").alias("b"), F.col("y").alias("border"), F.col("d").alias("d2")), "b").select("border", "u", (F.col("d") + F.col("d2")).alias("d"))
-        routes = materialise(routes.unionByName(lifted).where(F.col("d") <= bound).groupBy("border", "u").agg(F.min("d").alias("d")), "level-routes")
+        lifted = over.join(far.where("kind = 'hb'").select("b", F.col("y").alias("border"), "d2"), "b").select("border", "u", (F.col("d") + F.col("d2")).alias("d"))
+        known = materialise(known.unionByName(lifted).where(F.col("d") <= bound).groupBy("border", "u").agg(F.min("d").alias("d")), "level-routes")
     return pairs
 
 
-def _join(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None, tree: Hierarchy | None, crossings: str, threshold: str, engine: str, schedule: str, parallelism: int, reuse_routes: bool, stop_by_weight: bool, report: JoinReport) -> DataFrame:
-    bound = UNBOUNDED if theta is None else theta
-    if k is not None and threshold == "pilot+wave":
-        bound = min(bound, pilot_bound(net, r, s, k) or bound)
-    report.trace.append(bound)
-    report.crossings = crossings
+# The joins
+
+
+def _within(spec: Spec, bound: int) -> DataFrame:
+    """The answer among paths of at most ``bound``."""
+    report, tree, k = spec.report, spec.tree, spec.k
     if tree is None:
-        if bound == UNBOUNDED and k is not None:
-            bound = _deepen(net, r, s, k)
-        return top_pairs(unpartitioned_pairs(net, r, s, bound, report), k)
-    report.sigma = tree.cross.agg(F.min("w")).first()[0]
-    if engine == "auto":
-        engine = "task" if (tree.nodes.where("leaf").agg(F.max("n_edges")).first()[0] or 0) <= TASK_EDGES else "frontier"
-
-    def refresh(pairs: DataFrame) -> int:
+        pairs = top_pairs(unpartitioned_pairs(spec.net, spec.r, spec.s, bound, report), k)
+        report.settled += report.rounds.pop("settled", 0)
+        return pairs
+    report.sigma = tree.sigma
+
+    def refresh(pairs: DataFrame, distinct: bool = False) -> int:
         nonlocal bound
-        report.refreshes += 1
-        bound = min(bound, kth_distance(pairs, k) if k else bound) if kth_distance(pairs, k) is not None else bound
-        report.trace.append(bound)
+        if k:
+            report.refreshes += 1
+            known = kth_distance(pairs, k, distinct=distinct)
+            if spec.detailed and known is not None and known < bound:
+                report.pruned += pairs.where(F.col("d") > known).count()
+            bound = min(bound, known if known is not None else bound)
+            report.trace.append(min(report.trace[-1], known if known is not None else report.trace[-1]))
         return bound
 
-    paths = crossings != "none"
-    if schedule == "pool":
-        shared = SharedBound(bound)
-        order = [row["gp"] for row in tree.nodes.where("leaf").orderBy("height", F.desc("gp")).collect()]
-        stored = materialise(leaf_arcs(net, tree), "pool-arcs", by="gp"), materialise(operand_roles(tree, r, s), "pool-roles", by="gp")
-
-        def one(gp: int) -> DataFrame:
-            got = materialise(leaf_pairs(net, tree, r, s, k=k, bound=shared.value, paths=paths, engine=engine, only=gp, stored=stored), f"leaf-{gp}")
-            if k and threshold != "local":
-                shared.lower(kth_distance(_kind(got, "pair", "u", "v").select("u", "v", "d"), k))
-            return got
-
-        done = run_pool(net.vertices.sparkSession, order, one, parallelism)
-        found = done[0]
-        for part in done[1:]:
-            found = found.unionByName(part)
-        report.trace += shared.trace[1:]
-        bound = min(bound, shared.value)
-    else:
-        found = materialise(leaf_pairs(net, tree, r, s, k=k, bound=bound, paths=paths, engine=engine, report=report), "leaf-found")
-    work = found.where("kind = 'work'").agg(F.sum("x"), F.sum("y")).first()
-    report.settled, report.relaxed = work[0] or 0, work[1] or 0
-    local = _kind(found, "pair", "u", "v")
-    pairs = materialise(trim_pairs(local, k).select("u", "v", "d") if k else local.groupBy("u", "v").agg(F.min("d").alias("d")), "leaf-pairs")
-    if k:
-        refresh(pairs)
-    if crossings == "none":
-        result = top_pairs(pairs, k)
-    elif crossings == "one":
-        result = top_pairs(pairs.unionByName(one_cross_pairs(tree, found, bound, stop_by_weight=stop_by_weight, report=report)), k)
-    elif crossings == "per_level":
-        result = top_pairs(level_pairs(net, tree, r, s, found, pairs, k, bound, stop_by_weight=stop_by_weight, refresh=refresh, report=report, engine=engine), k)
-    elif crossings == "closure":
-        result = top_pairs(pairs.unionByName(closed_pairs(tree, found, bound, stop_by_weight=stop_by_weight, reuse_routes=reuse_routes, net=net, r=r, report=report)), k)
+    def crosses() -> bool:
+        return spec.crossings != "none" and tree.sigma is not None and (tree.sigma <= bound or not spec.stop_by_weight)
+
+    found = leaf_search(spec, bound, sources="r", k=k, paths=crosses() and spec.reuse_routes)
+    pairs = _kind(found, "pair", "u", "v").select("u", "v", "d")
+    refresh(pairs, distinct=True)  # a pair has one leaf and one source there
+    if not crosses():
+        return _top(pairs.where(F.col("d") <= bound), k)
+    near = found if spec.reuse_routes else leaf_search(spec, bound, sources="r", k=None, paths=True)  # ablation: search the near side once more
+    routes, pairs = _kind(near, "route", "u", "border").where(F.col("d") <= bound), pairs.where(F.col("d") <= bound)
+    if spec.crossings == "per_level":
+        return _top(level_pairs(spec, routes, pairs, bound, refresh), k)
+    border = leaf_search(spec, bound, sources="border", k=None, paths=True)
+    over = closed_pairs if spec.crossings == "closure" else one_cross_pairs
+    return top_pairs(pairs.unionByName(over(spec, routes, border, bound)), k)
+
+
+def _top(distinct_pairs: DataFrame, k: int | None) -> DataFrame:
+    return distinct_pairs.orderBy("d", "u", "v").limit(k) if k is not None else distinct_pairs
+
+
+def _join(spec: Spec, theta: int | None) -> DataFrame:
+    report, k = spec.report, spec.k
+    bound = UNBOUNDED if theta is None else theta
+    if k is not None and spec.threshold == "pilot+wave":
+        known = pilot_bound(spec.net, spec.r, spec.s, k)
+        bound = min(bound, known if known is not None else bound)
+    report.trace.append(bound)
+    report.crossings = spec.crossings
+    if bound == UNBOUNDED and k is not None:
+        result = _deepen(spec)
     else:
-        raise ValueError(f"unknown crossings {crossings!r}")
-    limit = theta if k is None else None
-    if crossings != "closure":
-        reach = (kth_distance(result, k) if k else limit) or bound
-        report.certified = report.sigma is None or reach < report.sigma * (1 if crossings == "none" else 2)
+        result = _within(spec, bound)
+    if spec.tree is not None and spec.crossings != "closure":
+        reach = (kth_distance(result, k) if k else theta) or bound
+        report.certified = report.sigma is None or reach < report.sigma * (1 if spec.crossings == "none" else 2)
     return result
 
 
-def _deepen(net: Network, r: DataFrame, s: DataFrame, k: int) -> int:
-    """A bound that holds k pairs: doubled from the lightest edges until k pairs are inside or nothing more is reachable."""
-    total = net.edges.agg(F.sum("w")).first()[0] or 0
-    bound = net.edges.agg(F.percentile_approx("w", 0.1)).first()[0] or 1
-    while bound < total:
-        if kth_distance(unpartitioned_pairs(net, r, s, bound), k) is not None:
-            return bound
-        bound *= 2
-    return total
+def _deepen(spec: Spec) -> DataFrame:
+    """Without a known bound: the radius grows until k pairs lie inside it or nothing more can be reached, so that no search runs unlimited."""
+    limit, total = spec.net.edges.agg(F.percentile_approx("w", 0.5), F.sum("w")).first()
+    limit, total = limit or 1, total or 1
+    while True:
+        spec.report.limits.append(limit)
+        result = _within(spec, min(limit, total))
+        if limit >= total:
+            return result
+        result, seen = counted(result, "within")
+        if seen["n"] >= spec.k:
+            return result
+        limit *= 4
+
+
+def _spec(net: Network, r: DataFrame, s: DataFrame, k: int | None, hierarchy: Hierarchy | None, *, crossings: str = "closure", threshold: str = "none", engine: str = "auto", schedule: str = "waves", parallelism: int = 8, reuse_routes: bool = True,
+          stop_by_weight: bool = True, report: JoinReport | None = None, task_edges: int = TASK_EDGES, sources_per_task: int = SOURCES_PER_TASK) -> Spec:
+    for name, value, known in (("crossings", crossings, ("none", "one", "per_level", "closure")), ("threshold", threshold, ("none", "wave", "pilot+wave", "local", "auto")), ("engine", engine, ("auto", "task", "frontier")), ("schedule", schedule, ("waves", "pool"))):
+        if value not in known:
+            raise ValueError(f"unknown {name} {value!r}")
+    if (hierarchy is None or crossings == "none") and not (reuse_routes and stop_by_weight):
+        raise ValueError("routes and the early stop belong to merges: they need a hierarchy and crossings")
+    if parallelism < 1:
+        raise ValueError("parallelism must be at least 1")
+    if threshold == "auto":
+        threshold = "local" if hierarchy is not None and len(hierarchy.leaves) <= 3 else "pilot+wave"
+    return Spec(net, r, s, k, hierarchy, crossings, threshold, engine, schedule, parallelism, reuse_routes, stop_by_weight, report or JoinReport(), report is not None, task_edges, sources_per_task)
 
 
 def _checked(k: int | None, theta: int | None, r: DataFrame, s: DataFrame, allow_unbounded: bool) -> None:
@@ -330,26 +449,35 @@ def _checked(k: int | None, theta: int | None, r: DataFrame, s: DataFrame, allow
     assert_disjoint(r, s)
 
 
-def distance_join(net: Network, r: DataFrame, s: DataFrame, theta: int | None, *, hierarchy: Hierarchy | None = None, crossings: str = "closure", engine: str = "auto", schedule: str = "waves", parallelism: int = 8,
-                  reuse_routes: bool = True, stop_by_weight: bool = True, allow_unbounded: bool = False, report: JoinReport | None = None) -> DataFrame:
+def distance_join(net: Network, r: DataFrame, s: DataFrame, theta: int | None, *, hierarchy: Hierarchy | None = None, allow_unbounded: bool = False, **options) -> DataFrame:
     """All pairs (u of R, v of S, d) at network distance d <= theta, paths run from u to v.
 
-    ``engine``: task (leaves inside tasks), frontier (iterated joins), or auto: tasks unless a leaf is too large for one.
+    Options: ``crossings``; ``engine``: task (parts inside tasks), frontier (iterated joins), or auto: tasks unless a part is too large for one;
+    ``schedule``: waves (all cores), or pool (at most ``parallelism`` tasks at once, by ``schedule_plan``); ``reuse_routes`` and
+    ``stop_by_weight`` off are ablations: the near side is searched again, and cross-edges beyond the bound are carried along; ``report`` collects what was done.
     """
     _checked(None, theta, r, s, allow_unbounded)
-    return _join(net, r, s, None, theta, hierarchy, crossings, "none", engine, schedule, parallelism, reuse_routes, stop_by_weight, report or JoinReport())
+    return within_at(net, r, s, theta, hierarchy=hierarchy, **options)
 
 
-def closest_pairs(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None = None, *, hierarchy: Hierarchy | None = None, crossings: str = "closure", threshold: str = "pilot+wave", engine: str = "auto",
-                  schedule: str = "waves", parallelism: int = 8, reuse_routes: bool = True, stop_by_weight: bool = True, allow_unbounded: bool = False, report: JoinReport | None = None) -> DataFrame:
+def closest_pairs(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None = None, *, hierarchy: Hierarchy | None = None, threshold: str = "pilot+wave", allow_unbounded: bool = False, **options) -> DataFrame:
     """The k pairs (u of R, v of S, d) smallest by (d, u, v), within theta if given; without k, the distance join.
 
-    Fewer pairs are returned where fewer are reachable. ``threshold``: ``wave`` refreshes one bound between waves, ``pilot+wave`` also starts from
-    direct R-S edges, ``local`` keeps a bound for each part, ``auto`` is local for up to three leaves, else pilot+wave.
+    Fewer pairs are returned where fewer are reachable. ``threshold``: ``wave`` refreshes one bound between waves and shares it inside a task, ``pilot+wave`` also starts
+    from direct R-S edges, ``local`` keeps a bound for each part, ``auto`` is local for up to three leaves, else pilot+wave. Other options as in ``distance_join``.
     """
     _checked(k, theta, r, s, allow_unbounded)
+    return closest_at(net, r, s, k, theta, hierarchy=hierarchy, threshold=threshold, **options)
+
+
+def within_at(net: Network, r: DataFrame, s: DataFrame, theta: int | None, *, hierarchy: Hierarchy | None = None, **options) -> DataFrame:
+    """``distance_join`` without its checks; operands may share places, which are at distance 0."""
+    return _join(_spec(net, r, s, None, hierarchy, **options), theta)
+
+
+def closest_at(net: Network, r: DataFrame, s: DataFrame, k: int | None, theta: int | None = None, *, hierarchy: Hierarchy | None = None, threshold: str = "pilot+wave", **options) -> DataFrame:
+    """``closest_pairs`` without its checks; operands may share places, which are at distance 0."""
+    spec = _spec(net, r, s, k, hierarchy, threshold=threshold, **options)
     if k == 0:
         return r.select(F.col("id").alias("u"), F.col("id").alias("v"), F.lit(0).cast("long").alias("d")).limit(0)
-    if threshold == "auto":
-        threshold = "local" if hierarchy is not None and hierarchy.nodes.where("leaf").count() <= 3 else "pilot+wave"
-    return _join(net, r, s, k, theta, hierarchy, crossings, threshold, engine, schedule, parallelism, reuse_routes, stop_by_weight, report or JoinReport())
+    return _join(replace(spec, threshold="none") if k is None else spec, theta)

@@ -1,11 +1,13 @@
-"""What runs when: waves or a pool over the parts of a hierarchy, and how deep the hierarchy is used."""
+"""What runs when: waves of a hierarchy's parts, dealt to a number of slots, and how deep the hierarchy is used.
+
+Leaves form wave 0, a part runs a wave after both its children. In a wave every slot is one task that works through its parts in order, so that no more
+than that many run at once. The plan is made on the driver from the rows of the parts, and the joins run by it.
+"""
 
 from __future__ import annotations
 
 import math
-import threading
-from collections.abc import Callable
-from concurrent.futures import ThreadPoolExecutor
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,42 +19,41 @@ from netjoin.operators.partition import Hierarchy, from_assignment
 def cut_hierarchy(tree: Hierarchy, net: Network, parallelism: int, *, tasks_per_slot: int = 2) -> Hierarchy:
     """The hierarchy down to the level that keeps ``parallelism`` slots busy; deeper parts join their ancestor there."""
     level = math.ceil(math.log2(max(1, parallelism * tasks_per_slot)))
-    deepest = tree.nodes.agg(F.max("level")).first()[0] or 0
-    if deepest <= level:
+    if max((r["level"] for r in tree.parts.values()), default=0) <= level:
         return tree
     cut = tree.assign.select("id", F.element_at("path", F.least(F.size("path"), F.lit(level + 1))).alias("gp"))
-    return from_assignment(net, cut, tree.nodes.where("seed_l IS NOT NULL").where(F.col("level") < level).select("gp", "seed_l", "seed_r"))
-
+    return from_assignment(net, cut, tree.nodes.where("seed_l IS NOT NULL").where(F.col("level") < level).select("gp", "seed_l", "seed_r", "method"))
 
-def schedule_plan(tree: Hierarchy, parallelism: int) -> DataFrame:
-    """(wave, gp, height, slot): leaves first; a part runs a wave after its children, slots in order of height, then number."""
-    from pyspark.sql import Window
 
-    up = tree.nodes.select("gp", F.explode(F.reverse(F.transform(F.sequence(F.lit(0), F.col("level")), lambda k: F.floor(F.col("gp") / F.pow(F.lit(2.0), k)).cast("long")))).alias("above"), "level", "leaf")
-    deep = up.where("leaf").groupBy(F.col("above").alias("gp")).agg(F.max("level").alias("deepest"))
-    plan = tree.nodes.join(deep, "gp").withColumn("wave", (F.col("deepest") - F.col("level")).cast("int"))
-    slot = F.pmod(F.row_number().over(Window.partitionBy("wave").orderBy("height", "gp")) - 1, F.lit(parallelism)).cast("int")
-    return plan.select("wave", "gp", "height", slot.alias("slot"))
+@dataclass(frozen=True)
+class Step:
+    """A part in the schedule: its wave, its slot there, and its turn in that slot."""
 
+    wave: int
+    gp: int
+    height: int
+    slot: int
+    turn: int
 
-class SharedBound:
-    """A bound that concurrently running jobs read and lower."""
 
-    def __init__(self, value: int):
-        self.value, self.lock, self.trace = value, threading.Lock(), [value]
+def plan_steps(tree: Hierarchy, parallelism: int) -> list[Step]:
+    """The schedule of all parts. In a wave, parts nearer to a leaf come first, of these the larger, and are dealt round the slots in turn."""
+    wave: dict[int, int] = {}
+    for g in sorted(tree.parts, reverse=True):  # children have larger numbers than their parent
+        wave[g] = 0 if tree.parts[g]["leaf"] else 1 + max(wave.get(2 * g, -1), wave.get(2 * g + 1, -1))
+    out = []
+    for w in sorted(set(wave.values())):
+        order = sorted((g for g in wave if wave[g] == w), key=lambda g: (tree.parts[g]["height"], -tree.parts[g]["n_edges"], g))
+        out += [Step(w, g, tree.parts[g]["height"], i % parallelism, i // parallelism) for i, g in enumerate(order)]
+    return out
 
-    def lower(self, value: int | None) -> None:
-        with self.lock:
-            if value is not None and value < self.value:
-                self.value = value
-                self.trace.append(value)
 
+def schedule_plan(tree: Hierarchy, parallelism: int) -> DataFrame:
+    """(wave, gp, height, slot, turn) of every part, as the pool runs them."""
+    rows = [(s.wave, s.gp, s.height, s.slot, s.turn) for s in plan_steps(tree, parallelism)]
+    return tree.nodes.sparkSession.createDataFrame(rows, "wave int, gp long, height int, slot int, turn int")
 
-def run_pool(spark: SparkSession, parts: list[int], job: Callable[[int], DataFrame], parallelism: int) -> list[DataFrame]:
-    """Run one job for each part, at most ``parallelism`` at once, in the order given. A job writes its result itself, so that its slot is held until then."""
-    def one(gp: int) -> DataFrame:
-        spark.sparkContext.setLocalProperty("spark.scheduler.pool", f"part-{gp}")
-        return job(gp)
 
-    with ThreadPoolExecutor(max(1, parallelism)) as pool:
-        return list(pool.map(one, parts))
+def default_slots(spark: SparkSession) -> int:
+    """Tasks of a wave outside the pool: twice the cores, so that a slow one does not hold up the rest."""
+    return 2 * spark.sparkContext.defaultParallelism

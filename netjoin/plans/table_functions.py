@@ -9,13 +9,25 @@ import pandas as pd
 from pyspark.sql import Column, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import LongType, StructField, StructType
+from pyspark.sql.udtf import AnalyzeArgument, AnalyzeResult
 
 from netjoin.operators import kernels
 
 
-@udtf(returnType="u long, v long, d long")
+@udtf
 class LeafPairs:
-    """``leaf_pairs(TABLE(rows) PARTITION BY gp, theta)`` over rows (gp, role, a, b, w): arcs, and operands r and s with their id in ``a``."""
+    """``leaf_pairs(TABLE(rows) PARTITION BY gp, theta)`` over rows (gp, role, a, b, w): arcs, and operands r and s with their id in ``a``.
+
+    Polymorphic: ids come back in the type of column ``a``.
+    """
+
+    @staticmethod
+    def analyze(rows: AnalyzeArgument, theta: AnalyzeArgument) -> AnalyzeResult:
+        if not rows.isTable or not {"role", "a", "b", "w"} <= set(rows.dataType.names):
+            raise ValueError("leaf_pairs needs a table with the columns gp, role, a, b and w")
+        kind = rows.dataType["a"].dataType
+        return AnalyzeResult(StructType([StructField("u", kind), StructField("v", kind), StructField("d", LongType())]))
 
     def __init__(self):
         self.rows: list[Row] = []
@@ -27,8 +39,11 @@ class LeafPairs:
 
     def terminate(self) -> Iterator[tuple[int, int, int]]:
         arcs = np.array([r[1:] for r in self.rows if r[0] == "arc"], np.int64).reshape(-1, 3)
-        roles = {n: np.array([r[1] for r in self.rows if r[0] == n], np.int64) for n in ("r", "s")}
-        yield from kernels.leaf_search(arcs[:, 0], arcs[:, 1], arcs[:, 2], roles, k=None, theta=self.theta, paths=False)["pair"]
+        of = {n: np.array([r[1] for r in self.rows if r[0] == n], np.int64) for n in ("r", "s")}
+        g = kernels.LocalGraph(*arcs.T, of["r"])
+        start = g.local(of["r"])
+        x, y, d = kernels.reach(g, start, np.zeros(len(start), np.int64), {"pair": g.mask(of["s"])}, kernels.BestPairs(None, self.theta))["pair"]
+        yield from zip(g.ids[x].tolist(), g.ids[y].tolist(), d.tolist())
 
 
 def register(spark: SparkSession) -> None:

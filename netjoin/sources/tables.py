@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from netjoin.operators.network import EDGE, VERTEX, Network
+from netjoin.operators.partition import Hierarchy, border_of
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -32,6 +33,19 @@ def load_network(spark: SparkSession, path: str, *, directed: bool = False) -> N
     return Network(spark.read.schema(VERTEX).parquet(f"{path}/vertices"), spark.read.schema(EDGE).parquet(f"{path}/edges"), directed)
 
 
+def save_hierarchy(tree: Hierarchy, path: str) -> None:
+    """The parts of a network under ``path``, arcs in a folder for each leaf, so that a search of some leaves reads nothing else."""
+    for name in ("nodes", "assign", "cross"):
+        getattr(tree, name).write.mode("overwrite").parquet(f"{path}/{name}")
+    tree.arcs.hint("rebalance", "gp").write.mode("overwrite").partitionBy("gp").parquet(f"{path}/arcs")
+
+
+def load_hierarchy(spark: SparkSession, path: str) -> Hierarchy:
+    nodes, assign, cross = (spark.read.parquet(f"{path}/{name}") for name in ("nodes", "assign", "cross"))
+    arcs = spark.read.schema("a long, b long, w long, gp long").parquet(f"{path}/arcs").select("gp", "a", "b", "w")
+    return Hierarchy(nodes, assign, cross, border_of(cross), arcs)
+
+
 def write_pairs(df: DataFrame, path: str | None = None, fmt: str = "parquet") -> None:
     """Write a result; ``noop`` runs the plan without keeping rows."""
     writer = df.write.format(fmt).mode("overwrite")

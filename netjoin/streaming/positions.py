@@ -22,6 +22,17 @@ def read_events(spark: SparkSession, folder: str, *, files_per_batch: int = 1) -
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def rate_events(spark: SparkSession, rows_per_second: int, *, users: int = 1000) -> DataFrame:
+    """Generated events at a rate, for load tests: every user moves in turn."""
+    r = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    return r.select(F.col("value").alias("event_id"), F.col("timestamp").alias("ts"), F.pmod("value", F.lit(users)).alias("user_id"), F.when(F.col("value") % 2 == 0, "view").otherwise("purchase").alias("event_type"))
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that a finished query's state operators dropped as later than the watermark."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 def positions_of(events: DataFrame, edges: DataFrame, n_vertices: int) -> DataFrame:
     """event_id, ts, oid, kind, eid, off: views (r) and purchases (s) of a user as objects on the first edge of a vertex. Batch or stream."""
     first = edges.groupBy("src").agg(F.min(F.struct("dst", "eid", "w")).alias("e")).select(F.col("src").alias("at"), "e.eid", "e.w")

@@ -65,3 +65,54 @@ def grow(edges, left, right, alpha=0.0):
         side[best[2]] = best[1]
         size[best[1]] += 1
     return side
+
+
+def per_level(edges, r, s, leaf, theta):
+    """The faithful merge, part by part from the deepest: {(u, v): d}. ``leaf`` gives each vertex its leaf in a binary tree of numbers."""
+    def part_at(x, depth):
+        return leaf[x] >> (leaf[x].bit_length() - depth) if leaf[x].bit_length() >= depth else None
+
+    def common(a, b):
+        x, y = leaf[a], leaf[b]
+        while x != y:
+            x, y = (x // 2, y) if x > y else (x, y // 2)
+        return x
+
+    def inside(part):
+        depth = part.bit_length()
+        return adjacency([e for e in edges if part_at(e[0], depth) == part == part_at(e[1], depth)])
+
+    cross = defaultdict(list)
+    for a, b, w in edges:
+        if leaf[a] != leaf[b]:
+            cross[common(a, b)] += [(a, b, w), (b, a, w)]
+    border = {x for found in cross.values() for e in found for x in e[:2]}
+    best, routes = {}, defaultdict(dict)
+
+    def keep(table, key, d):
+        if d <= theta:
+            table[key] = min(d, table.get(key, d))
+
+    for u in r:
+        for x, d in distances(inside(leaf[u]), u, theta).items():
+            if x in s:
+                keep(best, (u, x), d)
+            if x in border:
+                keep(routes[x], u, d)
+    for part in sorted(cross, reverse=True):
+        over = defaultdict(dict)
+        for a, b, w in cross[part]:
+            for u, d in routes[a].items():
+                keep(over[b], u, d + w)
+        above = {x for p in cross if p < part for e in cross[p] for x in e[:2]}
+        lifted = []
+        for b, reached in over.items():
+            for y, d2 in distances(inside(part_at(b, part.bit_length() + 1)), b, theta).items():
+                for u, d in reached.items():
+                    if y in s:
+                        keep(best, (u, y), d + d2)
+                    if y in above:
+                        lifted.append((y, u, d + d2))
+        for y, u, d in lifted:
+            keep(routes[y], u, d)
+    return best

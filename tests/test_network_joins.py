@@ -106,6 +106,93 @@ def test_modes_nest_and_certify(spark, world):
         assert rows(distance_join(net, r, s, 2 * sigma - 1, hierarchy=tree, crossings=mode)) == reference.pairs(edges, rs, ss, 2 * sigma - 1)
 
 
+@pytest.mark.parametrize("options", [{}, {"engine": "frontier"}, {"schedule": "pool", "parallelism": 2}, {"sources_per_task": 2}, {"task_edges": 5}, {"reuse_routes": False}, {"stop_by_weight": False}])
+def test_per_level_equals_sequential(spark, options):
+    """Three levels of merges against the sequential version, by every engine and schedule; parts beyond ``task_edges`` never meet a task."""
+    edges = random_edges(70, 60, 21)
+    net, r, s = net_of(spark, edges), set(range(0, 70, 5)), set(range(2, 70, 7)) - set(range(0, 70, 5))
+    tree = partition.from_assignment(net, spark.createDataFrame([(i, 8 + i * 8 // 70) for i in range(70)], "id long, gp long"))
+    report = JoinReport()
+    got = rows(distance_join(net, ids(spark, r), ids(spark, s), 90, hierarchy=tree, crossings="per_level", report=report, **options))
+    want = reference.per_level(edges, r, s, {i: 8 + i * 8 // 70 for i in range(70)}, 90)
+    assert got == sorted(((u, v, d) for (u, v), d in want.items()), key=lambda x: (x[2], x[0], x[1]))
+    if options.get("engine") == "frontier":
+        assert not report.searches and report.settled > 0
+    elif "task_edges" in options:
+        assert all(w == 0 for w, *_ in report.searches)
+    elif options.get("schedule") == "pool":
+        assert all(len({s for w, s, *_ in report.searches if w == wave}) <= 2 for wave in range(4)) and 0 <= report.idle_share(2) < 1
+
+
+def test_ablations_change_the_work_alone(spark, world):
+    """Without route reuse the near side is searched twice, without the early stop every cross-edge is carried along, in every mode."""
+    _, net, r, s, *_, tree = world
+    for mode in ("one", "per_level", "closure"):
+        seen = {}
+        for name, options in (("full", {}), ("reuse", {"reuse_routes": False}), ("stop", {"stop_by_weight": False})):
+            report = JoinReport()
+            seen[name] = rows(distance_join(net, r, s, 40, hierarchy=tree, crossings=mode, report=report, **options)), report
+        assert seen["full"][0] == seen["reuse"][0] == seen["stop"][0]
+        assert seen["reuse"][1].settled > seen["full"][1].settled
+        assert seen["stop"][1].bridges_live > seen["full"][1].bridges_live and seen["stop"][1].bridges_pruned == 0 < seen["full"][1].bridges_pruned
+        assert seen["stop"][1].relaxed > seen["full"][1].relaxed
+    for options in ({"reuse_routes": False}, {"stop_by_weight": False}):
+        with pytest.raises(ValueError, match="hierarchy"):
+            distance_join(net, r, s, 40, **options)
+        with pytest.raises(ValueError, match="hierarchy"):
+            distance_join(net, r, s, 40, hierarchy=tree, crossings="none", **options)
+    for options in ({"engine": "x"}, {"crossings": "x"}, {"schedule": "x"}, {"threshold": "x"}, {"parallelism": 0}):
+        with pytest.raises(ValueError):
+            closest_pairs(net, r, s, 4, hierarchy=tree, **options)
+
+
+def test_nothing_crosses_below_sigma(spark):
+    """A bound below the lightest cross-edge ends the join with the leaves."""
+    edges = [(i, i + 1, 2) for i in range(9)] + [(9, 10, 500)] + [(i, i + 1, 2) for i in range(10, 19)]
+    net = net_of(spark, edges)
+    tree = partition.build_hierarchy(net, leaves=2)
+    report = JoinReport()
+    got = rows(closest_pairs(net, ids(spark, range(0, 20, 2)), ids(spark, range(1, 20, 2)), 5, hierarchy=tree, report=report))
+    assert got == reference.pairs(edges, range(0, 20, 2), set(range(1, 20, 2)), k=5)
+    assert report.sigma == 500 and report.bridges_live + report.bridges_pruned == 0 and not report.rounds and len(report.searches) <= 2
+
+
+def test_no_search_is_unlimited(spark):
+    """Without a pilot the radius grows from the median weight: little is settled although no bound is known at first."""
+    edges = [(i, i + 1, 3) for i in range(400)]
+    net = net_of(spark, edges)
+    tree = partition.build_hierarchy(net, leaves=4)
+    for threshold in ("wave", "local"):
+        report = JoinReport()
+        got = closest_pairs(net, ids(spark, range(0, 400, 8)), ids(spark, range(4, 400, 8)), 6, hierarchy=tree, threshold=threshold, report=report)
+        assert rows(got) == reference.pairs(edges, range(0, 400, 8), set(range(4, 400, 8)), k=6)
+        assert report.limits[0] == 3 and report.trace[0] > 10**15 and report.settled < 50 * 40
+
+
+def test_large_parts_are_split_by_joins(spark):
+    """Parts beyond a task alone leave the task; the nodes say how each was split, and options that need a task raise."""
+    edges = [(a, b, w) for (a, b, _), w in zip(random_edges(60, 40, 8), random.Random(1).sample(range(1, 900), 120))]
+    net = net_of(spark, edges)
+    for alpha, how in ((0.0, "forest"), (0.5, "coarse")):
+        tree = partition.build_hierarchy(net, leaves=4, alpha=alpha, task_edges=60)
+        by = {r["gp"]: r["method"] for r in tree.nodes.where("NOT leaf").collect()}
+        assert by[1] == how and all(m == "task" for g, m in by.items() if tree.parts[g]["n_edges"] <= 60)
+        assert tree.assign.count() == 60
+    plain, joined = (partition.build_hierarchy(net, leaves=4, engine=e) for e in ("task", "joins"))
+    assert {tuple(r) for r in plain.assign.select("id", "gp").collect()} == {tuple(r) for r in joined.assign.select("id", "gp").collect()}
+    with pytest.raises(ValueError, match="inside tasks"):
+        partition.build_hierarchy(net, leaves=2, seeds="random", task_edges=10)
+    apart = net_of(spark, [(1, 2, 4), (2, 3, 1), (11, 12, 4), (12, 13, 2)])
+    tree = partition.build_hierarchy(apart, leaves=2, attach="separate", engine="joins")
+    assert tree.cross.count() == 0 and tree.parts[1]["method"] == "components"
+
+
+def test_leaves_between_powers_of_two(spark, world):
+    _, net, *_ = world
+    for n in (1, 3, 5, 6):
+        assert len(partition.build_hierarchy(net, leaves=n, alpha=0.5).leaves) == n
+
+
 @pytest.mark.parametrize("edges, r, s, best", [(DETOUR, [1], [2], 20), (ZIGZAG, [1], [12], 9)])
 def test_detours_need_closure(spark, edges, r, s, best):
     net = net_of(spark, edges)
@@ -147,6 +234,28 @@ def test_prefix_and_monotony(spark, world):
     assert near <= far
 
 
+@given(st.integers(0, 10_000), st.sampled_from([None, 1, 5, 40]), st.sampled_from([30, 90, 10**6]), st.sampled_from([1, 60, 10**6]))
+@settings(max_examples=60, deadline=None)
+def test_reach_equals_dijkstra(seed, k, theta, cells):
+    """Batches of any size: exact costs within the bound, and with k the k least pairs whatever the bound has shrunk to."""
+    edges = random_edges(25, 15, seed)
+    a, b, w = (np.array(x, np.int64) for x in zip(*edges))
+    g = kernels.LocalGraph(np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([w, w]))
+    r, s, start = np.arange(0, 25, 3), np.arange(1, 25, 4), np.arange(0, 25, 3) % 4
+    old, kernels.CELLS = kernels.CELLS, cells
+    best, work = kernels.BestPairs(k, theta), kernels.Work()
+    try:
+        got = kernels.reach(g, g.local(r), start, {"pair": g.mask(s), "all": np.ones(25, bool)}, best, counted="pair", work=work)
+    finally:
+        kernels.CELLS = old
+    adj = reference.adjacency(edges)
+    want = sorted((c + d, u, v) for u, c in zip(r.tolist(), start.tolist()) for v, d in reference.distances(adj, u).items() if v in set(s.tolist()) and c + d <= theta)
+    found = sorted(zip(got["pair"][2].tolist(), got["pair"][0].tolist(), got["pair"][1].tolist()))
+    limit = best.limit
+    assert limit == (theta if not k or len(want) < k else want[k - 1][0])
+    assert found == [x for x in want if x[0] <= limit] and work.relaxed >= 0 and work.settled >= len(got["all"][2])
+
+
 @given(st.integers(0, 10_000), st.sampled_from([0.0, 0.3, 1.0]))
 @settings(max_examples=25, deadline=None)
 def test_growth_kernel_equals_plain_growth(seed, alpha):
@@ -155,8 +264,7 @@ def test_growth_kernel_equals_plain_growth(seed, alpha):
     a, b, w = (np.array(x, np.int64) for x in zip(*edges))
     tail, head = np.concatenate([a, b]), np.concatenate([b, a])
     g = kernels.LocalGraph(tail, head, np.concatenate([w, w]))
-    order = np.argsort(np.searchsorted(g.ids, tail), kind="stable")
-    eids = np.concatenate([np.arange(len(w))] * 2)[order].tolist()
+    eids = np.concatenate([np.arange(len(w))] * 2)[g.order]
     side = kernels.grow(g, eids, 0, len(g.ids) - 1, alpha)
     assert dict(zip(g.ids.tolist(), side.tolist())) == reference.grow(edges, int(g.ids[0]), int(g.ids[-1]), alpha)
 
@@ -279,6 +387,19 @@ def test_wave_starts_without_the_pilot(spark, world):
     assert start["wave"] == UNBOUNDED > start["pilot+wave"]
 
 
+def test_relax_appends_and_merges(spark, monkeypatch):
+    """Small merge period, and every round by the broadcast way: distances stay exact."""
+    from netjoin.operators import relax as module
+
+    monkeypatch.setattr(module, "MERGE_ROUNDS", 2)
+    edges = random_edges(60, 30, 9)
+    net, adj = net_of(spark, edges), reference.adjacency(edges)
+    want = {(s, x): d for s in (0, 7) for x, d in reference.distances(adj, s, 150).items()}
+    for few in (module.FEW_STATES, 0):
+        monkeypatch.setattr(module, "FEW_STATES", few)
+        assert {(r["src"], r["node"]): r["d"] for r in distances_from(net.arcs, ids(spark, [0, 7]), 150).collect()} == want
+
+
 def test_relax_does_not_stop_silently(spark):
     net = net_of(spark, [(i, i + 1, 1) for i in range(6)])
     seed = spark.createDataFrame([(0, 0, 0)], "src long, node long, d long")

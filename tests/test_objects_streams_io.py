@@ -5,7 +5,8 @@ from pyspark.sql import functions as F
 
 from netjoin.operators import measures, objects, partition, relational
 from netjoin.plans import workloads
-from netjoin.plans.joins import distance_join, leaf_pairs
+from netjoin.plans.joins import JoinReport, distance_join, leaf_tables
+from netjoin.plans.object_joins import closest_objects_by_parts
 from netjoin.plans.table_functions import kth_distance_native, kth_distance_udaf
 from netjoin.sources import tables
 from netjoin.streaming import positions
@@ -36,6 +37,10 @@ def test_objects_beside_and_inside_agree(spark):
             d = min(d, abs(p["off"] - q["off"])) if p["eid"] == q["eid"] else d
             if d <= 60:
                 want.append((u, v, d))
+    for leaves in (1, 4):
+        tree = partition.build_hierarchy(net, leaves=leaves, alpha=0.5)
+        assert beside == rows(closest_objects_by_parts(net, r, s, None, 60, tree))
+        assert beside[:7] == rows(closest_objects_by_parts(net, r, s, 7, 60, tree))
     assert beside == sorted(want, key=lambda x: (x[2], x[0], x[1])) and ends
     assert rows(objects.closest_objects(net, r, s, 5, 60)) == beside[:5]
 
@@ -51,8 +56,10 @@ def test_large_leaves_are_dealt_to_tasks(spark):
     net = net_of(spark, edges)
     r, s = ids(spark, range(0, 60, 3)), ids(spark, range(1, 60, 3))
     tree = partition.build_hierarchy(net, leaves=2, alpha=0.5)
-    one, many = ({tuple(x) for x in leaf_pairs(net, tree, r, s, k=None, bound=80, sources_per_task=n).where("kind <> 'work'").collect()} for n in (1000, 3))
-    assert one == many
+    for options in ({}, {"schedule": "pool", "parallelism": 3}):
+        one, many = ({tuple(x) for x in distance_join(net, r, s, 80, hierarchy=tree, sources_per_task=n, **options).collect()} for n in (1000, 3))
+        assert one == many and one
+    assert leaf_tables(net, tree, r, s, 80).groupBy("kind").count().count() == 4
 
 
 def test_forest_hierarchy(spark):
@@ -62,7 +69,7 @@ def test_forest_hierarchy(spark):
     tree = partition.hierarchy_from_forest(net, leaves=4)
     assert tree.assign.count() == 40
     assert rows(distance_join(net, r, s, 70, hierarchy=tree)) == reference.pairs(edges, set(range(0, 40, 4)), set(range(1, 40, 4)), 70)
-    by_forest = partition.build_hierarchy(net, leaves=2, engine="forest")
+    by_forest = partition.build_hierarchy(net, leaves=2, engine="joins")
     assert by_forest.nodes.where("leaf").count() == 2
 
 
@@ -87,6 +94,36 @@ def test_stored_network(spark, tmp_path):
     tables.write_pairs(net.edges, fmt="noop")
 
 
+def test_stored_hierarchy(spark, tmp_path):
+    edges = random_edges(50, 30, 4)
+    net, r, s = net_of(spark, edges), ids(spark, range(0, 50, 4)), ids(spark, range(1, 50, 4))
+    tree = partition.build_hierarchy(net, leaves=4, alpha=0.5)
+    tables.save_hierarchy(tree, str(tmp_path / "tree"))
+    again = tables.load_hierarchy(spark, str(tmp_path / "tree"))
+    assert rows(distance_join(net, r, s, 70, hierarchy=again)) == rows(distance_join(net, r, s, 70, hierarchy=tree))
+    leaf = again.leaves[0]["gp"]
+    plan = again.arcs.where(F.col("gp") == leaf)._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull(gp" in plan
+
+
+def test_scratch_needs_a_shared_folder(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from netjoin.functions import workspace
+
+    cluster = SimpleNamespace(conf=SimpleNamespace(get=lambda *a: None), sparkContext=SimpleNamespace(master="spark://a:7077", getCheckpointDir=lambda: None))
+    with pytest.raises(RuntimeError, match="spark.checkpoint.dir"):
+        workspace.shared_dir(cluster)
+    kept, seen = workspace.counted(spark.range(5).where("id > 9"), "none", total=F.sum("id"))
+    assert kept.count() == 0 and seen["n"] == 0 and seen["total"] == 0
+    workspace.drop_tables(workspace.materialise(spark.range(3), "gone"))
+
+
+def test_reports(spark):
+    report = JoinReport(searches=[(0, 0, 0, 10), (0, 1, 0, 5), (1, 0, 20, 24)])
+    assert report.idle_share(2) == 1 - 19 / 28
+
+
 def test_relational_helpers(spark):
     pairs = spark.createDataFrame([(1, 5, 3), (1, 6, 2), (1, 7, 2), (2, 5, 9)], "u long, v long, d long")
     by_window = sorted((r["u"], r["v"], r["d"]) for r in relational.nearest_per_source(pairs, 2).collect())
@@ -154,6 +191,22 @@ def test_tracking_and_closest(spark, sf, event_files, tmp_path):
     assert seen[max(seen)] == rows(objects.closest_objects(net, last.where("kind = 'r'"), last.where("kind = 's'"), 10, 1500))
 
 
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    """A batch far behind the watermark: its rows are dropped, and Spark's count says how many."""
+    schema = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+    for i, (day, n) in enumerate(((20, 5), (20, 1), (1, 3))):
+        spark.createDataFrame([(100 * i + j, dt.datetime(2024, 1, day, j), 1, "view", 0.0, "{}") for j in range(n)], schema).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    counts = positions.windowed_counts(positions.read_events(spark, str(tmp_path / "in")), length="1 hour")
+    q = counts.writeStream.format("memory").queryName("late").outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination(180)
+    assert positions.late_rows(q) == 3
+
+
+def test_generated_events(spark):
+    rate = positions.rate_events(spark, 100, users=7)
+    assert rate.isStreaming and rate.columns == ["event_id", "ts", "user_id", "event_type"]
+
+
 def test_stream_join(spark, event_files):
     both = positions.meetings_stream(positions.read_events(spark, event_files).where("event_type = 'view'"), positions.read_events(spark, event_files).where("event_type = 'purchase'"), 600)
     e = spark.read.parquet(event_files).withColumn("ts", F.col("ts").cast("timestamp"))

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from netjoin.operators import partition
 from netjoin.operators.relax import relax
-from netjoin.plans.joins import leaf_arcs
 from netjoin.sources.networks import NETWORKS
 from tests.test_network_joins import ids, net_of, random_edges
 
@@ -44,6 +43,6 @@ def test_relaxation_does_not_broadcast_state(spark):
 def test_cross_edges_by_joins(spark):
     net = net_of(spark, random_edges(40, 20, 4))
     tree = partition.build_hierarchy(net, leaves=4, alpha=0.5)
-    for df in (leaf_arcs(net, tree), partition.cross_edges(net, tree.assign)):
+    for df in (partition.placed_arcs(net, tree.assign), partition.cross_edges(net, tree.assign)):
         plan = df._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
