@@ -122,10 +122,10 @@ def oracles(names: dict[str, int], sweeps: dict[str, tuple], thetas: dict[str, t
     two = "us AS (SELECT user_id, row_number() OVER (ORDER BY count(*) DESC, user_id) AS i FROM events GROUP BY user_id), r AS (SELECT event_id AS id FROM events JOIN us USING (user_id) WHERE i = 1), s AS (SELECT event_id AS id FROM events JOIN us USING (user_id) WHERE i = 2)"
     out |= {"kcp_theta": _pairs("urban", 100, k=80), "kcp_attr": _pairs("lines", 60, sets=attr, k=80), "kcp_trajectory": _pairs("lines", 20000, sets=two, k=10)}
     out |= {f"dj_{n}_theta_{t}": _pairs(n, t) for n, ts in thetas.items() for t in ts}
-    for prefix, n, near, far in (("kcp", "urban", 400, 1200), ("kcp_interstate", "interstate", 400, 1200)):
-        out |= dict.fromkeys([f"{prefix}_alpha_{int(a * 100)}" for a in sweeps["alpha"]] + [f"{prefix}_p_{p}" for p in sweeps["parallelism"]], _pairs(n, near, k=80))
-        out |= {f"{prefix}_k_{k}": _pairs(n, near, k=k) for k in sweeps["k"]}
-        out |= {f"{prefix}_r_{p}": _pairs(n, far, r=p, k=80) for p in sweeps["r"]} | {f"{prefix}_s_{p}": _pairs(n, far, s=p, k=80) for p in sweeps["s"]}
+    for prefix, n in (("kcp", "urban"), ("kcp_interstate", "interstate")):
+        out |= dict.fromkeys([f"{prefix}_alpha_{int(a * 100)}" for a in sweeps["alpha"]] + [f"{prefix}_p_{p}" for p in sweeps["parallelism"]], _pairs(n, 400, k=80))
+        out |= {f"{prefix}_k_{k}": _pairs(n, 400, k=k) for k in sweeps["k"]}
+        out |= {f"{prefix}_r_{p}": _pairs(n, 1200, r=p, k=80) for p in sweeps["r"]} | {f"{prefix}_s_{p}": _pairs(n, 1200, s=p, k=80) for p in sweeps["s"]}
     out |= {f"kcp_bound_{name}_{n}": urban for n in bound_leaves for name in ("local", "shared")}
     out |= {f"kcp_{n}": urban for n in ("p_1", "local_bound", "auto_bound", "auto_bound_2", "pool", "frontier", "task", "per_level", "per_level_pool")}
     mesh = _pairs("mesh", 6000, k=80)

@@ -314,6 +314,7 @@ def level_pairs(spec: Spec, routes: DataFrame, pairs: DataFrame, bound: int, ref
     spark = spec.net.vertices.sparkSession
     steps = plan_steps(tree, spec.parallelism)
     known = routes.select("border", "u", "d").groupBy("border", "u").agg(F.min("d").alias("d"))
+    last = max(s.wave for s in steps)
     for wave in sorted({s.wave for s in steps} - {0}):
         mine = [s for s in steps if s.wave == wave and (not spec.stop_by_weight or (tree.parts[s.gp]["sep"] or UNBOUNDED) <= bound) and tree.parts[s.gp]["sep"] is not None]
         if not mine:
@@ -331,7 +332,7 @@ def level_pairs(spec: Spec, routes: DataFrame, pairs: DataFrame, bound: int, ref
         members = spark.createDataFrame(held, "gp long, part long")
         members = F.broadcast(members) if len(held) <= BROADCAST_PARTS else members
         here = tree.cross.where(F.col("gp").isin([s.gp for s in mine])) if len(mine) <= 1000 else tree.cross.join(spark.createDataFrame([(s.gp,) for s in mine], "gp long"), "gp", "left_semi")
-        live = materialise(_live(spec, here, bound).select("a", "b", "w", F.col("leaf_b").alias("gp")).join(members, "gp").select("part", "a", "b", "w"), "level-live")
+        live = _live(spec, here, bound).select("a", "b", "w", F.col("leaf_b").alias("gp")).join(members, "gp").select("part", "a", "b", "w")
         over = known.withColumnRenamed("border", "a").join(live, "a").select("part", "u", "b", (F.col("d") + F.col("w")).alias("d")).where(F.col("d") <= bound).groupBy("part", "u", "b").agg(F.min("d").alias("d"))
         over = materialise(over, "level-over")
         heads = over.groupBy("part", "b").agg(F.min("d").alias("cost")).select(F.col("part").alias("gp"), F.col("b").alias("id"), "cost")
@@ -343,11 +344,15 @@ def level_pairs(spec: Spec, routes: DataFrame, pairs: DataFrame, bound: int, ref
         far = search_parts(spec, kids, arcs, targets, heads, ("hs", "hb"), bound, wave=wave, of_slot=of_slot)
         far = far.where("kind IN ('hs', 'hb')").join(heads.select(F.col("id").alias("x"), "cost"), "x").select("kind", F.col("x").alias("b"), "y", (F.col("d") - F.col("cost")).alias("d2"))
         hits = over.join(far.where("kind = 'hs'").select("b", F.col("y").alias("v"), "d2"), "b").select("u", "v", (F.col("d") + F.col("d2")).alias("d")).where(F.col("d") <= bound)
-        pairs = materialise(top_pairs(pairs.unionByName(hits), spec.k), "level-pairs")
-        bound = refresh(pairs)
+        pairs = pairs.unionByName(hits)
+        if spec.k is not None:
+            pairs = materialise(top_pairs(pairs, spec.k), "level-pairs")
+            bound = refresh(pairs)
+        if wave == last:
+            break
         lifted = over.join(far.where("kind = 'hb'").select("b", F.col("y").alias("border"), "d2"), "b").select("border", "u", (F.col("d") + F.col("d2")).alias("d"))
         known = materialise(known.unionByName(lifted).where(F.col("d") <= bound).groupBy("border", "u").agg(F.min("d").alias("d")), "level-routes")
-    return pairs
+    return pairs.groupBy("u", "v").agg(F.min("d").alias("d"))
 
 
 # The joins
