@@ -118,7 +118,7 @@ class DigestIndex:
         """All postings, with keep and group_size where the run holds their digest; only those that pass its filter are joined."""
         marked = postings.withColumn("__asks", self.passes(F.col("digest"), part))
         run = self.level(part)
-        asking = join_small(marked.where("__asks"), run, ["digest"], "left", limit=BROADCAST_ROWS // 5)
+        asking = marked.where("__asks").join(run.hint("merge"), "digest", "left")
         nothing = [F.lit(None).cast(run.schema[c].dataType).alias(c) for c in ("keep", "group_size")]
         return asking.drop("__asks").unionByName(marked.where("NOT __asks").drop("__asks").select("*", *nothing))
 
