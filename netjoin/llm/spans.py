@@ -39,6 +39,20 @@ def matches(text: str, pattern: str) -> Column:
     return F.expr(f"CASE WHEN {text} RLIKE {p} THEN {one} ELSE {none} END")
 
 
+def sampled_rows(rows: DataFrame, n: int) -> DataFrame:
+    """At most 2 n rows, by a hash of all columns at a rate of one in count // n: what models are fitted on."""
+    every = max(1, rows.count() // n)
+    return rows.where(F.pmod(F.xxhash64(*rows.columns), F.lit(every)) == 0).limit(2 * n)
+
+
+def contexts_of(rows: DataFrame, n: int) -> list[tuple[str, str]]:
+    """(left, right) around some word boundary of up to ``n`` of the sampled texts: real prose to put generated examples into."""
+    at = F.floor(F.pmod(F.xxhash64("text", F.lit(3)), F.length("text") + 1)).cast("int")
+    cut = rows.where("length(text) > 0").withColumn("at", at).select(F.expr(f"substring(text, greatest(1, at - {CONTEXT} + 1), least(at, {CONTEXT}))").alias("l"), F.expr(f"substring(text, at + 1, {CONTEXT})").alias("r"))
+    got = sorted((r["l"], r["r"]) for r in cut.limit(n).collect())
+    return [(left.rpartition(" ")[0] + " ", " " + right.partition(" ")[2]) for left, right in got] or [("the text before ", " and after it")]
+
+
 def inline_rows(spark: SparkSession, rows: Sequence[dict], schema: str) -> DataFrame:
     """A small table from one JSON literal: plain SQL, no Python data on the executors."""
     return spark.range(1).select(F.explode(F.from_json(F.lit(json.dumps(list(rows))), f"array<struct<{schema}>>")).alias("r")).select("r.*")
