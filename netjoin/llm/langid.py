@@ -36,10 +36,11 @@ def held_out(id_column: Column) -> Column:
 
 
 def fit_dictionaries(labelled: DataFrame, *, dict_bytes: int = 60_000, per_language: int = 400, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> dict[str, bytes]:
-    """Language -> folded sample text, the most frequent language first. Rows without a label, text or id are not learned from.
+    """Language -> folded sample text, the most frequent language first. Rows without a label, text or id are not learned from, rows that repeat
+    are drawn together, an empty table gives no language, and other columns are not read.
 
-    The sample is drawn by a hash of the id at a rate that gives ``per_language`` rows to each language (all rows where it has
-    fewer), then cut to ``dict_bytes`` with an equal share for each row, so no long text fills a dictionary.
+    Rows are drawn by a hash of the id at a rate of one in ``n // per_language`` (all rows of a language that has fewer), in expectation fewer than twice
+    ``per_language``. Of each an excerpt at a hashed place inside the whole text is learned, of an equal share for each row, ``dict_bytes`` in all, so neither long texts nor common openings fill a dictionary.
     """
     rows = labelled.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang")).where("lang IS NOT NULL AND text IS NOT NULL AND doc_id IS NOT NULL")
     counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
@@ -48,7 +49,8 @@ def fit_dictionaries(labelled: DataFrame, *, dict_bytes: int = 60_000, per_langu
     rate = F.create_map(*(x for lang, n in counts.items() for x in (F.lit(lang), F.lit(max(1, n // per_language)).cast("long"))))
     share = max(200, 2 * dict_bytes // per_language)
     picked = rows.where(F.pmod(F.xxhash64("doc_id"), F.element_at(rate, F.col("lang"))) == 0)
-    sample = picked.select("lang", F.xxhash64("doc_id", F.lit(1)).alias("k"), F.substring("text", 1, 4 * share).alias("text")).collect()
+    place = 1 + F.pmod(F.xxhash64("doc_id", F.lit(2)), F.greatest(F.lit(1), F.length("text") - 4 * share + 1))
+    sample = picked.select("lang", F.xxhash64("doc_id", F.lit(1)).alias("k"), F.substring(F.col("text"), place.cast("int"), F.lit(4 * share)).alias("text")).collect()
     out: dict[str, bytes] = {}
     for lang in sorted(counts, key=lambda x: (-counts[x], x)):
         own = sorted((r["k"], r["text"]) for r in sample if r["lang"] == lang)
@@ -83,7 +85,8 @@ def identify_text(text: str | None, model: tuple[tuple[str, bytes], ...], level:
 def identify(docs: DataFrame, dictionaries: dict[str, bytes], *, margin: float = 0.04, level: int = 10, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, held_out, lang_pred, score, rejected (margin too narrow to trust) for every row, in one pass without a shuffle.
 
-    Texts that are null or have no letter give ``und`` with score 0, rejected. Ties go to the language with more labelled rows.
+    Texts that are null, empty or have no letter give ``und`` with score 0, rejected; so does every text where nothing was learned. Texts of any length are compressed whole, in pieces.
+    Ties go to the language with more labelled rows. Rows that repeat are predicted each, a null id is passed on, an empty table gives no rows, and other columns are not read.
     """
     model = tuple(dictionaries.items())
 
