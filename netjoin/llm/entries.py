@@ -97,6 +97,18 @@ def oracle_sql() -> dict[str, str]:
         "op6_quality": f"WITH {_LEDGER} SELECT *, (bits & 3) <> 0 AS base_failed, bits = 0 AS kept FROM book",
         "quality_ablation": f"WITH {_LEDGER}, r AS (SELECT * FROM (VALUES {', '.join(f"({b}, '{n}')" for b, (n, _) in quality.RULES.items())}) AS t(b, rule))"
         " SELECT rule, count(*) FILTER ((bits >> b) & 1 = 1) AS n_failed, count(*) FILTER (bits = (1 << b)) AS n_only FROM book, r GROUP BY rule",
+        "op10_minhash": r"""
+            WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+                 sets AS (SELECT doc_id, CASE WHEN len(ws) < 2 THEN ws ELSE list_sort(list_distinct(list_transform(range(1, len(ws)), lambda i: ws[i] || ' ' || ws[i + 1]))) END AS sh FROM w),
+                 k AS (SELECT doc_id, sh, len(sh) AS n, min(doc_id) OVER (PARTITION BY sh) AS rep, count(*) OVER (PARTITION BY sh) AS copies FROM sets),
+                 one AS (SELECT rep, n, unnest(sh) AS s FROM k WHERE doc_id = rep AND n > 0),
+                 met AS (SELECT a.rep AS a, b.rep AS b, count(*) AS c, any_value(a.n) AS na, any_value(b.n) AS nb FROM one a JOIN one b ON a.s = b.s AND a.rep < b.rep
+                          WHERE 100 * least(a.n, b.n) >= 80 * greatest(a.n, b.n) GROUP BY 1, 2),
+                 link AS (SELECT a, b FROM met WHERE 100 * c >= 80 * (na + nb - c) UNION ALL SELECT b, a FROM met WHERE 100 * c >= 80 * (na + nb - c)),
+                 q(x, m) USING KEY (x) AS (SELECT rep, rep FROM one GROUP BY rep
+                          UNION SELECT l.b, min(q.m) FROM q JOIN link l ON l.a = q.x JOIN recurring.q o ON o.x = l.b WHERE q.m < o.m GROUP BY l.b)
+            SELECT doc_id, n::BIGINT AS n_shingles, CASE WHEN n = 0 THEN doc_id ELSE m END AS component_id, CASE WHEN n = 0 THEN true ELSE m = doc_id END AS kept,
+                   CASE WHEN n = 0 THEN 1 ELSE copies END::BIGINT AS n_class FROM k LEFT JOIN q ON q.x = k.rep""",
         "op9_warc": """
             WITH p AS (SELECT page_id, coalesce(html, '') AS h, octet_length(encode(coalesce(html, '')))::BIGINT AS n FROM pages),
                  k AS (SELECT *, max(page_id) OVER (PARTITION BY h) AS keep FROM p)
