@@ -1,7 +1,8 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
 Networks, parts and operands are prepared outside the clock, as stored networks would be; a query's time is the join itself.
-``python bench.py --sweeps`` runs the experiment sweeps instead and prints one JSON line for each value; ``--cores`` runs large distance joins
+``python bench.py --sweeps`` runs the experiment sweeps instead and prints one JSON line for each value; ``--parallel`` large distance joins in pools of
+1 to 14, ``--bounds`` local against shared bounds over numbers of parts, ``--contrast`` parts by separation against parts by edge cut and by size; ``--cores`` runs large distance joins
 on 2, 4 and 8 cores, each in a process of its own, and prints the share of the time on two.
 """
 
@@ -15,15 +16,16 @@ import time
 
 from pyspark.sql import SparkSession
 
+from netjoin.functions.workspace import release_scratch
 from netjoin.plans import catalog, workloads
-from netjoin.plans.joins import JoinReport, closest_pairs, distance_join
+from netjoin.plans.joins import closest_pairs, distance_join
 
 
 def session() -> SparkSession:
     cpus = os.environ.get("BENCH_CPUS", str(os.cpu_count()))
     spark = (
         SparkSession.builder.master(f"local[{cpus}]").appName("bench").config("spark.sql.shuffle.partitions", cpus).config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false")
-        .config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "8g").config("spark.scheduler.mode", "FAIR").getOrCreate()
+        .config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "8g").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
     return spark
@@ -41,16 +43,18 @@ def headline(spark: SparkSession, d: str) -> dict[str, float]:
         p = workloads.prepare(spark, d, name)
         p.r.count(), p.s.count()
         workloads.timed_pairs(p, 80)  # warm
+        heavy = workloads.HEAVY[name]
         out[f"kcp_{name}"] = clocked(lambda: closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree).count())
         out[f"kcp_{name}_per_level"] = clocked(lambda: closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree, crossings="per_level").count())
         out[f"kcp_{name}_frontier"] = clocked(lambda: closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree, engine="frontier").count())
         out[f"kcp_{name}_unpartitioned"] = clocked(lambda: closest_pairs(p.net, p.r, p.s, 80).count())
+        out[f"dj_{name}_large"] = clocked(lambda: distance_join(p.net, p.r, p.s, heavy, hierarchy=p.tree).count())
         out[f"dj_{name}"] = clocked(lambda: distance_join(p.net, p.r, p.s, 400 if name == "urban" else 200, hierarchy=p.tree).count())
-    report = JoinReport()
     p = workloads.prepare(spark, d, "urban")
-    out["kcp_urban_pool_8"] = clocked(lambda: closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree, schedule="pool", parallelism=8, report=report).count())
+    out["kcp_urban_pool_8"] = clocked(lambda: closest_pairs(p.net, p.r, p.s, 80, hierarchy=p.tree, schedule="pool", parallelism=8).count())
     for name in ("net_urban_edges", "net_interstate_edges", "rollup_pairs_by_region", "asof_position", "session_positions"):
         out[name] = clocked(lambda: catalog.queries()[name](spark, d).write.format("noop").mode("overwrite").save())
+    release_scratch(spark)
     try:
         from netjoin.llm import entries
     except ModuleNotFoundError:
@@ -79,13 +83,19 @@ def main() -> None:
         for name in workloads.HEAVY:
             print(json.dumps(workloads.heavy_join(spark, d, name)), flush=True)
         return
-    if "--sweeps" in sys.argv:
-        for name in ("urban", "interstate"):
+    more = {"--parallel": workloads.parallel_sweep, "--bounds": workloads.bound_sweep, "--contrast": workloads.contrast_sweep}
+    for name in ("urban", "interstate"):
+        for flag, run in more.items():
+            if flag in sys.argv:
+                for row in run(spark, d, name):
+                    print(json.dumps(row), flush=True)
+        if "--sweeps" in sys.argv:
             for parameter in workloads.SWEEPS:
                 for row in workloads.sweep(spark, d, name, parameter):
                     print(json.dumps(row), flush=True)
             for row in workloads.theta_sweep(spark, d, name):
                 print(json.dumps(row), flush=True)
+    if {"--sweeps", *more} & set(sys.argv):
         return
     times = headline(spark, d)
     print(json.dumps({"metric": "total of headline queries", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": os.path.basename(d.rstrip("/")).removeprefix("sf")}))
