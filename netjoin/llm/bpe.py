@@ -23,8 +23,8 @@ from pyspark.sql import functions as F
 
 from netjoin.llm.common import slices, text_or_empty
 
-#: Bounds of a worker's table of merged words: entries, and characters of a word that is remembered.
-CACHE_WORDS, CACHE_CHARS = 200_000, 48
+#: Bounds of a worker's tables of merged words: entries of each of the two, and characters of a word that is remembered.
+CACHE_WORDS, CACHE_CHARS = 120_000, 48
 
 
 def byte_symbols() -> list[str]:
@@ -65,24 +65,23 @@ def merge_symbols(symbols: list[int], merges: dict[int, int]) -> list[int]:
         at = i - width
         gone = after[at]
         following = after[at] = after[gone]
-        first, symbols[at], symbols[gone] = before[at], best & LOW, -1
+        first, merged = before[at], best & LOW
+        symbols[at], symbols[gone] = merged, -1
+        climb = [(at + width, get(merged << 20 | symbols[following], NONE) if following < n else NONE)]
         if following < n:
             before[following] = at
-            touched = [(gone, NONE), (at, get((best & LOW) << 20 | symbols[following], NONE))]
-        else:
-            touched = [(at, NONE)]
+            climb.append((gone + width, NONE))
         if first >= 0:
-            touched.append((first, get(symbols[first] << 20 | best & LOW, NONE)))
-        for i, value in touched:
-            i += width
-            tree[i] = value
-            while i > 1:
-                i >>= 1
-                a, b = tree[2 * i], tree[2 * i + 1]
-                value = a if a < b else b
-                if tree[i] == value:
-                    break
+            climb.append((first + width, get(symbols[first] << 20 | merged, NONE)))
+        for i, value in climb:
+            while tree[i] != value:
                 tree[i] = value
+                if i == 1:
+                    break
+                other = tree[i ^ 1]
+                if other < value:
+                    value = other
+                i >>= 1
     return [s for s in symbols if s >= 0]
 
 
@@ -113,6 +112,7 @@ class WordTokenizer:
         self.lead = os.path.commonprefix(list(self.specials))
         self.space = regex.compile(r"\s+")
         self.known: dict[str, tuple[str, str]] = {}
+        self.older: dict[str, tuple[str, str]] = {}
 
     def word_ids(self, word: str) -> list[int]:
         raw = word.encode("utf-8", "surrogatepass")
@@ -120,12 +120,14 @@ class WordTokenizer:
         return merge_symbols([inner[b] for b in raw[:-1]] + [self.last[raw[-1]]], self.merges)
 
     def _word(self, word: str) -> tuple[str, str]:
-        """Ids and tokens of a word, each joined by spaces."""
-        ids = self.word_ids(word)
-        out = " ".join(map(str, ids)), " ".join([self.tokens[i] for i in ids])
+        """Ids and tokens of a word, each joined by spaces. A full table becomes the older one; words met there again move back."""
+        out = self.older.get(word)
+        if out is None:
+            ids = self.word_ids(word)
+            out = " ".join(map(str, ids)), " ".join([self.tokens[i] for i in ids])
         if len(word) <= CACHE_CHARS:
             if len(self.known) >= CACHE_WORDS:
-                self.known.clear()
+                self.older, self.known = self.known, {}
             self.known[word] = out
         return out
 
@@ -143,8 +145,9 @@ class WordTokenizer:
 
     def encoded(self, text: str) -> tuple[str, str]:
         """Decimal ids joined by one space, and the decoded text."""
-        ids, decoded, known, word = [], [], self.known, self._word
+        ids, decoded, word = [], [], self._word
         for piece, special in self._pieces(text):
+            known = self.known
             for w in self.words.findall(self.normalise(piece)):
                 hit = known.get(w) or word(w)
                 ids.append(hit[0])
