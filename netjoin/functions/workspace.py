@@ -9,6 +9,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
@@ -28,9 +30,34 @@ def shared_dir(spark: SparkSession) -> str:
     return _LOCAL.setdefault("dir", "file://" + tempfile.mkdtemp(prefix="netjoin-"))
 
 
+_SCOPES: list[list[str]] = []
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
     """A fresh path below the shared folder."""
-    return f"{shared_dir(spark)}/netjoin/{spark.sparkContext.applicationId}/{uuid.uuid4().hex[:12]}-{name}"
+    path = f"{shared_dir(spark)}/netjoin/{spark.sparkContext.applicationId}/{uuid.uuid4().hex[:12]}-{name}"
+    for scope in _SCOPES:
+        scope.append(path)
+    return path
+
+
+@contextmanager
+def passing(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Drop everything written inside the block when it ends, but for tables handed to the function it gives."""
+    written, kept = [], set()
+    _SCOPES.append(written)
+
+    def keep(table: DataFrame) -> DataFrame:
+        kept.update(f.rsplit("/", 1)[0] for f in table.inputFiles())
+        return table
+
+    try:
+        yield keep
+    finally:
+        _SCOPES.pop()
+        for path in written:
+            if not any(k.removeprefix("file://").endswith(path.removeprefix("file://")) for k in kept):
+                drop_path(spark, path)
 
 
 def drop_path(spark: SparkSession, path: str) -> None:

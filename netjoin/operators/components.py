@@ -10,14 +10,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from netjoin.functions.workspace import materialise
+from netjoin.functions.workspace import drop_tables, materialise
 
 
-def _star(edges: DataFrame, large: bool) -> DataFrame:
-    """edges (a > b): one large-star or small-star contraction."""
+def _star(edges: DataFrame, large: bool, tables: list[DataFrame]) -> DataFrame:
+    """edges (a > b): one large-star or small-star contraction; what it writes is added to ``tables``."""
     both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))) if large else edges
     # written first: then both sides of the join on a hub are plain exchanges, which AQE can split
     least = materialise(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "cc-least")
+    tables.append(least)
     hung = both.join(least.hint("merge"), "a")
     if large:
         out = hung.where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
@@ -39,7 +40,9 @@ def connected_components(edges: DataFrame, *, max_rounds: int = 60) -> DataFrame
         if tuple(state) == seen or not state[0]:
             break
         seen = tuple(state)
-        now = materialise(_star(_star(now, True), False), "cc-edges")
+        tables = [now]
+        now = materialise(_star(_star(now, True, tables), False, tables), "cc-edges")
+        drop_tables(*tables)
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     return now.groupBy("a").agg(F.min("b").alias("b")).select(F.col("a").alias("id"), F.col("b").alias("component")).unionByName(now.select(F.col("b").alias("id"), F.col("b").alias("component")).distinct())

@@ -243,7 +243,8 @@ def spanning_forest(net: Network) -> DataFrame:
         to = lambda name: merged.select(F.col("id").alias(name), F.col("component").alias(f"{name}2"))
         moved = edges.join(to("p"), "p", "left").join(to("q"), "q", "left").select("eid", "src", "dst", "w", F.coalesce("p2", "p").alias("p"), F.coalesce("q2", "q").alias("q")).where("p <> q")
         lightest = moved.groupBy(F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q")).agg(F.min(F.struct("w", "eid", "src", "dst")).alias("m"))
-        edges = materialise(lightest.select("m.eid", "m.src", "m.dst", "m.w", "p", "q"), "msf-edges")
+        done, edges = [edges, merged], materialise(lightest.select("m.eid", "m.src", "m.dst", "m.w", "p", "q"), "msf-edges")
+        drop_tables(*done)
     if forest is None:
         return net.edges
     return forest.distinct()
@@ -323,5 +324,6 @@ def balanced_assign(net: Network, leaves: int, *, objective: str = "size", round
         movers = wish.join(at, "id").where(F.col("g") != F.col("gp")).where(F.pmod(F.xxhash64("id", F.lit(turn)), F.lit(2)) == 0)
         demand = movers.groupBy("g").agg(F.count(F.lit(1)).alias("m")).join(sizes, "g").select("g", F.least(F.lit(1.0), F.greatest(F.lit(0.0), (room - F.col("n")) / F.col("m"))).alias("p"))
         moved = movers.join(F.broadcast(demand), "g").where(F.pmod(F.xxhash64("id", F.lit(99 + turn)), F.lit(1000)) < 1000 * F.col("p")).select("id", "g")
-        at = materialise(at.join(moved, "id", "left").select("id", F.coalesce("g", "gp").alias("gp")), "balanced")
+        done, at = at, materialise(at.join(moved, "id", "left").select("id", F.coalesce("g", "gp").alias("gp")), "balanced")
+        drop_tables(done)
     return at

@@ -24,7 +24,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from netjoin.functions.workspace import counted, materialise
+from netjoin.functions.workspace import counted, materialise, passing
 from netjoin.operators import kernels
 from netjoin.operators.network import Network, assert_disjoint
 from netjoin.operators.partition import TASK_EDGES, Hierarchy
@@ -421,15 +421,16 @@ def _deepen(spec: Spec) -> DataFrame:
     """Without a known bound: the radius grows until k pairs lie inside it or nothing more can be reached, so that no search runs unlimited."""
     limit, total = spec.net.edges.agg(F.percentile_approx("w", 0.5), F.sum("w")).first()
     limit, total = limit or 1, total or 1
-    while True:
+    while limit < total:
         spec.report.limits.append(limit)
-        result = _within(spec, min(limit, total))
-        if limit >= total:
-            return result
-        result, seen = counted(result, "within")
+        with passing(spec.net.vertices.sparkSession) as keep:
+            result, seen = counted(_within(spec, limit), "within")
+            keep(result)
         if seen["n"] >= spec.k:
             return result
         limit *= 4
+    spec.report.limits.append(total)
+    return _within(spec, total)
 
 
 def _spec(net: Network, r: DataFrame, s: DataFrame, k: int | None, hierarchy: Hierarchy | None, *, crossings: str = "closure", threshold: str = "none", engine: str = "auto", schedule: str = "waves", parallelism: int = 8, reuse_routes: bool = True,

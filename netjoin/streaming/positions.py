@@ -7,7 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle, StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from netjoin.operators.network import Network
@@ -76,6 +76,32 @@ def tracked_positions(positions: DataFrame, *, delay: str = "10 minutes", silent
     return positions.withWatermark("ts", delay).groupBy("oid").applyInPandasWithState(update, "oid long, micros long, eid long, off long", "micros long, event_id long, eid long, off long", "update", GroupStateTimeout.EventTimeTimeout)
 
 
+class LatestPosition(StatefulProcessor):
+    """Value state of each object: its latest (micros, event_id, eid, off)."""
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.last = handle.getValueState("last", "micros long, event_id long, eid long, off long")
+
+    def handleInputRows(self, key: tuple, rows: Iterator[pd.DataFrame], timerValues: object) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
+        before = tuple(self.last.get()) if self.last.exists() else None
+        now = before
+        for batch in rows:
+            for r in batch.itertuples(index=False):
+                seen = (int(r.ts.value // 1000), int(r.event_id), int(r.eid), int(r.off))
+                now = max(now, seen) if now else seen
+        if now and now != before:
+            self.last.update(now)
+            yield pd.DataFrame({"oid": [key[0]], "micros": [now[0]], "eid": [now[2]], "off": [now[3]]})
+
+    def close(self) -> None:
+        pass
+
+
+def positions_by_processor(positions: DataFrame) -> DataFrame:
+    """The rows of ``tracked_positions`` through a stateful processor; needs the RocksDB state store (spark.sql.streaming.stateStore.providerClass)."""
+    return positions.groupBy("oid").transformWithStateInPandas(statefulProcessor=LatestPosition(), outputStructType="oid long, micros long, eid long, off long", outputMode="Update", timeMode="None")
+
+
 def meetings_stream(left: DataFrame, right: DataFrame, minutes: int) -> DataFrame:
     """Stream-stream join of two event streams of one type key within an interval."""
     a = left.withWatermark("ts", "10 minutes").select(F.col("event_id").alias("a"), F.col("user_id").alias("ua"), F.col("ts").alias("ta"))

@@ -1,4 +1,5 @@
 import datetime as dt
+import os
 
 import pytest
 from pyspark.sql import functions as F
@@ -116,7 +117,14 @@ def test_scratch_needs_a_shared_folder(spark, monkeypatch):
         workspace.shared_dir(cluster)
     kept, seen = workspace.counted(spark.range(5).where("id > 9"), "none", total=F.sum("id"))
     assert kept.count() == 0 and seen["n"] == 0 and seen["total"] == 0
-    workspace.drop_tables(workspace.materialise(spark.range(3), "gone"))
+    with workspace.passing(spark) as keep:
+        gone, here = workspace.materialise(spark.range(3), "gone"), keep(workspace.materialise(spark.range(4), "here"))
+        left = gone.inputFiles()[0].removeprefix("file://")
+        assert os.path.exists(left)
+    assert not os.path.exists(left) and here.count() == 4
+    files = [f.removeprefix("file://") for f in here.inputFiles()]
+    workspace.drop_tables(here)
+    assert not any(map(os.path.exists, files))
 
 
 def test_reports(spark):
@@ -202,6 +210,22 @@ def test_late_rows_are_dropped_and_counted(spark, tmp_path):
     assert positions.late_rows(q) == 3
 
 
+def test_stateful_processor(spark, sf, event_files):
+    """The value-state processor ends at the positions that the batch has."""
+    net = workloads.prepared_network(spark, sf, "urban")
+    n = net.vertices.count()
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        moves = drain(positions.positions_by_processor(positions.positions_of(positions.read_events(spark, event_files), net.edges, n)), "processed", "update")
+        got = {r["oid"]: r["m"]["eid"] for r in moves.groupBy("oid").agg(F.max(F.struct("micros", "eid")).alias("m")).collect()}
+    finally:
+        spark.conf.set(name, before)
+    e = spark.read.parquet(f"{sf}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    assert set(got) == {r["oid"] for r in objects.latest_positions(positions.positions_of(e, net.edges, n)).collect()}
+
+
 def test_generated_events(spark):
     rate = positions.rate_events(spark, 100, users=7)
     assert rate.isStreaming and rate.columns == ["event_id", "ts", "user_id", "event_type"]
