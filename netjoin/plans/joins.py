@@ -43,7 +43,7 @@ class JoinReport:
     """What a join did: bounds after each wave, radii tried while no bound was known, certificate, and machine-independent work.
 
     ``settled`` and ``relaxed`` count vertices reached within the bound and arcs looked at, summed over sources; ``searches`` has
-    (wave, slot, start, end) of every task in microseconds; ``pruned`` counts rows that a refreshed bound dropped.
+    (search, slot, start, end) of every task in microseconds, searches numbered as they ran; ``pruned`` counts rows that a refreshed bound dropped.
     """
 
     trace: list[int] = field(default_factory=list)
@@ -59,9 +59,15 @@ class JoinReport:
     relaxed: int = 0
     pruned: int = 0
     searches: list[tuple[int, int, int, int]] = field(default_factory=list)
+    searched: int = 0
+
+    def search_seconds(self) -> float:
+        """Time from the first task's start to the last one's end, summed over searches."""
+        spans = [[s[2:] for s in self.searches if s[0] == n] for n in range(self.searched)]
+        return sum(max(end for _, end in x) - min(start for start, _ in x) for x in spans if x) / 1e6
 
     def idle_share(self, parallelism: int) -> float:
-        """Share of slot time that waits for the slowest task of its wave, from the tasks' own clocks."""
+        """Share of slot time that waits for the slowest task of its search, from the tasks' own clocks."""
         busy = span = 0
         for wave in {s[0] for s in self.searches}:
             times = [end - start for w, _, start, end in self.searches if w == wave]
@@ -199,13 +205,14 @@ def _places(spec: Spec, parts: list[int], sources: DataFrame, of_slot: dict[int,
     return spec.net.vertices.sparkSession.createDataFrame(rows, "gp long, chunk int, chunks int, slot int, turn int"), slots
 
 
-def search_parts(spec: Spec, parts: list[int], arcs: DataFrame, targets: DataFrame, sources: DataFrame, kinds: tuple[str, str], bound: int, *, k: int | None = None, wave: int = 0, of_slot: dict[int, tuple[int, int]] | None = None) -> DataFrame:
+def search_parts(spec: Spec, parts: list[int], arcs: DataFrame, targets: DataFrame, sources: DataFrame, kinds: tuple[str, str], bound: int, *, k: int | None = None, of_slot: dict[int, tuple[int, int]] | None = None) -> DataFrame:
     """(gp, kind, x, y, d): least costs within the bound inside parts, from sources to vertices of S and border vertices; written.
 
     ``arcs`` (gp, a, b, w), ``targets`` (gp, role, id), ``sources`` (gp, id, cost). One shuffle brings the parts of a slot together; its task holds one part at a time.
     Beyond ``task_edges`` edges in a part the frontier engine relaxes all parts by joins instead.
     """
     report = spec.report
+    report.searched += 1
     if spec.stop_by_weight:
         arcs = arcs.where(F.col("w") <= bound)
     largest = max((spec.tree.parts[g]["n_edges"] for g in parts), default=0)
@@ -229,7 +236,7 @@ def search_parts(spec: Spec, parts: list[int], arcs: DataFrame, targets: DataFra
     kept, seen = counted(found, f"found-{kinds[0]}", settled=on("x", "work"), relaxed=on("y", "work"))
     report.settled, report.relaxed = report.settled + seen.get("settled", 0), report.relaxed + seen.get("relaxed", 0)
     if spec.detailed:
-        report.searches += [(wave, r["gp"], r["x"], r["y"]) for r in kept.where("kind = 'slot'").collect()]  # a row for each task
+        report.searches += [(report.searched - 1, r["gp"], r["x"], r["y"]) for r in kept.where("kind = 'slot'").collect()]  # a row for each task
     return kept
 
 
@@ -252,7 +259,7 @@ def _steps(spec: Spec) -> dict[int, tuple[int, int]] | None:
     return {s.gp: (s.slot, s.turn) for s in plan_steps(spec.tree, spec.parallelism)} if spec.schedule == "pool" else None
 
 
-def leaf_search(spec: Spec, bound: int, *, sources: str, k: int | None, paths: bool, wave: int = 0) -> DataFrame:
+def leaf_search(spec: Spec, bound: int, *, sources: str, k: int | None, paths: bool) -> DataFrame:
     """All leaves: from R, pairs and (with ``paths``) routes to the border; from the border, distances to S (bs) and to each other (bb)."""
     tree = spec.tree
     targets = leaf_members(tree, spec.s).withColumn("role", F.lit(IN_S))
@@ -260,7 +267,7 @@ def leaf_search(spec: Spec, bound: int, *, sources: str, k: int | None, paths: b
         targets = targets.unionByName(rim(tree).withColumn("role", F.lit(BORDER)))
     start = (leaf_members(tree, spec.r) if sources == "r" else rim(tree)).withColumn("cost", F.lit(0).cast("long"))
     kinds = ("pair", "route") if sources == "r" else ("bs", "bb")
-    found = search_parts(spec, [r["gp"] for r in tree.leaves], tree.arcs, targets, start, kinds, bound, k=k, wave=wave, of_slot=_steps(spec))
+    found = search_parts(spec, [r["gp"] for r in tree.leaves], tree.arcs, targets, start, kinds, bound, k=k, of_slot=_steps(spec))
     return found if sources == "r" else found.where("kind <> 'bb' OR x <> y")
 
 
@@ -341,7 +348,7 @@ def level_pairs(spec: Spec, routes: DataFrame, pairs: DataFrame, bound: int, ref
         upper = tree.border.where(~F.col("gp").isin([s.gp for s in steps if s.wave <= wave])) if len(steps) <= 1000 else tree.border
         targets = inside(at.join(spec.s.select("id"), "id", "left_semi")).withColumn("role", F.lit(IN_S)).unionByName(inside(at.join(upper.select("id").distinct(), "id", "left_semi")).withColumn("role", F.lit(BORDER)))
         of_slot = {c: (s.slot, s.turn) for s in mine for c in (2 * s.gp, 2 * s.gp + 1)} if spec.schedule == "pool" else None
-        far = search_parts(spec, kids, arcs, targets, heads, ("hs", "hb"), bound, wave=wave, of_slot=of_slot)
+        far = search_parts(spec, kids, arcs, targets, heads, ("hs", "hb"), bound, of_slot=of_slot)
         far = far.where("kind IN ('hs', 'hb')").join(heads.select(F.col("id").alias("x"), "cost"), "x").select("kind", F.col("x").alias("b"), "y", (F.col("d") - F.col("cost")).alias("d2"))
         hits = over.join(far.where("kind = 'hs'").select("b", F.col("y").alias("v"), "d2"), "b").select("u", "v", (F.col("d") + F.col("d2")).alias("d")).where(F.col("d") <= bound)
         pairs = pairs.unionByName(hits)

@@ -63,7 +63,7 @@ def timed_pairs(p: Prepared, k: int | None, theta: int | None = None, **options)
     seconds, before, report = time.time() - start, shuffle_totals(spark)["stages"], JoinReport()
     closest_pairs(p.net, p.r, p.s, k, theta, hierarchy=p.tree, report=report, **options).count()
     moved = shuffle_totals(spark, before)
-    return {"seconds": round(seconds, 3), "rows": rows, "settled": report.settled, "relaxed": report.relaxed, "bound": report.trace[-1], "sigma": report.sigma, "bridges": report.bridges_live, "refreshes": report.refreshes, "pruned": report.pruned,
+    return {"seconds": round(seconds, 3), "search_seconds": round(report.search_seconds(), 3), "rows": rows, "settled": report.settled, "relaxed": report.relaxed, "bound": report.trace[-1], "sigma": report.sigma, "bridges": report.bridges_live, "refreshes": report.refreshes, "pruned": report.pruned,
             "idle": round(report.idle_share(options.get("parallelism", 8)), 3), "stages": moved["stages"] - before, "shuffle_kb": moved["shuffle_write"] // 1024, "spilled_kb": moved["spilled"] // 1024}
 
 
