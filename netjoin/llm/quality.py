@@ -69,15 +69,19 @@ def measure(text: str) -> tuple[int, ...]:
     return n, sum(map(len, words)), len(text) - len(text.translate(_SYMBOLS)), len(lines) - len(set(lines)), repeat, len(lines), upper, letters
 
 
-def measured(docs: DataFrame, text_col: str) -> DataFrame:
-    """The columns of ``docs`` as one struct ``row``, the measures, and ``bits``: one failure bit for each rule. One pass, no join."""
-    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), text_or_empty(f"`{text_col}`").alias("text"))
+def measured(docs: DataFrame, text_col: str, *, carry: bool) -> DataFrame:
+    """A struct ``row``, the measures, and ``bits``: one failure bit for each rule. One pass, no join. ``row`` holds all columns of ``docs``, or with ``carry`` off
+    all but the text, which then does not come back from the workers."""
+    held = [c for c in docs.columns if carry or c != text_col]
+    text = [] if carry else [text_or_empty(f"`{text_col}`").alias("text")]
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in held)).alias("row"), *text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            found = [measure(t) for t in batch.column(1).to_pylist()]
+            row = batch.column(0)
+            found = [measure(t or "") for t in (row.field(held.index(text_col)) if carry else batch.column(1)).to_pylist()]
             columns = list(zip(*found)) if found else [()] * len(MEASURES)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.int64()) for c in columns)], names=["row", *MEASURES])
+            yield pa.RecordBatch.from_arrays([row, *(pa.array(c, pa.int64()) for c in columns)], names=["row", *MEASURES])
 
     return rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}, " + ", ".join(f"{m} long" for m in MEASURES)).withColumn("bits", failure_bits(RULES))
 
@@ -88,7 +92,7 @@ def ledger(docs: DataFrame, *, path: str | None = None, id_col: str = "doc_id",
     Null and empty texts have no words. Lines count as equal if identical, and only lines with a word count. Texts of any length are measured whole. Rows that repeat
     are measured each, a null id is passed on, and an empty table gives an empty ledger. Other columns of ``docs`` are not read.
     """
-    book = measured(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), "text")
+    book = measured(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), "text", carry=False)
     return materialise(book.select("row.doc_id", *MEASURES, "bits"), "quality-ledger", path=path)
 
 
@@ -119,4 +123,4 @@ def ablation(book: DataFrame, policy: str | int = "v1") -> DataFrame:
 
 def kept_documents(docs: DataFrame, *, policy: str | int = "v1", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that the policy keeps, with all their columns; the cases are those of ``ledger``."""
-    return measured(docs, text_col).where(passes("base") & passes(policy)).select("row.*")
+    return measured(docs, text_col, carry=True).where(passes("base") & passes(policy)).select("row.*")
