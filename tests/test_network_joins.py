@@ -71,7 +71,7 @@ def test_unpartitioned_equals_sequential(spark, world):
     assert rows(closest_pairs(net, r, s, 15)) == reference.pairs(edges, rs, ss, k=15)
 
 
-@pytest.mark.parametrize("options", [{}, {"engine": "frontier"}, {"reuse_routes": False}, {"stop_by_weight": False}, {"schedule": "pool", "parallelism": 2}])
+@pytest.mark.parametrize("options", [{}, {"engine": "frontier"}, {"schedule": "pool", "parallelism": 2}])
 def test_closure_is_exact(spark, world, options):
     edges, net, r, s, rs, ss, tree = world
     assert rows(distance_join(net, r, s, 70, hierarchy=tree, **options)) == reference.pairs(edges, rs, ss, 70)
@@ -106,7 +106,7 @@ def test_modes_nest_and_certify(spark, world):
         assert rows(distance_join(net, r, s, 2 * sigma - 1, hierarchy=tree, crossings=mode)) == reference.pairs(edges, rs, ss, 2 * sigma - 1)
 
 
-@pytest.mark.parametrize("options", [{}, {"engine": "frontier"}, {"schedule": "pool", "parallelism": 2}, {"sources_per_task": 2}, {"task_edges": 5}, {"reuse_routes": False}, {"stop_by_weight": False}])
+@pytest.mark.parametrize("options", [{"sources_per_task": 2}, {"engine": "frontier"}, {"schedule": "pool", "parallelism": 2}, {"task_edges": 5}])
 def test_per_level_equals_sequential(spark, options):
     """Three levels of merges against the sequential version, by every engine and schedule; parts beyond ``task_edges`` never meet a task."""
     edges = random_edges(70, 60, 21)
