@@ -2,8 +2,8 @@
 
 The leaves of the tree hold the merge rank of each adjacent pair of symbols, inner nodes the least of
 their children; from the root one comes down to the leftmost pair of lowest rank. A merge changes three leaves, each
-in logarithmic time, so a word of any length costs O(n log n); words of all lengths take this way. Words repeat, so each worker remembers
-the merged form of short words in a bounded table.
+in logarithmic time, so a word of any length costs O(n log n); words of all lengths take this way. Words repeat, and so does what stands between
+white space; each worker remembers the encoded form of short ones in bounded tables.
 
 Texts stay in their partition: one pass in Arrow batches, no shuffle, nothing kept between tasks.
 """
@@ -14,7 +14,7 @@ import hashlib
 import json
 import os
 import unicodedata
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 import regex
@@ -23,8 +23,11 @@ from pyspark.sql import functions as F
 
 from netjoin.llm.common import slices, text_or_empty
 
-#: Bounds of a worker's tables of merged words: entries of each of the two, and characters of a word that is remembered.
-CACHE_WORDS, CACHE_CHARS = 120_000, 48
+#: Bounds of a worker's two tables, of words and of runs between white space: entries of each of their two generations, and characters of what is remembered.
+CACHE_ENTRIES, CACHE_CHARS = 180_000, 48
+
+#: What ``str.split`` takes for white space and the ``\\s`` of patterns does not.
+SEPARATORS = "\x1c\x1d\x1e\x1f"
 
 
 def byte_symbols() -> list[str]:
@@ -37,59 +40,80 @@ def byte_symbols() -> list[str]:
     return [table[b] for b in range(256)]
 
 
-NONE = 1 << 62
-LOW = (1 << 20) - 1
+#: A pair's key is its rank above PLACE bits that hold where it stands, so that the least key is the leftmost pair of lowest rank.
+NONE, PLACE = 1 << 62, 40
+
+
+def climb(tree: list[int], i: int, value: int) -> None:
+    """Set a leaf, and above it each node that changes."""
+    while tree[i] != value:
+        tree[i] = value
+        if i == 1:
+            return
+        other = tree[i ^ 1]
+        if other < value:
+            value = other
+        i >>= 1
 
 
-def merge_symbols(symbols: list[int], merges: dict[int, int]) -> list[int]:
-    """Apply merges (first << 20 | second -> rank << 20 | merged symbol) until none fits; lowest rank first, leftmost of equals.
+def merge_symbols(symbols: list[int], ranks: dict[int, int], products: list[int]) -> list[int]:
+    """Apply merges until none fits; lowest rank first, leftmost of equals. ``ranks``: first << 20 | second -> rank << PLACE; ``products``: the symbol each rank makes.
 
-    The tree lies in one list: node i has the children 2i and 2i + 1, the leaves are the pairs' merges, every node is the least of its children.
+    The tree lies in one list: node i has the children 2i and 2i + 1, the leaves are the keys of the pairs, every node is the least of its children.
     """
     n = len(symbols)
     if n < 2:
         return symbols
-    get = merges.get
+    get = ranks.get
     width = 1 << (n - 2).bit_length() if n > 2 else 1
-    tree = [NONE] * width + [get(a << 20 | b, NONE) for a, b in zip(symbols, symbols[1:])] + [NONE] * (width - n + 1)
+    keys = [get(a << 20 | b, NONE) for a, b in zip(symbols, symbols[1:])]
+    tree = [NONE] * width + [k + i if k != NONE else k for i, k in enumerate(keys)] + [NONE] * (width - n + 1)
     for i in range(width - 1, 0, -1):
         a, b = tree[2 * i], tree[2 * i + 1]
         tree[i] = a if a < b else b
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     while (best := tree[1]) != NONE:
-        i = 1
-        while i < width:
-            i *= 2
-            if tree[i] != best:
-                i += 1
-        at = i - width
+        at, merged = best & (1 << PLACE) - 1, products[best >> PLACE]
         gone = after[at]
         following = after[at] = after[gone]
-        first, merged = before[at], best & LOW
+        first = before[at]
         symbols[at], symbols[gone] = merged, -1
-        climb = [(at + width, get(merged << 20 | symbols[following], NONE) if following < n else NONE)]
         if following < n:
             before[following] = at
-            climb.append((gone + width, NONE))
+            climb(tree, gone + width, NONE)
+            key = get(merged << 20 | symbols[following])
+            climb(tree, at + width, NONE if key is None else key + at)
+        else:
+            climb(tree, at + width, NONE)
         if first >= 0:
-            climb.append((first + width, get(symbols[first] << 20 | merged, NONE)))
-        for i, value in climb:
-            while tree[i] != value:
-                tree[i] = value
-                if i == 1:
-                    break
-                other = tree[i ^ 1]
-                if other < value:
-                    value = other
-                i >>= 1
+            key = get(symbols[first] << 20 | merged)
+            climb(tree, first + width, NONE if key is None else key + first)
     return [s for s in symbols if s >= 0]
 
 
+class Remembered(dict):
+    """Short keys with what ``make`` gives for them. A full table becomes the older one; keys met there again move back."""
+
+    def __init__(self, make: Callable[[str], tuple[str, str]]):
+        super().__init__()
+        self.make, self.older = make, {}
+
+    def __missing__(self, key: str) -> tuple[str, str]:
+        out = self.older.get(key) or self.make(key)
+        if len(key) <= CACHE_CHARS:
+            if len(self) >= CACHE_ENTRIES:
+                self.older = dict(self)
+                self.clear()
+            self[key] = out
+        return out
+
+
 class WordTokenizer:
     """Encoder and decoder for a tokenizer file of BPE with byte symbols and word ends.
 
-    Follows the file: its special tokens are cut out of the raw text first, then each piece is put in NFC, white space
-    runs become one space, letters become lower case one by one, the split pattern yields words, and merges apply in each word.
+    Follows the file: its special tokens are cut out of the raw text first, then each piece is put in NFC,
+    letters become lower case one by one, the split pattern yields words, and merges apply in each word. The pattern never matches white space (a file whose
+    pattern does is refused), so words are looked for in each run between white space.
     Decoding joins the tokens by one space, as the library does for a file without a decoder.
     """
 
@@ -101,40 +125,42 @@ class WordTokenizer:
         self.end = model["end_of_word_suffix"] or ""
         self.specials = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.tokens = {i: t for t, i in vocab.items()} | {i: t for t, i in self.specials.items()}
-        self.merges: dict[int, int] = {}
-        for rank, pair in enumerate(model["merges"]):
-            a, b = pair.split(" ") if isinstance(pair, str) else pair
-            self.merges.setdefault(vocab[a] << 20 | vocab[b], rank << 20 | vocab[a + b])
+        pairs = [pair.split(" ") if isinstance(pair, str) else pair for pair in model["merges"]]
+        self.products = [vocab[a + b] for a, b in pairs]
+        self.ranks: dict[int, int] = {}
+        for rank, (a, b) in enumerate(pairs):
+            self.ranks.setdefault(vocab[a] << 20 | vocab[b], rank << PLACE)
         symbols = byte_symbols()
         self.inner, self.last = [vocab[s] for s in symbols], [vocab[s + self.end] for s in symbols]
         self.words = regex.compile(next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split"))
         self.cut = regex.compile("|".join(regex.escape(s) for s in self.specials)) if self.specials else None
         self.lead = os.path.commonprefix(list(self.specials))
-        self.space = regex.compile(r"\s+")
-        self.known: dict[str, tuple[str, str]] = {}
-        self.older: dict[str, tuple[str, str]] = {}
+        if self.words.search(" "):
+            raise ValueError("a split pattern that matches white space is not supported")
+        self.run = regex.compile(r"\S+")
+        self.known_words, self.known_runs = Remembered(self._encode_word), Remembered(self._encode_run)
 
     def word_ids(self, word: str) -> list[int]:
         raw = word.encode("utf-8", "surrogatepass")
         inner = self.inner
-        return merge_symbols([inner[b] for b in raw[:-1]] + [self.last[raw[-1]]], self.merges)
-
-    def _word(self, word: str) -> tuple[str, str]:
-        """Ids and tokens of a word, each joined by spaces. A full table becomes the older one; words met there again move back."""
-        out = self.older.get(word)
-        if out is None:
-            ids = self.word_ids(word)
-            out = " ".join(map(str, ids)), " ".join([self.tokens[i] for i in ids])
-        if len(word) <= CACHE_CHARS:
-            if len(self.known) >= CACHE_WORDS:
-                self.older, self.known = self.known, {}
-            self.known[word] = out
-        return out
+        return merge_symbols([inner[b] for b in raw[:-1]] + [self.last[raw[-1]]], self.ranks, self.products)
+
+    def _encode_word(self, word: str) -> tuple[str, str]:
+        """Ids and tokens, each joined by spaces."""
+        ids = self.word_ids(word)
+        return " ".join(map(str, ids)), " ".join([self.tokens[i] for i in ids])
+
+    def _encode_run(self, run: str) -> tuple[str, str]:
+        """Ids and tokens of a run without white space, each joined by spaces."""
+        found = [self.known_words[word] for word in self.words.findall(run)]
+        return found[0] if len(found) == 1 else (" ".join([f[0] for f in found]), " ".join([f[1] for f in found]))
 
-    def normalise(self, piece: str) -> str:
+    def runs(self, piece: str) -> list[str]:
+        """Normalised text between white space."""
         if not piece.isascii():
             piece = unicodedata.normalize("NFC", piece).replace("Σ", "σ")
-        return self.space.sub(" ", piece).lower()
+        piece = piece.lower()
+        return self.run.findall(piece) if any(c in piece for c in SEPARATORS) else piece.split()
 
     def _pieces(self, text: str) -> Iterator[tuple[str, str]]:
         at = 0
@@ -145,13 +171,11 @@ class WordTokenizer:
 
     def encoded(self, text: str) -> tuple[str, str]:
         """Decimal ids joined by one space, and the decoded text."""
-        ids, decoded, word = [], [], self._word
+        ids, decoded, known = [], [], self.known_runs
         for piece, special in self._pieces(text):
-            known = self.known
-            for w in self.words.findall(self.normalise(piece)):
-                hit = known.get(w) or word(w)
-                ids.append(hit[0])
-                decoded.append(hit[1])
+            hits = [known[r] for r in self.runs(piece)]
+            ids += [h[0] for h in hits]
+            decoded += [h[1] for h in hits]
             if special:
                 ids.append(str(self.specials[special]))
                 decoded.append(special)

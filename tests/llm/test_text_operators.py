@@ -236,16 +236,33 @@ def test_bpe_long_and_special(text):
 def test_tree_equals_rescanning(word, pairs):
     """The tree against a scan of all pairs after each merge, over made-up merges."""
     number = {"a": 0, "b": 1, "c": 2}
-    merges = {number[x] << 20 | number[y]: rank << 20 | (rank % 3) for rank, (x, y) in enumerate(pairs)}
+    ranks = {number[x] << 20 | number[y]: rank << bpe.PLACE for rank, (x, y) in enumerate(pairs)}
+    products = [rank % 3 for rank in range(len(pairs))]
     left = [number[x] for x in word]
     want = list(left)
     while True:
-        ranked = [(merges.get(a << 20 | b, bpe.NONE), i) for i, (a, b) in enumerate(zip(want, want[1:]))]
+        ranked = [(ranks.get(a << 20 | b, bpe.NONE), i) for i, (a, b) in enumerate(zip(want, want[1:]))]
         if not ranked or min(ranked)[0] == bpe.NONE:
             break
         value, i = min(ranked)
-        want[i : i + 2] = [value & bpe.LOW]
-    assert bpe.merge_symbols(left, merges) == want
+        want[i : i + 2] = [products[value >> bpe.PLACE]]
+    assert bpe.merge_symbols(left, ranks, products) == want
+
+
+@given(st.text(alphabet=st.sampled_from(list("ab'.s!9Σ ̈\t\x1c\x1d\x1e\x1f\x85\xa0\u2000\u2028\u3000\u200b\u180e")), max_size=30))
+@settings(max_examples=400, deadline=None)
+def test_bpe_runs_between_white_space(text):
+    """Separators that str.split knows and the split pattern does not, and white space beyond ASCII."""
+    assert VOCABULARY.encode(text) == LIBRARY.encode(text, add_special_tokens=False).ids
+
+
+def test_bpe_tables_turn_over(monkeypatch):
+    """Tables of three entries lose nothing, and long runs are encoded without being kept."""
+    monkeypatch.setattr(bpe, "CACHE_ENTRIES", 3)
+    own = bpe.WordTokenizer(public_tokenizers.path("word_bpe_49k.json"))
+    text = " ".join(random.Random(2).choices(["then,", "there", "(then)", "it's", "x" * 60, "a-b", "then", "9!"], k=300))
+    assert own.encode(text) == LIBRARY.encode(text, add_special_tokens=False).ids
+    assert len(own.known_runs) <= 3 and len(own.known_runs.older) <= 3 and len(own.known_words) <= 3
 
 
 @pytest.mark.parametrize("specials", [["[CLS]", "</s>"], ["[CLS]", "[SEP]"], ["<|a|>", "<|b|>"], []])
