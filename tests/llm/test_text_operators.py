@@ -256,6 +256,17 @@ def test_bpe_runs_between_white_space(text):
     assert VOCABULARY.encode(text) == LIBRARY.encode(text, add_special_tokens=False).ids
 
 
+def test_pattern_that_matches_white_space_is_refused(tmp_path):
+    import json
+
+    with open(public_tokenizers.path("word_bpe_49k.json"), encoding="utf-8") as f:
+        spec = json.load(f)
+    next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")["pattern"]["Regex"] = r"\s?\p{L}+|\s+"
+    (tmp_path / "other.json").write_text(json.dumps(spec), encoding="utf-8")
+    with pytest.raises(ValueError):
+        bpe.WordTokenizer(str(tmp_path / "other.json"))
+
+
 def test_bpe_tables_turn_over(monkeypatch):
     """Tables of three entries lose nothing, and long runs are encoded without being kept."""
     monkeypatch.setattr(bpe, "CACHE_ENTRIES", 3)
