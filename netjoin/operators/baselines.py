@@ -5,17 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from netjoin.operators.neighbours import vector_pairs
 from netjoin.operators.network import Network
 from netjoin.operators.relax import distances_from
 
 
-def euclid_pairs(points: DataFrame, r: DataFrame, s: DataFrame, k: int | None, theta: int, *, blocks: int = 16) -> DataFrame:
-    """(u, v, d) by straight-line distance, d = floor(1000 * L2): points(id, e array<double>). R meets S in blocks; no network is used."""
-    a = points.join(r, "id", "left_semi").select(F.col("id").alias("u"), F.col("e").alias("e1")).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    b = points.join(s, "id", "left_semi").select(F.col("id").alias("v"), F.col("e").alias("e2"), F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("i"))
-    d = F.floor(1000 * F.sqrt(F.aggregate(F.zip_with("e1", "e2", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda t, x: t + x))).cast("long")
-    near = a.join(b, "i").select("u", "v", d.alias("d")).where(F.col("d") <= theta)
-    return near.orderBy("d", "u", "v").limit(k) if k is not None else near
+def euclid_pairs(points: DataFrame, r: DataFrame, s: DataFrame, k: int | None, theta: int) -> DataFrame:
+    """(u, v, d) by straight-line distance, d = floor(1000 * L2): points(id, e array of numbers). R meets S block against block; no network is used. Null vectors pair with nothing."""
+    whole = points.where("e IS NOT NULL")
+    return vector_pairs(whole.join(r, "id", "left_semi"), whole.join(s, "id", "left_semi"), k, theta)
 
 
 def all_pairs(net: Network, theta: int) -> DataFrame:
