@@ -45,10 +45,11 @@ def sampled_rows(rows: DataFrame, n: int) -> DataFrame:
     return rows.where(F.pmod(F.xxhash64(*rows.columns), F.lit(every)) == 0).limit(2 * n)
 
 
-def contexts_of(rows: DataFrame, n: int) -> list[tuple[str, str]]:
-    """(left, right) around some word boundary of up to ``n`` of the sampled texts: real prose to put generated examples into."""
+def contexts_of(rows: DataFrame, n: int, *, by_hash: bool = False) -> list[tuple[str, str]]:
+    """(left, right) around some word boundary of up to ``n`` of the texts: real prose to put generated examples into. ``by_hash`` draws the first by their hash, the same for the same rows."""
     at = F.floor(F.pmod(F.xxhash64("text", F.lit(3)), F.length("text") + 1)).cast("int")
     cut = rows.where("length(text) > 0").withColumn("at", at).select(F.expr(f"substring(text, greatest(1, at - {CONTEXT} + 1), least(at, {CONTEXT}))").alias("l"), F.expr(f"substring(text, at + 1, {CONTEXT})").alias("r"))
+    cut = cut.orderBy(F.xxhash64("l", "r"), "l", "r") if by_hash else cut
     got = sorted((r["l"], r["r"]) for r in cut.limit(n).collect())
     return [(left.rpartition(" ")[0] + " ", " " + right.partition(" ")[2]) for left, right in got] or [("the text before ", " and after it")]
 

@@ -17,7 +17,7 @@ Tree = float | tuple
 
 
 def _grow(x: np.ndarray, target: np.ndarray, weight: np.ndarray, depth: int, least: int, pick, leaf) -> Tree:
-    if depth == 0 or len(x) < 2 * least or np.ptp(target) == 0:
+    if depth == 0 or len(x) < 2 * least or np.ptp(target / weight) == 0:
         return leaf(target, weight)
     best = None
     for f in pick(x.shape[1]):
@@ -39,12 +39,15 @@ def _grow(x: np.ndarray, target: np.ndarray, weight: np.ndarray, depth: int, lea
     return (f, at, _grow(x[low], target[low], weight[low], depth - 1, least, pick, leaf), _grow(x[~low], target[~low], weight[~low], depth - 1, least, pick, leaf))
 
 
-def fit_forest(x: np.ndarray, y: np.ndarray, *, trees: int = 15, depth: int = 5, least: int = 4, seed: int = 1) -> list[Tree]:
+def fit_forest(x: np.ndarray, y: np.ndarray, weight: np.ndarray | None = None, *, trees: int = 15, depth: int = 5, least: int = 4, seed: int = 1) -> list[Tree]:
+    """Bagged trees; a leaf is the share of its rows' weight that is labelled 1."""
     random, out = np.random.default_rng(seed), []
+    weight = np.ones(len(x)) if weight is None else weight
     for _ in range(trees):
         rows = random.integers(0, len(x), len(x))
         pick = lambda n: random.choice(n, max(1, round(n**0.5)), replace=False)
-        out.append(_grow(x[rows], y[rows].astype(float), np.ones(len(rows)), depth, least, pick, lambda t, w: round(float(t.mean()), 6)))
+        w = weight[rows]
+        out.append(_grow(x[rows], y[rows] * w, w, depth, least, pick, lambda t, w: round(float(t.sum() / w.sum()), 6)))
     return out
 
 
@@ -84,9 +87,10 @@ def boosted_score(model: tuple[float, list[Tree]], names: Sequence[str]) -> Colu
     return F.expr(f"1 / (1 + exp(-({model[0]!r}D + {' + '.join(_case(t, names) for t in model[1])})))")
 
 
-def calibrated_threshold(score: np.ndarray, y: np.ndarray, precision: float) -> float:
-    """The lowest threshold from which on at least such a share of the labelled candidates is right; above 1 if there is none."""
+def calibrated_threshold(score: np.ndarray, y: np.ndarray, precision: float, weight: np.ndarray | None = None) -> float:
+    """The lowest threshold from which on at least such a share of the labelled candidates (by weight) is right; above 1 if there is none."""
     order = np.argsort(-score, kind="stable")
-    right = np.cumsum(y[order]) / np.arange(1, len(y) + 1)
+    weight = np.ones(len(y)) if weight is None else weight
+    right = np.cumsum((y * weight)[order]) / np.cumsum(weight[order])
     last = np.flatnonzero(np.append(np.diff(score[order]) != 0, True) & (right >= precision))
     return float(score[order][last[-1]]) if len(last) else 1.1
