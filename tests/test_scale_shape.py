@@ -46,3 +46,16 @@ def test_cross_edges_by_joins(spark):
     for df in (partition.placed_arcs(net, tree.assign), partition.cross_edges(net, tree.assign)):
         plan = df._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
+
+
+def test_large_smoothed_parts_need_no_sweep_over_the_network(spark, monkeypatch):
+    """A path of many hops beyond a task is contracted, not swept hop by hop; every vertex has a leaf and the contraction joins what its edges join."""
+    monkeypatch.setattr(partition, "double_sweep", lambda *a: (_ for _ in ()).throw(AssertionError("swept by joins")))
+    edges = [(i, i + 1, 1 + i * 7919 % 97) for i in range(400)]
+    net = net_of(spark, edges)
+    tree = partition.build_hierarchy(net, leaves=4, alpha=0.5, task_edges=150)
+    assert len(tree.leaves) == 4 and tree.assign.count() == 401 and tree.parts[1]["method"] == "coarse"
+    label, links = partition.contract(net, 150)
+    of = {r["id"]: r["c"] for r in label.collect()}
+    assert len(of) == 401 and links.count() == len(set(of.values())) - 1 <= 150
+    assert {(of[r["src"]], of[r["dst"]]) for r in net.edges.collect() if of[r["src"]] != of[r["dst"]]} == {(a, b) if (a, b) in {(of[x], of[y]) for x, y, _ in edges} else (b, a) for a, b in ((r["src"], r["dst"]) for r in links.collect())}
