@@ -3,9 +3,11 @@
 import ast
 from pathlib import Path
 
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
-from netjoin.operators import partition
+from netjoin.operators import kernels, partition
 from netjoin.operators.relax import relax
 from netjoin.sources.networks import NETWORKS
 from tests.test_network_joins import ids, net_of, random_edges
@@ -59,3 +61,20 @@ def test_large_smoothed_parts_need_no_sweep_over_the_network(spark, monkeypatch)
     of = {r["id"]: r["c"] for r in label.collect()}
     assert len(of) == 401 and links.count() == len(set(of.values())) - 1 <= 150
     assert {(of[r["src"]], of[r["dst"]]) for r in net.edges.collect() if of[r["src"]] != of[r["dst"]]} == {(a, b) if (a, b) in {(of[x], of[y]) for x, y, _ in edges} else (b, a) for a, b in ((r["src"], r["dst"]) for r in links.collect())}
+
+
+@pytest.mark.parametrize("task_edges", [1000, 12, 0])
+def test_forests_take_no_rounds_of_components(spark, monkeypatch, task_edges):
+    """A spanning forest and a forest split end in a task once they fit it; no round labels components by joins. Ties, islands and lone vertices included."""
+    monkeypatch.setattr(partition, "connected_components", lambda *a: (_ for _ in ()).throw(AssertionError("components by joins")))
+    edges = [(a, b, 1 + w % 9) for a, b, w in random_edges(50, 40, 5)] + [(100, 101, 3), (101, 102, 3), (100, 102, 3)]
+    net = net_of(spark, edges, vertices=[*range(50), 100, 101, 102, 200])
+    rows = sorted(net.edges.collect(), key=lambda r: (r["w"], r["eid"]))
+    src, dst, w, eid = (np.array([r[c] for r in rows]) for c in ("src", "dst", "w", "eid"))
+    want = {rows[i]["eid"] for i in kernels.spanning_edges(src, dst, w, eid, 201)}
+    got = partition.spanning_forest(net, task_edges=task_edges).collect()
+    assert len(got) == len(want) == 51 and {r["eid"] for r in got} == want
+    whole = partition.build_hierarchy(net, leaves=2, explicit={1: (3, 47)}, engine="task").assign.collect()
+    side = {r["id"]: r["side"] for r in partition.bisect_forest(net, 3, 47, task_edges=task_edges).collect()}
+    assert side == {r["id"]: r["gp"] % 2 for r in whole} and len(side) == 54
+    assert partition.spanning_forest(net_of(spark, [(1, 1, 5)]), task_edges=task_edges).count() == 0
