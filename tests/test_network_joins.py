@@ -9,6 +9,7 @@ from netjoin.operators import kernels, measures, partition
 from netjoin.operators.components import connected_components
 from netjoin.operators.network import make_network, scale_weight, swap_operands
 from netjoin.operators.relax import distances_from, relax
+from netjoin.plans import joins
 from netjoin.plans.joins import JoinReport, closest_pairs, distance_join
 from netjoin.plans.schedule import cut_hierarchy, schedule_plan
 from tests import reference
@@ -406,3 +407,29 @@ def test_relax_does_not_stop_silently(spark):
     with pytest.raises(RuntimeError, match="3 rounds"):
         relax(net.arcs, seed, None, max_rounds=3)
     assert {r["node"]: r["d"] for r in relax(net.arcs, seed, None, max_rounds=7).collect()} == {i: i for i in range(7)}
+
+
+@pytest.mark.parametrize("slots", [1, 3])
+def test_overlay_that_fits_a_task_needs_no_rounds(spark, world, monkeypatch, slots):
+    """The closure over a small overlay is found inside tasks, from all routes of a source at once; larger overlays and the frontier engine take rounds of joins."""
+    edges, net, r, s, rs, ss, tree = world
+    exact = reference.pairs(edges, rs, ss, 150)
+    monkeypatch.setattr(joins, "default_slots", lambda spark: slots)
+    monkeypatch.setattr(joins, "OVERLAY_SOURCES", 3)
+    report = JoinReport()
+    assert rows(distance_join(net, r, s, 150, hierarchy=tree, report=report)) == exact and not report.rounds
+    assert rows(closest_pairs(net, r, s, 25, hierarchy=tree, engine="task")) == reference.pairs(edges, rs, ss, k=25)
+    monkeypatch.setattr(joins, "OVERLAY_EDGES", 0)
+    report = JoinReport()
+    assert rows(distance_join(net, r, s, 150, hierarchy=tree, report=report)) == exact and report.rounds["rounds"] > 0
+
+
+def test_bound_decides_what_fits_a_task(spark):
+    """A part of many heavy edges goes to a task when those that the bound leaves fit; one with as many light ones does not."""
+    edges = [(i, i + 1, 2 if i % 4 else 900) for i in range(40)]
+    net = net_of(spark, edges)
+    tree = partition.from_assignment(net, spark.createDataFrame([(i, 2 + i // 39) for i in range(41)], "id long, gp long"))
+    for theta, fits in ((50, True), (2000, False)):
+        report = JoinReport()
+        got = rows(distance_join(net, ids(spark, range(0, 41, 3)), ids(spark, range(1, 41, 3)), theta, hierarchy=tree, report=report, task_edges=32))
+        assert got == reference.pairs(edges, set(range(0, 41, 3)), set(range(1, 41, 3)), theta) and bool(report.searches) == fits
