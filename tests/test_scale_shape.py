@@ -78,3 +78,15 @@ def test_forests_take_no_rounds_of_components(spark, monkeypatch, task_edges):
     side = {r["id"]: r["side"] for r in partition.bisect_forest(net, 3, 47, task_edges=task_edges).collect()}
     assert side == {r["id"]: r["gp"] % 2 for r in whole} and len(side) == 54
     assert partition.spanning_forest(net_of(spark, [(1, 1, 5)]), task_edges=task_edges).count() == 0
+
+
+def test_unsmoothed_large_parts_need_no_sweep_either(spark, monkeypatch):
+    """At alpha 0 a part beyond a task is split on the contracted network: no sweep hop by hop, and the cut is the heaviest edge between two vertices of the seeds."""
+    monkeypatch.setattr(partition, "double_sweep", lambda *a: (_ for _ in ()).throw(AssertionError("swept by joins")))
+    weights = [1 + i * 7919 % 997 for i in range(400)]
+    net = net_of(spark, [(i, i + 1, w) for i, w in enumerate(weights)])
+    tree = partition.build_hierarchy(net, leaves=4, task_edges=150)
+    assert tree.parts[1]["method"] == "forest" and tree.assign.count() == 401 and len(tree.leaves) == 4
+    low, high = sorted((tree.parts[1]["seed_l"], tree.parts[1]["seed_r"]))
+    assert max(weights[low:high]) >= tree.parts[1]["sep"] >= sorted(weights)[-150]
+    assert tree.arcs.count() + tree.cross.count() == 800 and sum(r["n_edges"] for r in tree.leaves) == 400 - tree.cross.count() // 2
