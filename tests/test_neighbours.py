@@ -3,9 +3,10 @@
 import math
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
-from netjoin.operators import baselines
+from netjoin.operators import baselines, neighbours
 from netjoin.operators.neighbours import nearest_vectors, vector_pairs
 from netjoin.sources.networks import embedding_mesh
 from tests.test_network_joins import net_of
@@ -48,6 +49,49 @@ def test_nearest_of_few(spark):
         nearest_vectors(points(spark, {7: [1.0], 8: [1.0, 2.0]}), 3).collect()
 
 
+def table_of(ids: np.ndarray, x: np.ndarray) -> pa.Table:
+    return pa.table({"id": ids, "e": list(x)})
+
+
+def shapes() -> dict[str, tuple[np.ndarray, np.ndarray]]:
+    """Two blocks each: what single precision tells apart, what it cannot, and what even squares in double precision do not."""
+    r = np.random.default_rng(5)
+    x, y, one = r.normal(size=(90, 5)), r.normal(size=(110, 5)), r.normal(size=5)
+    outlier, cluster = x.copy(), np.concatenate([y[:40], y[0] + 1e-10 * r.normal(size=(70, 5))])
+    outlier[3] *= 1e9
+    return {"plain": (x, y), "offset": (1e9 + x, 1e9 + y), "huge": (1e150 * x, 1e150 * y), "tiny": (1e-160 * x, 1e-160 * y), "outlier": (outlier, y), "cluster": (x, cluster),
+            "near copies": (one + 1e-7 * x, one + 1e-7 * y), "copies": (np.tile(one, (90, 1)), np.concatenate([np.tile(one, (60, 1)), y[:50]])), "ties": (np.rint(x), np.rint(y)), "few": (x[:1], y[:2])}
+
+
+@pytest.mark.parametrize("held", [neighbours.HELD, 100])
+@pytest.mark.parametrize("shape", shapes())
+def test_two_blocks_meet_once_for_both(monkeypatch, shape, held):
+    """Each block's nearest in the other and in itself, whatever single precision can tell and in however many tiles."""
+    monkeypatch.setattr(neighbours, "HELD", held)
+    if held == 100:
+        monkeypatch.setattr(neighbours, "TILE_ROWS", 16)
+        monkeypatch.setattr(neighbours, "TILE_COLUMNS", 33)
+    x, y = shapes()[shape]
+    ids = np.random.default_rng(6).permutation(len(x) + len(y))
+    a, b = ids[: len(x)], ids[len(x) :]
+
+    def near(p, u, q, v):
+        for i, e in zip(p.tolist(), u.tolist()):
+            yield from ((i, j, d) for d, j in sorted((plain(e, f), j) for j, f in zip(q.tolist(), v.tolist()) if j != i)[:3])
+
+    rows = lambda batches: sorted(row for got in batches for row in zip(*(c.to_pylist() for c in got.columns)))
+    assert rows(neighbours._nearest(3)(table_of(a, x), table_of(b, y))) == sorted([*near(a, x, b, y), *near(b, y, a, x)])
+    assert rows(neighbours._nearest(3)(table_of(a, x), None)) == sorted(near(a, x, a, x))
+
+
+@pytest.mark.parametrize("n, copies", [(900, 1), (10_000, 6), (60_000, 6), (400_000, 7)])
+def test_vectors_are_sent_to_few_blocks(spark, monkeypatch, n, copies):
+    seen = []
+    monkeypatch.setattr(neighbours, "_dealt", lambda rows, units, deal=neighbours._dealt: (seen.append((units, rows.count())), deal(rows, units))[1])
+    nearest_vectors(spark.range(n).selectExpr("id", "array(cast(id AS float)) AS e"), 3)
+    assert seen == [(copies * (copies + 1) // 2, n * copies)]
+
+
 @pytest.mark.parametrize("k", [None, 0, 1, 25, 10_000])
 def test_vector_pairs_equal_all_compared(spark, k):
     v = vectors(30, 6)
