@@ -84,6 +84,16 @@ def test_two_blocks_meet_once_for_both(monkeypatch, shape, held):
     assert rows(neighbours._nearest(3)(table_of(a, x), None)) == sorted(near(a, x, a, x))
 
 
+def test_a_pair_of_blocks_is_multiplied_once(monkeypatch):
+    """One product has the nearest of both blocks: that is most of the time of the mesh and of the joins on it."""
+    cells, product = [], neighbours._Halves.tile
+    monkeypatch.setattr(neighbours._Halves, "tile", lambda at, *part: cells.append((near := product(at, *part)).size) or near)
+    r = np.random.default_rng(7)
+    x, y = r.normal(size=(700, 16)), r.normal(size=(2300, 16))
+    got = list(neighbours._nearest(3)(table_of(np.arange(700), x), table_of(np.arange(700, 3000), y)))
+    assert sum(cells) == 700 * 2300 and sum(b.num_rows for b in got) == 3 * 3000
+
+
 @pytest.mark.parametrize("n, copies", [(900, 1), (10_000, 6), (60_000, 6), (400_000, 7)])
 def test_vectors_are_sent_to_few_blocks(spark, monkeypatch, n, copies):
     seen = []
