@@ -94,6 +94,30 @@ def test_a_pair_of_blocks_is_multiplied_once(monkeypatch):
     assert sum(cells) == 700 * 2300 and sum(b.num_rows for b in got) == 3 * 3000
 
 
+def test_a_block_alone_is_multiplied_above_its_diagonal_and_ranked_where_new(monkeypatch):
+    """Half of the square serves both ways, and only the first tile that a vector meets is searched for bounds."""
+    cells, ranked, product, lowered = [], [], neighbours._Halves.tile, neighbours._lowered
+    monkeypatch.setattr(neighbours._Halves, "tile", lambda at, *part: cells.append((near := product(at, *part)).size) or near)
+    monkeypatch.setattr(neighbours, "_lowered", lambda known, near, groups: ranked.append(near.size) or lowered(known, near, groups))
+    r = np.random.default_rng(8)
+    x, y = r.normal(size=(3001, 12)), r.normal(size=(2600, 12))
+    got = pa.Table.from_batches(list(neighbours._nearest(3)(table_of(np.arange(3001), x), None)))
+    assert sum(cells) <= 3001 * (3001 + neighbours.TILE_ROWS) / 2 and sum(ranked) <= 3001 * neighbours.TILE_ROWS
+    far = np.square(x[:, None, :] - x[None]).sum(axis=2)
+    np.fill_diagonal(far, np.inf)
+    near = np.argsort(far, axis=1)[:, :3]
+    assert got.column("id2").to_numpy().reshape(-1, 3).tolist() == near.tolist() and got.column("id").to_numpy().tolist() == np.repeat(np.arange(3001), 3).tolist()
+    ranked.clear()
+    list(neighbours._nearest(3)(table_of(np.arange(3001), x), table_of(np.arange(3001, 5601), y)))
+    assert sum(ranked) <= 3001 * neighbours.TILE_COLUMNS + 2600 * neighbours.TILE_ROWS
+
+
+def test_values_found_later_lower_the_bounds():
+    known = np.array([[1.0, 4.0], [2.0, np.inf], [0.5, 0.6]])
+    neighbours._lower(known, np.array([1, 0, 1, 1, 0]), np.array([9.0, 3.0, 1.0, 1.5, 0.5]))
+    assert np.sort(known, axis=1).tolist() == [[0.5, 1.0], [1.0, 1.5], [0.5, 0.6]] and known[:, -1].tolist() == [1.0, 1.5, 0.6]
+
+
 @pytest.mark.parametrize("n, copies", [(900, 1), (10_000, 6), (60_000, 6), (400_000, 7)])
 def test_vectors_are_sent_to_few_blocks(spark, monkeypatch, n, copies):
     seen = []
