@@ -260,6 +260,46 @@ def test_tree_equals_rescanning(word, pairs):
     assert bpe.merge_symbols(left, ranks, products) == want
 
 
+@given(st.lists(st.lists(st.sampled_from("abc"), min_size=2, max_size=9), max_size=12), st.lists(st.tuples(st.sampled_from("abc"), st.sampled_from("abc")), max_size=6, unique=True))
+@settings(max_examples=300, deadline=None)
+def test_trees_together_equal_one_at_a_time(words, pairs):
+    number = {"a": 0, "b": 1, "c": 2}
+    ranks = {number[x] << 20 | number[y]: rank << bpe.PLACE for rank, (x, y) in enumerate(pairs)}
+    products = [rank % 3 for rank in range(len(pairs))]
+    rows, sizes = np.zeros((len(words), 9), np.int64), np.array([len(w) for w in words], np.int64)
+    for row, word in zip(rows, words):
+        row[: len(word)] = [number[x] for x in word]
+    want = [bpe.merge_symbols([number[x] for x in word], ranks, products) for word in words]
+    bpe.merge_together(rows, sizes, bpe.Pairs(ranks), np.array(products, np.int64))
+    assert [[s for s in row[:n].tolist() if s >= 0] for row, n in zip(rows, sizes)] == want
+
+
+@pytest.mark.parametrize("limits", [{}, {"GROUP_CHARS": 60, "CACHE_ENTRIES": 3, "TOGETHER": 2}, {"WIDE": 4, "CACHE_CHARS": 5}])
+def test_bpe_groups_of_texts_equal_library(monkeypatch, limits):
+    """New words of several texts are merged together, whatever the bounds of tables, groups and trees."""
+    for name, value in limits.items():
+        monkeypatch.setattr(bpe, name, value)
+    own, draw = bpe.WordTokenizer(public_tokenizers.path("word_bpe_49k.json")), random.Random(4)
+    words = ["then,", "(there)", "it's", "a-b", "9!", "ñandú", "İΣσ", "x" * 60, "ab" * 40, "日本語", "a", "<|endoftext|>"] + ["".join(draw.choices("theaninres", k=draw.randint(1, 30))) for _ in range(60)]
+    texts = ["", " \n"] + [" ".join(draw.choices(words, k=draw.randint(1, 40))) for _ in range(40)] + ["<|startoftext|>" + "thean" * 300]
+    for text, (ids, decoded) in zip(texts, own.encoded_all(texts), strict=True):
+        want = LIBRARY.encode(text, add_special_tokens=False).ids
+        assert ids == " ".join(map(str, want)) and decoded == LIBRARY.decode(want, skip_special_tokens=False) and (ids, decoded) == own.encoded(text)
+    assert len(own.known_words) <= bpe.CACHE_ENTRIES and len(own.known_runs) <= bpe.CACHE_ENTRIES
+
+
+def test_new_words_are_not_merged_one_by_one(monkeypatch):
+    """Most of the time of op4 went into trees built for one word at a time."""
+    single, together = [], []
+    monkeypatch.setattr(bpe, "merge_symbols", lambda symbols, *rest, of=bpe.merge_symbols: single.append(len(symbols)) or of(symbols, *rest))
+    if hasattr(bpe, "merge_together"):
+        monkeypatch.setattr(bpe, "merge_together", lambda symbols, *rest, of=bpe.merge_together: together.append(len(symbols)) or of(symbols, *rest))
+    draw, own = random.Random(5), bpe.WordTokenizer(public_tokenizers.path("word_bpe_49k.json"))
+    texts = [" ".join("".join(draw.choices("theaninres", k=draw.randint(2, 30))) for _ in range(50)) for _ in range(40)]
+    list(own.encoded_all(texts) if hasattr(own, "encoded_all") else map(own.encoded, texts))
+    assert not single and sum(together) == len({w for t in texts for w in t.split()}) and len(together) <= 6
+
+
 @given(st.text(alphabet=st.sampled_from(list("ab'.s!9Σ ̈\t\x1c\x1d\x1e\x1f\x85\xa0\u2000\u2028\u3000\u200b\u180e")), max_size=30))
 @settings(max_examples=400, deadline=None)
 def test_bpe_runs_between_white_space(text):
